@@ -1,15 +1,16 @@
 """Substring dedup by repeated-phrase automata.
 
-A phrase is a window of `window_words` consecutive words whose sequence starts in two documents or more. Three steps:
+A window is `window_words` consecutive words; it recurs if its sequence starts in two documents or more. Three steps:
 
-1. Confirm: each task hashes the windows of its documents (64 bits, besides the bucket, which comes from an independent
-   hash of the same words), keeps one entry for a phrase that it saw in several documents, and sends the hashes, packed by
-   bucket. A bucket's task finds phrases that recur and the smallest document that starts each.
-2. Compile: documents are dealt to shards; each shard gets the recurring phrases that its documents may repeat and compiles
-   an Aho-Corasick automaton over word numbers with pyahocorasick. An automaton holds no more than its own documents' phrases.
-3. Stream: every document runs through its shard's automaton, which gives every occurrence and the phrase's first document.
+1. Confirm: each task hashes the windows of its documents (64 bits, besides the bucket, which comes from another
+   hash of the same words), keeps one entry for a window that it saw in several documents, and sends the hashes, packed by
+   bucket. A bucket's task finds windows that recur and the smallest document that starts each. Runs of them are the recurring passages.
+2. Compile: documents are dealt to shards; each shard gets the recurring windows that its documents repeat, joins them into
+   passages and compiles an Aho-Corasick automaton with pyahocorasick. An automaton holds no more than its own documents' passages. Words are
+   written in a few symbols of a small alphabet, since a node's branches are searched one by one.
+3. Stream: every document runs through its shard's automaton, which gives every occurrence of a passage, and whether smaller documents own it.
 
-All shuffles are packed numbers but one of the texts; all work is linear. A phrase in a third of all documents costs
+All shuffles are packed numbers but one of the texts, also packed; all work is linear. A window in a third of all documents costs
 one entry for each task in its bucket, since tasks settle its repeats themselves.
 
 Defined results: null text has no words; a document with fewer words than a window keeps all; a null id is never
@@ -19,13 +20,12 @@ empty table gives an empty one; other columns are not read.
 
 from __future__ import annotations
 
-import hashlib
 from collections.abc import Iterator
 
 import ahocorasick
 import numpy as np
 import pyarrow as pa
-import xxhash
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -33,6 +33,12 @@ from .common import shuffle_partitions
 
 PACKED = "bucket int, docs binary, hashes binary, firsts binary"
 _FLUSH = 3_000_000  # windows that a task packs at a time
+_SLICE = 2 << 20  # bytes of text hashed at a time
+_BLANK = np.zeros(256, dtype=bool)
+_BLANK[[9, 10, 11, 12, 13, 32]] = True
+_BYTE = np.random.default_rng(13).integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_BYTE[_BLANK] = 0
+_PLACE = np.random.default_rng(31).integers(1, 1 << 63, 1 << 16, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
 def _mix(h: np.ndarray) -> np.ndarray:
@@ -42,171 +48,247 @@ def _mix(h: np.ndarray) -> np.ndarray:
     return h
 
 
-def window_hashes(words: list[bytes], size: int, known: dict[bytes, int], two: bool = True) -> tuple[np.ndarray, np.ndarray | None]:
-    """Two independent 64-bit hashes of each window; the second is left out on request."""
+def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """A 64-bit hash of each word of some texts in their order, and the text that it is in."""
+    texts = pa.concat_arrays([texts.cast(pa.large_binary()).fill_null(b"")])
+    offsets = np.frombuffer(texts.buffers()[1], np.int64, len(texts) + 1, texts.offset * 8)
+    data = np.frombuffer(texts.buffers()[2] or b"", np.uint8)[offsets[0] : offsets[-1]]
+    offsets = offsets - offsets[0]
+    if not len(data):
+        return np.empty(0, np.uint64), np.empty(0, np.int64)
+    there = ~_BLANK[data]
+    fresh = np.concatenate(([True], ~there[:-1]))
+    fresh[offsets[:-1][offsets[:-1] < len(data)]] = True
+    starts = np.flatnonzero(there & fresh)
+    if not len(starts):
+        return np.empty(0, np.uint64), np.empty(0, np.int64)
+    data = data[starts[0] :]
+    place = np.arange(len(data)) - np.repeat(starts - starts[0], np.diff(starts, append=starts[0] + len(data)))
+    h = np.add.reduceat(_BYTE[data] * _PLACE[place & 0xFFFF], starts - starts[0])
+    return _mix(h), np.searchsorted(offsets, starts, side="right") - 1
+
+
+def window_hashes(words: np.ndarray, text: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """First word of each window inside one text, its hash, and another hash that gives its bucket."""
     n = len(words) - size + 1
     if n < 1:
-        return np.empty(0, np.uint64), np.empty(0, np.uint64)
-    w = np.fromiter((known[x] if x in known else known.setdefault(x, xxhash.xxh3_64_intdigest(x)) for x in words), dtype=np.uint64, count=len(words))
-    a, b = np.full(n, 0x9E3779B97F4A7C15, dtype=np.uint64), np.full(n, 0xC2B2AE3D27D4EB4F, dtype=np.uint64)
+        return np.empty(0, np.int64), np.empty(0, np.uint64), np.empty(0, np.uint64)
+    h = np.full(n, 0x9E3779B97F4A7C15, dtype=np.uint64)
     for k in range(size):
-        part = w[k : k + n]
-        a = _mix((a + part) * np.uint64(0x9FB21C651E98DF25))
-        if two:
-            b = _mix((b ^ part) * np.uint64(0xA0761D6478BD642F) + np.uint64(k))
-    return a, b if two else None
+        h += words[k : k + n]
+        h *= np.uint64(0x9FB21C651E98DF25)
+        h ^= h >> np.uint64(31)
+    at = np.flatnonzero(text[:n] == text[size - 1 :])
+    total = np.concatenate((np.zeros(1, np.uint64), np.cumsum(words)))
+    return at, _mix(h[at]), _mix(total[at + size] - total[at])
+
+
+def _pack(x: np.ndarray) -> bytes:
+    return zstandard.compress(np.diff(x, prepend=x.dtype.type(0)).tobytes(), 1)
+
+
+def _unpack(x: bytes) -> np.ndarray:
+    return np.cumsum(np.frombuffer(zstandard.decompress(x), np.int64))
+
+
+def _small(to: np.ndarray) -> np.ndarray:
+    return to.astype(np.uint16) if not len(to) or to.max() < 1 << 16 else to.astype(np.int32)  # two bytes sort fastest
 
 
 def _by_bucket(to: np.ndarray, docs: np.ndarray, hashes: np.ndarray, firsts: np.ndarray | None) -> pa.RecordBatch:
-    order = np.argsort(to, kind="stable")
+    order = np.argsort(_small(to), kind="stable")
     to, docs, hashes = to[order], docs[order], hashes[order]
     cuts = np.flatnonzero(np.concatenate(([True], to[1:] != to[:-1])))
-    ends = np.concatenate((cuts[1:], [len(to)]))
-    pack = lambda x: pa.array([x[s:e].tobytes() for s, e in zip(cuts, ends)], type=pa.binary())
-    none = pa.nulls(len(cuts), pa.binary())
-    return pa.RecordBatch.from_arrays([pa.array(to[cuts].astype(np.int32)), pack(docs), pack(hashes), none if firsts is None else pack(firsts[order])], names=["bucket", "docs", "hashes", "firsts"])
+    parts = list(zip(cuts, np.concatenate((cuts[1:], [len(to)]))))
+    binary = lambda x: pa.array(x, type=pa.binary())
+    first = pa.nulls(len(cuts), pa.binary()) if firsts is None else binary([_pack(firsts[order[s:e]]) for s, e in parts])
+    return pa.RecordBatch.from_arrays([pa.array(to[cuts].astype(np.int32)), binary([_pack(docs[s:e]) for s, e in parts]), binary([hashes[s:e].tobytes() for s, e in parts]), first], names=["bucket", "docs", "hashes", "firsts"])
 
 
 def _shard_of(docs: np.ndarray, shards: int) -> np.ndarray:
     return (_mix(docs.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(7)) % np.uint64(shards)).astype(np.int64)
 
 
-def _first_of(hashes: np.ndarray, docs: np.ndarray) -> np.ndarray:
-    """For each entry the smallest doc that has its hash."""
-    order = np.lexsort((docs, hashes))
+def _least_by_hash(hashes: np.ndarray, docs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct hashes in order, the smallest doc of each, and for each entry the place of its hash."""
+    order = np.argsort(hashes)
     h = hashes[order]
     start = np.concatenate(([True], h[1:] != h[:-1]))
-    out = np.empty_like(docs)
-    out[order] = docs[order][np.maximum.accumulate(np.where(start, np.arange(len(h)), 0))]
-    return out
+    cuts = np.flatnonzero(start)
+    place = np.empty(len(h), np.int64)
+    place[order] = np.cumsum(start) - 1
+    return h[cuts], np.minimum.reduceat(docs[order], cuts), place
+
+
+def _slices(batch: pa.RecordBatch, column: int) -> Iterator[pa.RecordBatch]:
+    step = max(1, int(batch.num_rows * _SLICE / max(_SLICE, batch.column(column).nbytes)))
+    for at in range(0, batch.num_rows, step):
+        yield batch.slice(at, step)
 
 
 def _confirm(rows: DataFrame, size: int, buckets: int) -> DataFrame:
-    """(bucket, docs, hashes, firsts): for shards of documents, phrases that a smaller document starts too."""
+    """(bucket, docs, hashes, firsts): for shards of documents, windows that a smaller document starts too."""
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known: dict[bytes, int] = {}
         held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
         count = 0
 
         def flush():
             docs, a, b = (np.concatenate(x) for x in zip(*held))
-            first = _first_of(a, docs)
-            own = first == docs  # one entry for each phrase goes on; its repeats in this task are settled here
-            lead = np.zeros(len(a), dtype=bool)
-            at = np.flatnonzero(own)
-            lead[at[np.unique(a[at], return_index=True)[1]]] = True
+            _, least, place = _least_by_hash(a, docs)
+            first = least[place]
+            own = np.flatnonzero(first == docs)  # one entry for each window goes on; its repeats in this task are settled here
+            lead = np.full(len(least), -1)
+            lead[place[own[::-1]]] = own[::-1]
+            lead = np.sort(lead)
             yield _by_bucket((b[lead] % np.uint64(buckets)).astype(np.int64), docs[lead], a[lead], None)
-            if (~own).any():
-                yield _by_bucket(_shard_of(docs[~own], buckets), docs[~own], a[~own], first[~own])
+            again = first < docs
+            if again.any():
+                yield _by_bucket(_shard_of(docs[again], buckets), docs[again], a[again], first[again])
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
-                for i, t in zip(part.column(0).to_pylist(), part.column(1).cast(pa.binary()).to_pylist()):
-                    a, b = window_hashes((t or b"").split(), size, known)
-                    if i is not None and len(a):
-                        held.append((np.full(len(a), i, dtype=np.int64), a, b))
-                        count += len(a)
-                    if count >= _FLUSH:
-                        yield from flush()
-                        held, count = [], 0
-                if len(known) > 1_000_000:
-                    known.clear()
+            for part in _slices(batch.filter(batch.column(0).is_valid()), 1):
+                words, text = word_hashes(part.column(1))
+                at, a, b = window_hashes(words, text, size)
+                if len(at):
+                    held.append((part.column(0).to_numpy()[text[at]], a, b))
+                    count += len(at)
+                if count >= _FLUSH:
+                    yield from flush()
+                    held, count = [], 0
         if held:
             yield from flush()
 
     def recurring(key: tuple, table: pa.Table) -> pa.Table:
         rows = list(zip(*(table.column(c).to_pylist() for c in ("docs", "hashes", "firsts"))))
-        out = [_by_bucket(np.full(len(d) // 8, key[0].as_py()), np.frombuffer(d, np.int64), np.frombuffer(h, np.uint64), np.frombuffer(f, np.int64)) for d, h, f in rows if f is not None]
-        sent = [(np.frombuffer(d, np.int64), np.frombuffer(h, np.uint64)) for d, h, f in rows if f is None]
+        kinds = pa.schema([("bucket", pa.int32()), ("docs", pa.binary()), ("hashes", pa.binary()), ("firsts", pa.binary())])
+        out = [pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], type=pa.int32()), *(pa.array([x], type=pa.binary()) for x in r)], schema=kinds) for r in rows if r[2] is not None]
+        sent = [(_unpack(d), np.frombuffer(h, np.uint64)) for d, h, f in rows if f is None]
         if sent:
             docs, hashes = (np.concatenate(x) for x in zip(*sent))
-            first = _first_of(hashes, docs)
+            _, least, place = _least_by_hash(hashes, docs)
+            first = least[place]
             again = first < docs
             if again.any():
                 out.append(_by_bucket(_shard_of(docs[again], buckets), docs[again], hashes[again], first[again]))
-        return pa.Table.from_batches(out, schema=pa.schema([("bucket", pa.int32()), ("docs", pa.binary()), ("hashes", pa.binary()), ("firsts", pa.binary())]))
+        return pa.Table.from_batches(out, schema=kinds)
 
     return rows.mapInArrow(hashed, PACKED).groupBy("bucket").applyInArrow(recurring, PACKED)
 
 
 OUT = "id long, n_words long, n_removed long, kept string, spans array<struct<at:int,until:int>>"
+_SYMBOLS = "".join(map(chr, range(64, 96)))
+
+
+class Codes:
+    """Words as strings of equal length over 32 symbols; words outside the vocabulary share one of another symbol."""
+
+    def __init__(self, vocabulary: set[bytes]):
+        self.width = max(1, -(-max(1, len(vocabulary) - 1).bit_length() // 5))
+        code = lambda n: "".join(_SYMBOLS[n >> 5 * k & 31] for k in range(self.width))
+        self.of = {w: code(n) for n, w in enumerate(sorted(vocabulary))}
+        self.other = "~" * self.width
+
+    def __call__(self, words: list[bytes]) -> str:
+        get, other = self.of.get, self.other
+        return "".join([get(w, other) for w in words])
 
 
-def _covered(words: int, ends: list[int], size: int) -> np.ndarray:
-    """Which words lie in a window that ends at one of ends."""
+def _covered(words: int, spans: list[tuple[int, int]]) -> np.ndarray:
     step = np.zeros(words + 1, dtype=np.int32)
-    at = np.asarray(ends, dtype=np.int64)
-    np.add.at(step, at - (size - 1), 1)
-    np.add.at(step, at + 1, -1)
+    at = np.asarray(spans, dtype=np.int64)
+    np.add.at(step, at[:, 0], 1)
+    np.add.at(step, at[:, 1], -1)
     return np.cumsum(step[:-1]) > 0
 
 
+def passages(texts: pa.Array, ids: np.ndarray, size: int, told: list[tuple[np.ndarray, np.ndarray]]) -> list[tuple[int, int, int, int]]:
+    """(text, first word, end, owner): runs of recurring windows whose first documents, of which owner is the largest, are smaller than the text's."""
+    hashes, least, _ = _least_by_hash(*(np.concatenate(x) for x in zip(*told)))
+    words, text = word_hashes(texts)
+    at, h, _ = window_hashes(words, text, size)
+    if not len(at):
+        return []
+    place = np.minimum(np.searchsorted(hashes, h), len(hashes) - 1)
+    hit = np.flatnonzero((hashes[place] == h) & (least[place] < ids[text[at]]))
+    if not len(hit):
+        return []
+    first, owner, text_of = at[hit], least[place[hit]], text[at[hit]]
+    cuts = np.flatnonzero(np.concatenate(([True], (first[1:] != first[:-1] + 1) | (text_of[1:] != text_of[:-1]))))
+    ends = np.concatenate((cuts[1:], [len(hit)])) - 1
+    base = np.searchsorted(text, text_of[cuts])
+    return list(zip(text_of[cuts].tolist(), (first[cuts] - base).tolist(), (first[ends] - base + size).tolist(), np.maximum.reduceat(owner, cuts).tolist()))
+
+
 def dedup_substrings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window_words: int = 13, shards: int | None = None) -> DataFrame:
     """(id, n_words, n_removed, kept, spans): kept is the words that stay, joined by a blank; spans are the removed words' places.
 
-    Of each phrase the words stay in the document with the smallest id that starts it. shards: four for each shuffle partition
+    Of each window the words stay in the document with the smallest id that starts it. shards: four for each shuffle partition
     unless given, so that they grow with the data as the cluster's setting does.
     """
     size, shards = window_words, shards or 4 * shuffle_partitions(docs.sparkSession)
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("t"))
-    phrases = _confirm(rows, size, shards)
+    confirmed = _confirm(rows, size, shards)
 
     def shard(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows of a shard as one compressed Arrow stream."""
         for b in batches:
             ids = b.column(0)
             to = _shard_of(ids.fill_null(0).to_numpy(zero_copy_only=False), shards)
             lost = np.flatnonzero(ids.is_null().to_numpy(zero_copy_only=False))
             to[lost] = lost % shards
-            yield pa.RecordBatch.from_arrays([pa.array(to.astype(np.int32)), ids, b.column(1)], names=["bucket", "id", "t"])
-
-    def locate(key: tuple, texts: pa.Table, told: pa.Table) -> pa.Table:
-        wanted: dict[int, list[np.ndarray]] = {}
-        lowest: dict[int, int] = {}
-        for d, h, f in zip(*(told.column(c).to_pylist() for c in ("docs", "hashes", "firsts"))):
-            d, h, f = np.frombuffer(d, np.int64), np.frombuffer(h, np.uint64), np.frombuffer(f, np.int64)
-            for x, y in zip(h.tolist(), f.tolist()):
-                if y < lowest.get(x, y + 1):
-                    lowest[x] = y
-            order = np.argsort(d, kind="stable")
-            d, h = d[order], h[order]
-            cuts = np.flatnonzero(np.concatenate(([True], d[1:] != d[:-1])))
-            for s, e in zip(cuts, np.concatenate((cuts[1:], [len(d)]))):
-                wanted.setdefault(int(d[s]), []).append(h[s:e])
-        known: dict[bytes, int] = {}
-        number: dict[bytes, int] = {}
-        automaton = ahocorasick.Automaton(ahocorasick.STORE_INTS, ahocorasick.KEY_SEQUENCE)
-        ids, texts = texts.column("id").to_pylist(), texts.column("t").cast(pa.binary())
-        added: set[int] = set()
-        for n, i in enumerate(ids):  # compile: the words of the phrases that are told to recur
-            if i in wanted:
-                words = (texts[n].as_py() or b"").split()
-                hashes = window_hashes(words, size, known, two=False)[0]
-                for at in np.flatnonzero(np.isin(hashes, np.concatenate(wanted[i]))).tolist():
-                    if (h := int(hashes[at])) not in added:
-                        added.add(h)
-                        automaton.add_word(tuple(number.setdefault(w, len(number) + 1) for w in words[at : at + size]), lowest[h])
-        if added:
+            order = np.argsort(_small(to), kind="stable")
+            cuts = np.flatnonzero(np.concatenate(([True], np.diff(to[order]) != 0))) if len(to) else []
+            for part in np.split(order, cuts[1:]) if len(to) else []:
+                sink = pa.BufferOutputStream()
+                with pa.ipc.new_stream(sink, b.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as w:
+                    w.write_batch(b.take(pa.array(part)))
+                yield pa.RecordBatch.from_arrays([pa.array([to[part[0]]], type=pa.int32()), pa.array([sink.getvalue().to_pybytes()], type=pa.binary())], names=["bucket", "rows"])
+
+    def locate(key: tuple, packed: pa.Table, told: pa.Table) -> pa.Table:
+        streams = [pa.ipc.open_stream(x.as_buffer()).read_all() for c in packed.column("rows").chunks for x in c]
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.struct([("at", pa.int32()), ("until", pa.int32())])))
+        names = ["id", "n_words", "n_removed", "kept", "spans"]
+        if not streams:
+            return pa.Table.from_arrays([pa.array([], type=k) for k in kinds], names=names)
+        rows = pa.concat_tables(streams).combine_chunks()
+        texts = rows.column(1).chunk(0).cast(pa.large_binary())
+        ids = rows.column(0).chunk(0)
+        number = ids.fill_null(np.iinfo(np.int64).min).to_numpy()
+        entries = [(np.frombuffer(h, np.uint64), _unpack(f)) for h, f in zip(told.column("hashes").to_pylist(), told.column("firsts").to_pylist())]
+        found = passages(texts, number, size, entries) if entries else []
+        words_of = lambda n: (texts[n].as_py() or b"").split()
+        phrases: dict[tuple[bytes, ...], int] = {}
+        held, last = [], -1
+        for n, start, end, owner in found:
+            held, last = (held, last) if n == last else (words_of(n), n)
+            phrase = tuple(held[start:end])
+            phrases[phrase] = min(owner, phrases.get(phrase, owner))
+        code = Codes({w for p in phrases for w in p})
+        automaton = ahocorasick.Automaton()
+        for phrase, owner in phrases.items():
+            automaton.add_word(code(phrase), (len(phrase), owner))
+        if phrases:
             automaton.make_automaton()
-        out = []
-        for n, i in enumerate(ids):  # stream: every occurrence, in every document of the shard
-            words = (texts[n].as_py() or b"").split()
-            ends = [end for end, first in automaton.iter(tuple(number.get(w, 0) for w in words)) if first < i] if added and i is not None and len(words) >= size else []
-            if ends:
-                gone = _covered(len(words), ends, size)
+        out, width = [], code.width
+        for n, i in enumerate(number.tolist()):
+            words, hits = words_of(n), []
+            if phrases and len(words) >= size:
+                for end, (count, owner) in automaton.iter(code(words)):
+                    if owner < i and (end + 1) % width == 0:
+                        hits.append(((end + 1) // width - count, (end + 1) // width))
+            if hits:
+                gone = _covered(len(words), hits)
                 edge = np.flatnonzero(np.diff(np.concatenate(([0], gone.view(np.int8), [0]))))
                 kept = [w for w, g in zip(words, gone.tolist()) if not g]
                 spans = [{"at": int(s), "until": int(e)} for s, e in edge.reshape(-1, 2)]
             else:
                 kept, spans = words, []
-            out.append((i, len(words), len(words) - len(kept), b" ".join(kept).decode(), spans))
-        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.struct([("at", pa.int32()), ("until", pa.int32())])))
-        cols = list(zip(*out)) or [()] * 5
-        return pa.Table.from_arrays([pa.array(c, type=k) for c, k in zip(cols, kinds)], names=["id", "n_words", "n_removed", "kept", "spans"])
+            out.append((len(words), len(words) - len(kept), b" ".join(kept).decode(), spans))
+        return pa.Table.from_arrays([ids, *(pa.array(c, type=k) for c, k in zip(zip(*out), kinds[1:]))], names=names)
 
-    dealt = rows.mapInArrow(shard, "bucket int, id long, t string")
-    return dealt.groupBy("bucket").cogroup(phrases.groupBy("bucket")).applyInArrow(locate, OUT)
+    dealt = rows.mapInArrow(shard, "bucket int, rows binary")
+    return dealt.groupBy("bucket").cogroup(confirmed.groupBy("bucket")).applyInArrow(locate, OUT)
 
 
 def op4(docs: DataFrame) -> DataFrame:
