@@ -32,8 +32,8 @@ from pyspark.sql import functions as F
 from .common import shuffle_partitions
 
 PACKED = "bucket int, docs binary, hashes binary, firsts binary"
-_FLUSH = 3_000_000  # windows that a task packs at a time
-_SLICE = 2 << 20  # bytes of text hashed at a time
+_FLUSH = 1_000_000  # windows that a task packs at a time
+_SLICE = 1 << 20  # bytes of text hashed at a time
 _BLANK = np.zeros(256, dtype=bool)
 _BLANK[[9, 10, 11, 12, 13, 32]] = True
 _BYTE = np.random.default_rng(13).integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -205,19 +205,22 @@ def _covered(words: int, spans: list[tuple[int, int]]) -> np.ndarray:
 def passages(texts: pa.Array, ids: np.ndarray, size: int, told: list[tuple[np.ndarray, np.ndarray]]) -> list[tuple[int, int, int, int]]:
     """(text, first word, end, owner): runs of recurring windows whose first documents, of which owner is the largest, are smaller than the text's."""
     hashes, least, _ = _least_by_hash(*(np.concatenate(x) for x in zip(*told)))
-    words, text = word_hashes(texts)
-    at, h, _ = window_hashes(words, text, size)
-    if not len(at):
-        return []
-    place = np.minimum(np.searchsorted(hashes, h), len(hashes) - 1)
-    hit = np.flatnonzero((hashes[place] == h) & (least[place] < ids[text[at]]))
-    if not len(hit):
-        return []
-    first, owner, text_of = at[hit], least[place[hit]], text[at[hit]]
-    cuts = np.flatnonzero(np.concatenate(([True], (first[1:] != first[:-1] + 1) | (text_of[1:] != text_of[:-1]))))
-    ends = np.concatenate((cuts[1:], [len(hit)])) - 1
-    base = np.searchsorted(text, text_of[cuts])
-    return list(zip(text_of[cuts].tolist(), (first[cuts] - base).tolist(), (first[ends] - base + size).tolist(), np.maximum.reduceat(owner, cuts).tolist()))
+    out, step = [], max(1, int(len(texts) * _SLICE / max(_SLICE, texts.nbytes)))
+    for a in range(0, len(texts), step):
+        words, text = word_hashes(texts.slice(a, step))
+        at, h, _ = window_hashes(words, text, size)
+        if not len(at):
+            continue
+        place = np.minimum(np.searchsorted(hashes, h), len(hashes) - 1)
+        hit = np.flatnonzero((hashes[place] == h) & (least[place] < ids[text[at] + a]))
+        if not len(hit):
+            continue
+        first, owner, text_of = at[hit], least[place[hit]], text[at[hit]]
+        cuts = np.flatnonzero(np.concatenate(([True], (first[1:] != first[:-1] + 1) | (text_of[1:] != text_of[:-1]))))
+        ends = np.concatenate((cuts[1:], [len(hit)])) - 1
+        base = np.searchsorted(text, text_of[cuts])
+        out += zip((text_of[cuts] + a).tolist(), (first[cuts] - base).tolist(), (first[ends] - base + size).tolist(), np.maximum.reduceat(owner, cuts).tolist())
+    return out
 
 
 def dedup_substrings(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window_words: int = 13, shards: int | None = None) -> DataFrame:
