@@ -25,6 +25,7 @@ from collections.abc import Iterator
 import ahocorasick
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -159,21 +160,43 @@ def _confirm(rows: DataFrame, size: int, buckets: int) -> DataFrame:
         if held:
             yield from flush()
 
-    def recurring(key: tuple, table: pa.Table) -> pa.Table:
-        rows = list(zip(*(table.column(c).to_pylist() for c in ("docs", "hashes", "firsts"))))
-        kinds = pa.schema([("bucket", pa.int32()), ("docs", pa.binary()), ("hashes", pa.binary()), ("firsts", pa.binary())])
-        out = [pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], type=pa.int32()), *(pa.array([x], type=pa.binary()) for x in r)], schema=kinds) for r in rows if r[2] is not None]
-        sent = [(_unpack(d), np.frombuffer(h, np.uint64)) for d, h, f in rows if f is None]
-        if sent:
+    def recurring(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come bucket by bucket; what a task finds is packed by shard over all of its buckets."""
+        sent: list[tuple[np.ndarray, np.ndarray]] = []
+        found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        bucket = None
+
+        def settle():
             docs, hashes = (np.concatenate(x) for x in zip(*sent))
             _, least, place = _least_by_hash(hashes, docs)
             first = least[place]
             again = first < docs
             if again.any():
-                out.append(_by_bucket(_shard_of(docs[again], buckets), docs[again], hashes[again], first[again]))
-        return pa.Table.from_batches(out, schema=kinds)
+                found.append((docs[again], hashes[again], first[again]))
+            sent.clear()
+
+        def told():
+            docs, hashes, firsts = (np.concatenate(x) for x in zip(*found))
+            found.clear()
+            return _by_bucket(_shard_of(docs, buckets), docs, hashes, firsts)
+
+        for b in batches:
+            settled = b.column(3).is_valid()  # repeats that a task has settled only pass by
+            yield b.filter(settled)
+            b = b.filter(pc.invert(settled))
+            for k, d, h in zip(*(b.column(c).to_pylist() for c in range(3))):
+                if k != bucket and sent:
+                    settle()
+                    if sum(len(f[0]) for f in found) >= _FLUSH:
+                        yield told()
+                bucket = k
+                sent.append((_unpack(d), np.frombuffer(h, np.uint64)))
+        if sent:
+            settle()
+        if found:
+            yield told()
 
-    return rows.mapInArrow(hashed, PACKED).groupBy("bucket").applyInArrow(recurring, PACKED)
+    return rows.mapInArrow(hashed, PACKED).repartition("bucket").sortWithinPartitions("bucket").mapInArrow(recurring, PACKED)
 
 
 OUT = "id long, n_words long, n_removed long, kept string, spans array<struct<at:int,until:int>>"
