@@ -105,14 +105,16 @@ class Encoder:
     CUT = re.compile(f"{MARK}+[^{MARK}]*")
 
     def __init__(self, model: PieceModel, max_known: int = 400_000):
-        self.m, self.max_known, self.apart, self.runs = model, max_known, {}, {}
+        self.m, self.max_known, self.apart, self.known = model, max_known, {}, {}
 
     def words(self, distinct: set[str]) -> dict[str, list[int]]:
-        """Ids of each word of one mark and what follows it."""
-        m, apart, out = self.m, self.apart, {}
+        """Ids of at least these words of one mark and what follows it; words seen lately are remembered."""
+        m, apart, out = self.m, self.apart, self.known
+        if len(out) > self.max_known:
+            out.clear()
         get, longest = m.known.get, m.longest
         last, back, before = [None], [0], ""
-        for word in sorted(distinct):
+        for word in sorted(w for w in distinct if w not in out):
             n, k = min(len(word), len(before)), 0
             while k < n and word[k] == before[k]:
                 k += 1
@@ -150,13 +152,14 @@ class Encoder:
         """A run of marks is encoded apart from the word behind it, which takes the last mark if a piece of it begins so."""
         cut = [None if t is None else self.CUT.findall(MARK + t.replace(" ", MARK)) if t else [] for t in texts]
         marked = {w for ws in cut if ws for w in ws}
-        known = self.words({MARK + w.lstrip(MARK) for w in marked if w[-1] != MARK})
+        words = self.words({MARK + w.lstrip(MARK) for w in marked if w[-1] != MARK})
+        known = {w: words.get(w) for w in marked}
         for w in marked:
             n = len(w) - len(w.lstrip(MARK))
             if n == len(w):
                 known[w] = self.m.mark_run(n)
             elif n > 1:
-                ids = known[w[n - 1 :]]
+                ids = words[w[n - 1 :]]
                 alone = ids[0] == self.m.ids[MARK]
                 known[w] = self.m.mark_run(n if alone else n - 1) + (ids[1:] if alone else ids)
         return [None if ws is None else [i for w in ws for i in known[w]] for ws in cut]
