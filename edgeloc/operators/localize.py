@@ -32,7 +32,12 @@ class Result:
 
 def flags(inputs: Inputs, beta: float = birch.BETA, scale: str = "l2", only: str = "all") -> tuple[DataFrame, DataFrame]:
     """Flagged node and edge series; only="latency" looks at edges alone, the habit of web applications."""
-    on = lambda df: birch.detect(df.withColumn("z", metrics.normalized(F.col("v"), scale)), beta, "z").where("is_anomalous").drop("z")
+
+    def on(df: DataFrame) -> DataFrame:
+        if scale == "l2":
+            return birch.detect_batches(df, beta, "v", "l2").where("is_anomalous")
+        return birch.detect(df.withColumn("z", metrics.normalized(F.col("v"), scale)), beta, "z").where("is_anomalous").drop("z")
+
     nodes = on(inputs.nodes)
     return (nodes.where(F.lit(False)) if only == "latency" else nodes), on(inputs.edges)
 

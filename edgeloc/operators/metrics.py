@@ -45,7 +45,8 @@ def normalized(v: Column, how: str = "l2") -> Column:
     total = lambda a: F.aggregate(a, F.lit(0.0), lambda s, x: s + x)
     if how == "l2":
         size = F.sqrt(total(F.transform(v, lambda x: x * x)))
-        return F.transform(v, lambda x: F.when(size > 0, x / size).otherwise(0.0))
+        scaled = F.transform(F.array(size), lambda n: F.transform(v, lambda x: F.when(n > 0, x / n).otherwise(0.0)))
+        return F.get(scaled, 0)  # the norm is bound, so that it is taken once
     if how == "minmax":
         low, wide = F.array_min(v), F.array_max(v) - F.array_min(v)
         return F.transform(v, lambda x: F.when(wide > 0, (x - low) / wide).otherwise(0.0))

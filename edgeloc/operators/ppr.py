@@ -82,25 +82,24 @@ def _prepared(nodes: DataFrame, edges: DataFrame) -> tuple[DataFrame, DataFrame]
 
 
 def solve_relational(nodes: DataFrame, edges: DataFrame, alpha: float = 0.5, eps: float = 1e-6, max_iter: int = 200, check_every: int = 5) -> DataFrame:
-    """(node, r) of one graph too large for a task; convergence is looked at, and lineage cut, every few steps."""
+    """(node, r) of one graph too large for a task; lineage is cut every step, and convergence looked at every few."""
     s, p = (checkpointed(x) for x in _prepared(nodes, edges))
     r = s.withColumnRenamed("s", "r")
     for done in range(check_every, max_iter + check_every, check_every):
         before = r
         for _ in range(check_every):
-            before, r = r, _step(r, p, s, alpha)
-        both = checkpointed(r.join(before.toDF("node", "old"), "node"))
-        r = both.select("node", "r")
-        if (both.agg(F.sum(F.abs(F.col("r") - F.col("old")))).first()[0] or 0.0) < eps:
+            before, r = r, checkpointed(_step(r, p, s, alpha))
+        if (r.join(before.toDF("node", "old"), "node").agg(F.sum(F.abs(F.col("r") - F.col("old")))).first()[0] or 0.0) < eps:
             break
     return r
 
 
 def solve_steps(nodes: DataFrame, edges: DataFrame, alpha: float = 0.5, steps: int = 10) -> DataFrame:
-    s, p = _prepared(nodes, edges)
+    """A step reads the last vector twice, so it is written each time: the plan would double with every step."""
+    s, p = (checkpointed(x) for x in _prepared(nodes, edges))
     r = s.withColumnRenamed("s", "r")
     for _ in range(steps):
-        r = _step(r, p, s, alpha)
+        r = checkpointed(_step(r, p, s, alpha))
     return r
 
 

@@ -22,11 +22,18 @@ def abs_corr(x: Column, y: Column, kind: str = "pearson") -> Column:
     """Direction-invariant correlation of two aligned arrays; 0 where it is undefined."""
     if kind == "spearman":
         return abs_corr(_ranks(x), _ranks(y))
-    n = F.size(x)
-    mx, my = _sum(x) / n, _sum(y) / n
-    sxy = _sum(F.zip_with(x, y, lambda a, b: (a - mx) * (b - my)))
-    sxx, syy = _sum(F.transform(x, lambda a: (a - mx) * (a - mx))), _sum(F.transform(y, lambda b: (b - my) * (b - my)))
-    r = F.when((sxx > 1e-24) & (syy > 1e-24), F.least(F.lit(1.0), F.abs(sxy) / F.sqrt(sxx * syy))).otherwise(0.0)
+    sums = ("n", "x", "y", "xx", "yy", "xy")
+    zero = F.struct(*(F.lit(0.0).alias(k) for k in sums))
+
+    def add(s, p):
+        new = {"n": F.lit(1.0), "x": p["a"], "y": p["b"], "xx": p["a"] * p["a"], "yy": p["b"] * p["b"], "xy": p["a"] * p["b"]}
+        return F.struct(*((s[k] + new[k]).alias(k) for k in sums))
+
+    def told(s):
+        sxx, syy, sxy = s["xx"] - s["x"] * s["x"] / s["n"], s["yy"] - s["y"] * s["y"] / s["n"], s["xy"] - s["x"] * s["y"] / s["n"]
+        return F.when((sxx > 1e-12 * s["xx"]) & (syy > 1e-12 * s["yy"]), F.least(F.lit(1.0), F.abs(sxy) / F.sqrt(sxx * syy))).otherwise(0.0)
+
+    r = F.aggregate(F.zip_with(x, y, lambda a, b: F.struct(a.alias("a"), b.alias("b"))), zero, add, told)
     return r * r if kind == "r2" else r
 
 

@@ -54,12 +54,12 @@ ORACLES = {
     "web_links": """SELECT src, CASE WHEN host = '' THEN src ELSE host END AS dst, count(*) AS freq FROM (SELECT src, regexp_extract(href, '://([^/?#]*)', 1) AS host FROM (SELECT regexp_extract(url, '://([^/?#]*)', 1) AS src, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS href FROM pages)) GROUP BY 1, 2""",
     "op_session_traces": "SELECT user_id, session, count(*) AS n FROM (SELECT user_id, sum(cut) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING)::BIGINT AS session FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) > INTERVAL 3 DAY THEN 1 ELSE 0 END AS cut FROM events)) GROUP BY 1, 2",
     "wl_series_events": f"WITH {_EVENTS} SELECT entity, metric, t, round(value, 6) AS value FROM (SELECT service AS entity, t, count(*)::DOUBLE AS count, avg(value) AS avg, max(value) AS max, quantile_cont(value, 0.5) AS p50, quantile_cont(value, 0.9) AS p90, quantile_cont(value, 0.99) AS p99 FROM es GROUP BY 1, 2) UNPIVOT (value FOR metric IN (count, avg, max, p50, p90, p99))",
-    "wl_series_supplier": "SELECT CAST(s_nationkey AS BIGINT) AS entity, CAST(year(l_shipdate) * 4 + quarter(l_shipdate) AS INT) AS t, count(*) AS n, round(sum(l_quantity), 6) AS qty, round(avg(l_discount), 5) AS disc, round(avg(l_tax), 5) AS tax FROM lineitem JOIN supplier ON s_suppkey = l_suppkey GROUP BY 1, 2",
+    "wl_series_supplier": "SELECT CAST(s_nationkey AS BIGINT) AS entity, CAST(year(l_shipdate) * 4 + quarter(l_shipdate) AS INT) AS t, count(*) AS n, round(sum(l_quantity), 6) AS qty, CAST(sum(CAST(round(l_discount * 100) AS BIGINT)) AS BIGINT) AS disc, CAST(sum(CAST(round(l_tax * 100) AS BIGINT)) AS BIGINT) AS tax FROM lineitem JOIN supplier ON s_suppkey = l_suppkey GROUP BY 1, 2",
     "wl_edge_latency": f"WITH {_SPANS}, n AS (SELECT a AS src, b AS dst, latency, day FROM calls WHERE a <> b) " + _PCT.format(t="CAST(year(day) * 2 + floor((month(day) - 1) / 6) AS BIGINT)", of="n"),
     "op_edge_percentiles": f"WITH {_EVENTS} " + _PCT.format(t="CAST(floor(t / 10) AS BIGINT)", of="ecalls"),
     "op_series_align": f"WITH {_EVENTS}, {_ALIGNED} SELECT entity, 'count' AS metric, CAST(t AS INT) AS t, value FROM aligned",
     "op_l2_normalize": f"WITH {_EVENTS}, {_ALIGNED} SELECT entity, CAST(t AS INT) AS t, round(z, 6) AS value FROM unit",
-    "op_sliding_rate": "SELECT CAST(d AS DATE) AS start, event_type, count(*) AS n FROM (SELECT event_type, unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY]) AS d FROM events) GROUP BY 1, 2",
+    "op_sliding_rate": "SELECT CAST(date_diff('day', DATE '2024-01-01', CAST(d AS DATE)) AS INT) AS start, event_type, count(*) AS n FROM (SELECT event_type, unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY]) AS d FROM events) GROUP BY 1, 2",
     "op_asof_metric": "SELECT event_id, last_value FROM (SELECT event_id, event_type, last_value(CASE WHEN event_type = 'purchase' THEN value END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS last_value FROM events) WHERE event_type = 'click'",
     "op_interval_join": "SELECT i.event_id AS incident, count(*) AS n FROM events i JOIN events e ON e.user_id = i.user_id AND e.ts <= i.ts AND e.ts >= i.ts - INTERVAL 1 HOUR WHERE i.value > 200 GROUP BY 1",
     "op_props_json": f"WITH {_EVENTS} SELECT device, count(*) AS n FROM es GROUP BY 1",
@@ -74,6 +74,6 @@ ORACLES = {
     "clu_map_greedy": _shape("clu_map"),
     **{n: _shape(n) for n in ("clu_map", "clu_weights", "clu_cut_ratio", "sub_nodes", "sub_edges", "sub_shadow", "op_two_way_crossings")},
     "op_cube_fault": "WITH t AS (SELECT CASE WHEN i < 146 THEN 'HH' ELSE 'SH' END AS grp, ['cpu', 'memory', 'latency', 'loss', 'duplication', 'corruption', 'disorder', 'delay', 'jitter'][i % 9 + 1] AS fault FROM range(0, 383) x(i)) SELECT grp, fault, count(*) AS n FROM t GROUP BY CUBE (grp, fault)",
-    "stream_series": "SELECT CAST(ts AS DATE) AS day, event_type, count(*) AS n, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY 1, 2",
+    "stream_series": "SELECT CAST(date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS INT) AS day, event_type, count(*) AS n, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY 1, 2",
     "eval_quoted": "SELECT * FROM (VALUES ('HH', 0.632::DOUBLE, 0.756::DOUBLE, 0.796::DOUBLE, 0.833::DOUBLE, 0.896::DOUBLE), ('SH', 0.607, 0.732, 0.792, 0.849, 0.907)) v(grp, acc_1, acc_2, acc_3, acc_5, acc_10)",
 }

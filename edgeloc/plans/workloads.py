@@ -96,7 +96,7 @@ def web_links(s, d):
 def op_session_traces(s, d):
     """Sessions of users, cut where three days pass without an event."""
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    gap = (F.unix_micros("ts") - F.unix_micros(F.lag("ts").over(w))) > 3 * 86_400_000_000
+    gap = (F.unix_micros(F.col("ts").cast("timestamp")) - F.unix_micros(F.lag("ts").over(w).cast("timestamp"))) > 3 * 86_400_000_000
     e = load(s, d, "events").select("user_id", "ts", "event_id", F.coalesce(gap, F.lit(False)).cast("int").alias("cut"))
     e = e.withColumn("session", F.sum("cut").over(w.rowsBetween(Window.unboundedPreceding, 0)))
     return e.groupBy("user_id", "session").agg(F.count("*").alias("n"))
@@ -114,7 +114,7 @@ def wl_series_events(s, d):
 def wl_series_supplier(s, d):
     item = load(s, d, "lineitem").join(load(s, d, "supplier"), F.col("l_suppkey") == F.col("s_suppkey"))
     t = F.year("l_shipdate") * 4 + F.quarter("l_shipdate")
-    return item.groupBy(F.col("s_nationkey").cast("long").alias("entity"), t.alias("t")).agg(F.count("*").alias("n"), r6(F.sum("l_quantity")).alias("qty"), F.round(F.avg("l_discount"), 5).alias("disc"), F.round(F.avg("l_tax"), 5).alias("tax"))
+    return item.groupBy(F.col("s_nationkey").cast("long").alias("entity"), t.alias("t")).agg(F.count("*").alias("n"), r6(F.sum("l_quantity")).alias("qty"), F.sum(F.round(F.col("l_discount") * 100).cast("long")).alias("disc"), F.sum(F.round(F.col("l_tax") * 100).cast("long")).alias("tax"))
 
 
 @query
@@ -149,7 +149,7 @@ def op_l2_normalize(s, d):
 @query
 def op_sliding_rate(s, d):
     e = load(s, d, "events")
-    return e.groupBy(F.window("ts", "2 days", "1 day").alias("w"), "event_type").agg(F.count("*").alias("n")).select(F.col("w.start").cast("date").alias("start"), "event_type", "n")
+    return e.groupBy(F.window("ts", "2 days", "1 day").alias("w"), "event_type").agg(F.count("*").alias("n")).select(F.datediff(F.col("w.start").cast("date"), F.lit("2024-01-01").cast("date")).alias("start"), "event_type", "n")
 
 
 @query
@@ -164,10 +164,10 @@ def op_asof_metric(s, d):
 @query
 def op_interval_join(s, d):
     """Events at most an hour before a large one of the same device: hour buckets make the interval an equi join."""
-    e = load(s, d, "events").select("event_id", "user_id", "ts", "value", F.unix_micros("ts").alias("us"))
+    e = load(s, d, "events").select("event_id", "user_id", "ts", "value", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"))
     hour = 3_600_000_000
     big = e.where("value > 200").select(F.col("event_id").alias("incident"), F.col("user_id").alias("u"), F.col("us").alias("t0"), F.explode(F.array(F.floor(F.col("us") / hour), F.floor(F.col("us") / hour) - 1)).alias("b"))
-    j = e.withColumn("b", F.floor(F.col("us") / hour)).join(big, (F.col("user_id") == F.col("u")) & (e["ts"].isNotNull()) & (F.floor(e["us"] / hour) == big["b"]))
+    j = e.join(big, (F.col("user_id") == F.col("u")) & (F.floor(e["us"] / hour) == big["b"]))
     return j.where((F.col("us") <= F.col("t0")) & (F.col("us") >= F.col("t0") - hour)).groupBy("incident").agg(F.count("*").alias("n"))
 
 
@@ -495,7 +495,7 @@ def stream_series(s, d):
     """Events replayed as a stream; the daily series at the end, kept by an aggregation's state."""
     from edgeloc.streaming import detect
 
-    return detect.run_once(detect.daily_series(detect.event_stream(s, f"{d}/events.parquet")), "edgeloc_stream_series")
+    return detect.run_once(detect.daily_series(detect.event_stream(s, d)), "edgeloc_stream_series")
 
 
 @query
@@ -503,6 +503,6 @@ def stream_detect(s, d):
     """Flags of event types after a replay; the last update of each."""
     from edgeloc.streaming import detect
 
-    samples = detect.event_stream(s, f"{d}/events.parquet").select(F.col("event_type").alias("entity"), (F.col("value") / 1000).alias("value"))
+    samples = detect.event_stream(s, d).select(F.col("event_type").alias("entity"), (F.col("value") / 1000).alias("value"))
     out = detect.run_once(detect.flags(samples, 0.05), "edgeloc_stream_detect", "update")
     return out.groupBy("entity").agg(F.max("n_features").alias("n_features"), F.bool_or("is_anomalous").alias("is_anomalous"))

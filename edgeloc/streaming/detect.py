@@ -13,15 +13,17 @@ from edgeloc.operators.birch import BETA, Tree
 from edgeloc.sources.tables import EVENTS
 
 
-def event_stream(spark: SparkSession, path: str, files: int = 1) -> DataFrame:
-    return spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files).parquet(path)
+def event_stream(spark: SparkSession, folder: str, files: int = 1) -> DataFrame:
+    """Event files of a folder as they come."""
+    raw = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files).option("pathGlobFilter", "events*.parquet").parquet(folder)
+    return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def daily_series(events: DataFrame, late: str = "1 day", dedupe: bool = False) -> DataFrame:
     """(day, event_type, n, total): tumbling days with a watermark; the same expression for a batch and a stream."""
     e = events.withWatermark("ts", late)
     e = e.dropDuplicatesWithinWatermark(["event_id"]) if dedupe and events.isStreaming else e
-    return e.groupBy(F.window("ts", "1 day").alias("w"), "event_type").agg(F.count("*").alias("n"), F.sum(F.round(F.col("value") * 100).cast("long")).alias("cents")).select(F.to_date("w.start").alias("day"), "event_type", "n", "cents")
+    return e.groupBy(F.window("ts", "1 day").alias("w"), "event_type").agg(F.count("*").alias("n"), F.sum(F.round(F.col("value") * 100).cast("long")).alias("cents")).select(F.datediff(F.col("w.start").cast("date"), F.lit("2024-01-01").cast("date")).alias("day"), "event_type", "n", "cents")
 
 
 def flags(samples: DataFrame, beta: float = BETA, branching: int = 50) -> DataFrame:
