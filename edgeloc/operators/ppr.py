@@ -20,11 +20,12 @@ def iterate(s: np.ndarray, src: np.ndarray, dst: np.ndarray, w: np.ndarray, alph
     """The fixpoint, the steps taken and the last change. A node without outgoing weight gives its mass to s, itself ("loop") or none ("drop")."""
     n = len(s)
     s = s / s.sum() if s.sum() > 0 else np.full(n, 1 / n)
-    total = np.bincount(src, w, n)
+    w = np.asarray(w, dtype=float)
+    total = np.bincount(src, w, n).astype(float)  # integers if there are no edges
     p = np.divide(w, total[src], out=np.zeros_like(w, dtype=float), where=total[src] > 0)
     r, loose = s.copy(), total <= 0
     for step in range(1, max_iter + 1):
-        new = np.bincount(dst, p * r[src], n)
+        new = np.bincount(dst, p * r[src], n).astype(float)
         if dangling == "personalized":
             new += r[loose].sum() * s
         elif dangling == "loop":
