@@ -16,14 +16,18 @@ the vocabulary are an error. All columns of a row pass through; one named like t
 from __future__ import annotations
 
 import re
+from array import array
 from collections.abc import Iterator
+from itertools import chain
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
 MARK = "▁"
 MAX_MODEL_BYTES = 64 << 20
+TAIL = 4
 
 
 def default_model_path() -> str:
@@ -61,7 +65,13 @@ class PieceModel:
             if split:
                 self.parts[s] = split
         self.known = {s: s for s in self.ids if s in self.parts or len(s) == 1}
-        self.longest = max(map(len, self.known))
+        #: Lengths, longest first, of the pieces that end in the same few characters: no other length can end there.
+        lengths: dict[str, set[int]] = {}
+        for x in self.known:
+            if len(x) >= TAIL:
+                lengths.setdefault(x[-TAIL:], set()).add(len(x))
+        self.short = tuple(range(TAIL - 1, 0, -1))
+        self.tails = {x: (*sorted(n, reverse=True), *self.short) for x, n in lengths.items()}
 
     def _last_merge(self, s: str) -> tuple[str, str] | None:
         """The two pieces whose merge gives s, if merging the characters of s in rank order ends in s."""
@@ -99,30 +109,52 @@ class PieceModel:
             at[k : k + 2] = [at[k] + at[k + 1]]
 
 
+def gather(starts: np.ndarray, sizes: np.ndarray, flat: np.ndarray) -> np.ndarray:
+    """The concatenation of flat[starts[k] : starts[k] + sizes[k]] over all k."""
+    ends = np.cumsum(sizes, dtype=np.int64)
+    total = int(ends[-1]) if len(ends) else 0
+    return flat[np.repeat(starts - (ends - sizes), sizes) + np.arange(total, dtype=np.int64)]
+
+
 class Encoder:
-    """Encodes batches of texts; what it has learned of word pairs and words stays bounded."""
+    """Encodes batches of texts; what it has learned of word pairs and words stays bounded.
+
+    A word is known by what follows its one mark; a word behind several marks, or a run of them, by all of it, marks included.
+    """
 
     CUT = re.compile(f"{MARK}+[^{MARK}]*")
 
     def __init__(self, model: PieceModel, max_known: int = 400_000):
-        self.m, self.max_known, self.apart, self.known = model, max_known, {}, {}
-
-    def words(self, distinct: set[str]) -> dict[str, list[int]]:
-        """Ids of at least these words of one mark and what follows it; words seen lately are remembered."""
-        m, apart, out = self.m, self.apart, self.known
-        if len(out) > self.max_known:
-            out.clear()
-        get, longest = m.known.get, m.longest
+        self.m, self.max_known, self.apart = model, max_known, {}
+        self._forget()
+
+    def _forget(self) -> None:
+        self.at, self.flat, self.starts = {}, array("i"), array("q", [0])
+
+    def _remember(self, word: str, ids: list[int]) -> None:
+        self.at[word] = len(self.at)
+        self.flat.extend(ids)
+        self.starts.append(len(self.flat))
+
+    def _ids(self, word: str) -> list[int]:
+        k = self.at[word]
+        return self.flat[self.starts[k] : self.starts[k + 1]].tolist()
+
+    def learn(self, new: set[str]) -> None:
+        """Encodes words of one mark: sorted, each begins with the forward states that it shares with the one before."""
+        m, apart = self.m, self.apart
+        get, tails, short = m.known.get, m.tails.get, m.short
         last, back, before = [None], [0], ""
-        for word in sorted(w for w in distinct if w not in out):
+        for bare in sorted(new):
+            word = MARK + bare
             n, k = min(len(word), len(before)), 0
             while k < n and word[k] == before[k]:
                 k += 1
             del last[k + 1 :], back[k + 1 :]
             for i in range(k + 1, len(word) + 1):
-                for s in range(max(0, i - longest), i):
-                    piece = get(word[s:i])
-                    if piece is None:
+                for n in tails(word[i - TAIL : i], short) if i >= TAIL else short:
+                    s = i - n
+                    if s < 0 or (piece := get(word[s:i])) is None:
                         continue
                     left = last[s]
                     if left is not None:
@@ -143,26 +175,77 @@ class Encoder:
                 ids.extend([m.byte_ids[b] for b in reversed(word[i - 1].encode())] if piece is None else (m.ids[piece],))
                 i = back[i]
             ids.reverse()
-            out[word], before = ids, word
+            self._remember(bare, ids)
+            before = word
         if len(apart) > self.max_known:
             apart.clear()
-        return out
 
-    def encode(self, texts: list[str | None]) -> list[list[int] | None]:
+    def _learn_runs(self, runs: set[str]) -> None:
         """A run of marks is encoded apart from the word behind it, which takes the last mark if a piece of it begins so."""
-        cut = [None if t is None else self.CUT.findall(MARK + t.replace(" ", MARK)) if t else [] for t in texts]
-        marked = {w for ws in cut if ws for w in ws}
-        words = self.words({MARK + w.lstrip(MARK) for w in marked if w[-1] != MARK})
-        known = {w: words.get(w) for w in marked}
-        for w in marked:
-            n = len(w) - len(w.lstrip(MARK))
-            if n == len(w):
-                known[w] = self.m.mark_run(n)
-            elif n > 1:
-                ids = words[w[n - 1 :]]
-                alone = ids[0] == self.m.ids[MARK]
-                known[w] = self.m.mark_run(n if alone else n - 1) + (ids[1:] if alone else ids)
-        return [None if ws is None else [i for w in ws for i in known[w]] for ws in cut]
+        for w in runs:
+            bare = w.lstrip(MARK)
+            n = len(w) - len(bare)
+            if not bare:
+                self._remember(w, self.m.mark_run(n))
+                continue
+            ids = self._ids(bare)
+            alone = ids[0] == self.m.ids[MARK]
+            self._remember(w, self.m.mark_run(n if alone else n - 1) + (ids[1:] if alone else ids))
+
+    def _cut(self, text: str | None) -> list[str]:
+        if not text:
+            return []
+        text = text.replace(MARK, " ")
+        words = text.split(" ")
+        if "" not in words:  # one mark before each word
+            return words
+        return [w if w[1:2] in ("", MARK) else w[1:] for w in self.CUT.findall(MARK + text.replace(" ", MARK))]
+
+    def encode(self, texts: list[str | None]) -> pa.ListArray:
+        """A list of ids for each text."""
+        if len(self.at) > self.max_known:
+            self._forget()
+        cut = [self._cut(t) for t in texts]
+        words = list(chain.from_iterable(cut))
+        new = set(words).difference(self.at)
+        runs = {w for w in new if w[0] == MARK}
+        self.learn((new - runs) | {b for w in runs if (b := w.lstrip(MARK)) and b not in self.at})
+        self._learn_runs(runs)
+        index = np.fromiter(map(self.at.__getitem__, words), dtype=np.int64, count=len(words))
+        starts = np.array(self.starts, dtype=np.int64)
+        sizes = np.diff(starts)[index]
+        ids = gather(starts[index], sizes, np.array(self.flat, dtype=np.int32))
+        ends = np.concatenate(([0], np.cumsum(sizes)))[np.concatenate(([0], np.cumsum([len(c) for c in cut], dtype=np.int64)))]
+        return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(ids), mask=pa.array([t is None for t in texts], pa.bool_()))
+
+
+class Decoder:
+    """Texts of lists of ids: the bytes of all pieces in one array, gathered by piece."""
+
+    def __init__(self, model: PieceModel):
+        self.sizes = np.array([len(x) for x in model.raw], dtype=np.int64)
+        self.starts = np.cumsum(self.sizes) - self.sizes
+        self.flat = np.frombuffer(b"".join(model.raw), dtype=np.uint8)
+
+    def decode(self, lists: pa.ListArray) -> pa.Array:
+        ids = lists.flatten().to_numpy(zero_copy_only=False)
+        if len(ids) and not (0 <= ids.min() and ids.max() < len(self.sizes)):
+            raise IndexError("an id outside the vocabulary")
+        counts = lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
+        sizes = self.sizes[ids]
+        data = gather(self.starts[ids], sizes, self.flat)
+        of = np.concatenate(([0], np.cumsum(sizes)))[np.concatenate(([0], np.cumsum(counts, dtype=np.int64)))]
+        first, end = of[:-1], of[1:]
+        keep = np.ones(len(data), dtype=bool)
+        keep[first[end > first]] = False  # the blank of the first mark
+        offsets = of - np.concatenate(([0], np.cumsum(end > first)))
+        nulls = lists.is_null().to_numpy(zero_copy_only=False)
+        valid = pa.py_buffer(np.packbits(~nulls, bitorder="little"))
+        raw = pa.Array.from_buffers(pa.binary(), len(lists), [valid, pa.py_buffer(offsets.astype(np.int32)), pa.py_buffer(data[keep])])
+        try:
+            return raw.cast(pa.string())
+        except pa.ArrowInvalid:  # bytes that are no UTF-8, from ids that no text gave
+            return pa.array([None if x is None else x.decode("utf-8", "replace") for x in raw.to_pylist()], pa.string())
 
 
 def _pieces_of_batches(batches, column: int, most: int):
@@ -188,7 +271,7 @@ def encode(docs: DataFrame, text_col: str = "text", out_col: str = "ids", model_
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = Encoder(model.value)
         for b in _pieces_of_batches(batches, at, 4 << 20):
-            ids = pa.array(coder.encode(b.column(at).to_pylist()), type=pa.list_(pa.int32()))
+            ids = coder.encode(b.column(at).to_pylist())
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in names), ids], names=[*names, out_col])
 
     return docs.mapInArrow(run, _with(docs.schema, out_col, T.ArrayType(T.IntegerType())))
@@ -200,12 +283,10 @@ def decode(docs: DataFrame, ids_col: str = "ids", out_col: str = "text", model_p
     names = [c for c in docs.columns if c != out_col]
     at = docs.columns.index(ids_col)
 
-    def text(ids, raw):
-        return None if ids is None else b"".join([raw[i] for i in ids])[1:].decode("utf-8", "replace")
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in _pieces_of_batches(batches, at, 16 << 20):
-            out = pa.array([text(x, model.value.raw) for x in b.column(at).to_pylist()], type=pa.string())
+        decoder = Decoder(model.value)
+        for b in _pieces_of_batches(batches, at, 4 << 20):
+            out = decoder.decode(b.column(at))
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in names), out], names=[*names, out_col])
 
     return docs.mapInArrow(run, _with(docs.schema, out_col, T.StringType()))
@@ -216,6 +297,6 @@ def op5(docs: DataFrame) -> DataFrame:
     from pyspark.sql import functions as F
 
     rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("given", F.sha2("text", 256))
-    back = decode(encode(rows).drop("text"))
+    back = decode(encode(rows, out_col="text").withColumnRenamed("text", "ids"))  # ids take the texts' place: they needn't travel on
     sha = F.sha2("text", 256)
     return back.select("doc_id", "ids", F.size("ids").cast("long").alias("n_ids"), sha.alias("decoded_sha256"), (sha == F.col("given")).alias("round_trip"))
