@@ -26,13 +26,19 @@ def local_part(ranking: DataFrame, renormalize: bool = False) -> DataFrame:
     return own.withColumn("r", F.col("r") / F.sum("r").over(Window.partitionBy("scenario", "grp"))) if renormalize else own
 
 
+def influence(ranking: DataFrame, linked: DataFrame, renormalize: bool = False) -> DataFrame:
+    """(scenario, seen_by, node, r): the mass that a cluster gives another, spread over that one's own part."""
+    part = local_part(ranking, renormalize).join(linked.select("scenario", "grp").distinct(), ["scenario", "grp"])
+    part = part.select("scenario", F.col("grp").cast("string").alias("to"), "node", "r")
+    given = with_kind(ranking).where("kind = 'cluster'").select("scenario", F.col("grp").alias("seen_by"), F.substring_index("node", ":", -1).alias("to"), F.col("r").alias("mass"))
+    return part.join(given, ["scenario", "to"]).select("scenario", "seen_by", "node", (F.col("mass") * F.col("r")).alias("r"))
+
+
 def combine(ranking: DataFrame, linked: DataFrame, renormalize: bool = False) -> DataFrame:
     """(scenario, node, score): each linked cluster's own part and, spread over the others' own parts, the mass it gives them; their mean."""
     who = linked.select("scenario", "grp").distinct()
-    part = local_part(ranking, renormalize).join(who, ["scenario", "grp"])
     own = local_part(ranking).join(who, ["scenario", "grp"])
-    given = with_kind(ranking).where("kind = 'cluster'").select("scenario", F.substring_index("node", ":", -1).alias("to"), F.col("r").alias("mass"))
-    seen = part.join(given, (part["scenario"] == given["scenario"]) & (part["grp"].cast("string") == given["to"])).select(part["scenario"], "node", (F.col("mass") * F.col("r")).alias("r"))
+    seen = influence(ranking, linked, renormalize).select("scenario", "node", "r")
     n = who.groupBy("scenario").agg(F.count("*").alias("n"))
     return own.select("scenario", "node", "r").union(seen).groupBy("scenario", "node").agg(F.sum("r").alias("r")).join(n, "scenario").select("scenario", "node", (F.col("r") / F.col("n")).alias("score"))
 

@@ -24,6 +24,20 @@ def edge_series(calls: DataFrame, bins: Column, value: str = "latency", percenti
     return wide.unpivot(["src", "dst", "t"], names, "metric", "value")
 
 
+def device_series(spans: DataFrame, bins: Column, attach: DataFrame | None = None, **how) -> DataFrame:
+    """As node_series, of devices; with attach(service, device) a device's series is given to each service that it hosts."""
+    s = node_series(spans, bins, node="device", **how)
+    if attach is None:
+        return s
+    return s.withColumnRenamed("entity", "device").join(attach, "device").select(F.col("service").alias("entity"), F.concat(F.lit("device_"), "metric").alias("metric"), "t", "value")
+
+
+def link_series(calls: DataFrame, place: DataFrame, bins: Column, **how) -> DataFrame:
+    """As edge_series, of pairs of devices; place(service, device). Calls inside a device use no link."""
+    ends = calls.join(place.toDF("src", "a"), "src").join(place.toDF("dst", "b"), "dst").where("a <> b")
+    return edge_series(ends.drop("src", "dst").withColumnsRenamed({"a": "src", "b": "dst"}), bins, **how)
+
+
 def align(series: DataFrame, first: int, last: int, how: str = "zero") -> DataFrame:
     """A value for every bin from first to last: missing ones are 0, or ("last") the last seen."""
     grid = series.select("entity", "metric").distinct().select("*", F.explode(F.sequence(F.lit(first), F.lit(last))).alias("t"))

@@ -57,6 +57,13 @@ ORACLES = {
     "wl_series_supplier": "SELECT CAST(s_nationkey AS BIGINT) AS entity, CAST(year(l_shipdate) * 4 + quarter(l_shipdate) AS INT) AS t, count(*) AS n, round(sum(l_quantity), 6) AS qty, CAST(sum(CAST(round(l_discount * 100) AS BIGINT)) AS BIGINT) AS disc, CAST(sum(CAST(round(l_tax * 100) AS BIGINT)) AS BIGINT) AS tax FROM lineitem JOIN supplier ON s_suppkey = l_suppkey GROUP BY 1, 2",
     "wl_edge_latency": f"WITH {_SPANS}, n AS (SELECT a AS src, b AS dst, latency, day FROM calls WHERE a <> b) " + _PCT.format(t="CAST(year(day) * 2 + floor((month(day) - 1) / 6) AS BIGINT)", of="n"),
     "op_edge_percentiles": f"WITH {_EVENTS} " + _PCT.format(t="CAST(floor(t / 10) AS BIGINT)", of="ecalls"),
+    "op_device_series": f"WITH {_EVENTS} SELECT entity, metric, t, round(value, 6) AS value FROM (SELECT device AS entity, t, count(*)::DOUBLE AS count, avg(value) AS avg, max(value) AS max, quantile_cont(value, 0.5) AS p50, quantile_cont(value, 0.9) AS p90, quantile_cont(value, 0.99) AS p99 FROM es GROUP BY 1, 2) UNPIVOT (value FOR metric IN (count, avg, max, p50, p90, p99))",
+    "op_link_series": f"WITH {_EVENTS}, links AS (SELECT CAST(split_part(src, '_', -1) AS BIGINT) AS src, CAST(split_part(dst, '_', -1) AS BIGINT) AS dst, latency, t FROM ecalls WHERE split_part(src, '_', -1) <> split_part(dst, '_', -1)) " + _PCT.format(t="CAST(floor(t / 10) AS BIGINT)", of="links"),
+    "op_crossings": f"WITH {_SPANS}, {_THIN} SELECT src % 3 AS cluster, CAST(src AS VARCHAR) AS src, CAST(dst AS VARCHAR) AS callee, dst % 3 AS callee_cluster, freq::DOUBLE AS w FROM thin WHERE src % 3 <> dst % 3",
+    "op_mean_score": f"WITH {_SPANS}, {_THIN} SELECT cluster, round(t / n, 6) AS mean_s FROM (SELECT dst % 3 AS cluster, sum(freq)::DOUBLE AS t FROM thin GROUP BY 1) JOIN (SELECT CAST(n_nationkey % 3 AS BIGINT) AS cluster, count(*) AS n FROM nation GROUP BY 1) USING (cluster)",
+    "op_augment": f"""WITH {_SPANS}, {_THIN}, m AS (SELECT cluster, t / n AS s FROM (SELECT dst % 3 AS cluster, sum(freq)::DOUBLE AS t FROM thin GROUP BY 1) JOIN (SELECT CAST(n_nationkey % 3 AS BIGINT) AS cluster, count(*) AS n FROM nation GROUP BY 1) USING (cluster)),
+      x AS (SELECT DISTINCT src % 3 AS a, dst % 3 AS b FROM thin WHERE src % 3 <> dst % 3), l AS (SELECT a, b FROM x UNION SELECT b, a FROM x)
+      SELECT dst % 3 AS grp, CAST(dst AS VARCHAR) AS node, round(sum(freq)::DOUBLE, 6) AS s FROM thin GROUP BY 1, 2 UNION ALL SELECT a, 'cluster:' || b, round(coalesce(s, 0), 6) FROM l LEFT JOIN m ON m.cluster = l.b""",
     "op_series_align": f"WITH {_EVENTS}, {_ALIGNED} SELECT entity, 'count' AS metric, CAST(t AS INT) AS t, value FROM aligned",
     "op_l2_normalize": f"WITH {_EVENTS}, {_ALIGNED} SELECT entity, CAST(t AS INT) AS t, round(z, 6) AS value FROM unit",
     "op_sliding_rate": "SELECT CAST(date_diff('day', DATE '2024-01-01', CAST(d AS DATE)) AS INT) AS start, event_type, count(*) AS n FROM (SELECT event_type, unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY]) AS d FROM events) GROUP BY 1, 2",

@@ -176,6 +176,17 @@ def op_props_json(s, d):
     return load(s, d, "events").groupBy(F.floor(F.get_json_object("props", "$.k").cast("int") / 20).alias("device")).agg(F.count("*").alias("n"))
 
 
+@query
+def op_device_series(s, d):
+    return metrics.device_series(event_spans(s, d), _day()).withColumn("value", r6("value"))
+
+
+@query
+def op_link_series(s, d):
+    place = event_spans(s, d).select("service", "device").distinct()
+    return metrics.link_series(_event_calls(s, d), place, F.floor(_day() / 10)).withColumn("value", r6("value"))
+
+
 # ---- detection and scores
 
 
@@ -330,6 +341,49 @@ def op_two_way_crossings(s, d):
     return subgraph.two_way(subgraph.form(services, freq, cmap)[1])
 
 
+def _calls_as_scores(s, d):
+    """Thinned calls as scores: nodes(scenario, grp, node, s) by calls received, edges by frequency, and of(node, cluster)."""
+    freq, services, cmap = _map(s, d)
+    of = services.join(cmap, "device").select(F.col("service").cast("string").alias("node"), "cluster")
+    edges = freq.select(F.lit(0).alias("scenario"), F.col("src").cast("string").alias("src"), F.col("dst").cast("string").alias("dst"), F.col("freq").cast("double").alias("w"))
+    nodes = edges.groupBy("scenario", F.col("dst").alias("node")).agg(F.sum("w").alias("s")).join(of, "node").select("scenario", F.col("cluster").alias("grp"), "node", "s")
+    return nodes, edges, of
+
+
+@query
+def op_crossings(s, d):
+    _, edges, of = _calls_as_scores(s, d)
+    return exchange.crossings(edges, of).select("cluster", "src", "callee", "callee_cluster", "w")
+
+
+@query
+def op_mean_score(s, d):
+    nodes, _, of = _calls_as_scores(s, d)
+    return exchange.mean_score(nodes, of).select("cluster", r6("mean_s").alias("mean_s"))
+
+
+@query
+def op_messages(s, d):
+    nodes, edges, of = _calls_as_scores(s, d)
+    m = exchange.messages(exchange.crossings(edges, of), exchange.mean_score(nodes, of))
+    return m.select("from_cluster", "to_cluster", "kind", r6("mean_s").alias("mean_s"), "crossing_w")
+
+
+@query
+def op_augment(s, d):
+    """Nodes of clusters once linked clusters have joined them."""
+    nodes, edges, of = _calls_as_scores(s, d)
+    none = edges.where(F.lit(False)).select("scenario", F.lit(0).cast("long").alias("grp"), "src", "dst", "w")
+    out, _ = exchange.augment(nodes, none, exchange.crossings(edges, of), exchange.mean_score(nodes, of))
+    return out.select("grp", "node", r6("s").alias("s"))
+
+
+@query
+def op_influence(s, d):
+    r = _runs(s, d)[3]
+    return aggregate.influence(r.ranking, r.linked).withColumn("r", r6("r"))
+
+
 # ---- localization on generated scenarios
 
 

@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from edgeloc.operators import clustering, topology
+from edgeloc.sources.storage import checkpointed
 from edgeloc.sources.tables import load, supplier_spans
 
 NODE_METRICS = ("cpu", "mem", "io", "net_in", "net_out", "errors")
@@ -85,7 +86,7 @@ def _impacts(graph, n_scenarios: int, crossing_every: int):
 
 
 def build(spark: SparkSession, sf_dir: str, n_scenarios: int = SCENARIOS, noise: float = 1.0, crossing_every: int = 4, tau_rel: float = 0.01) -> Inputs:
-    freq = thinned_nation_calls(spark, sf_dir)
+    freq = checkpointed(thinned_nation_calls(spark, sf_dir))  # at most 25 x 24 rows, read several times
     services = load(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("string").alias("service"), F.col("n_nationkey").cast("long").alias("device"))
     calls = freq.select(F.col("src").cast("string").alias("src"), F.col("dst").cast("string").alias("dst"), "freq")
     first = clustering.initial(services)

@@ -2,7 +2,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from edgeloc.operators import birch, clustering, evaluate, ppr, scoring, subgraph
+from edgeloc.operators import aggregate, birch, clustering, evaluate, ppr, scoring, subgraph
 
 
 def test_features_of_hand_series(spark):
@@ -48,3 +48,11 @@ def test_measures(spark):
     assert (r.acc_1, r.acc_2, r.acc_5, r.mar) == pytest.approx((1 / 3, 2 / 3, 1, 7 / 3)) and r.mrr == pytest.approx(0.583333, abs=1e-6)
     t = spark.createDataFrame([(10.0, 5.0), (20.0, 18.0)], "t_c double, t_d double").agg(*evaluate.reductions()).first()
     assert tuple(t) == pytest.approx((30, 23.3333), abs=1e-3)
+
+
+def test_conflicting_clusters_share_their_views(spark):
+    rows = [(0, 1, "m1", 0.5), (0, 1, "m2", 0.3), (0, 1, "cluster:2", 0.2), (0, 2, "m3", 0.6), (0, 2, "cluster:1", 0.4)]
+    ranking = spark.createDataFrame(rows, "scenario int, grp long, node string, r double")
+    linked = spark.createDataFrame([(0, 1, 2), (0, 2, 1)], "scenario int, grp long, other long")
+    got = {r.node: r.score for r in aggregate.combine(ranking, linked).collect()}
+    assert got == pytest.approx({"m1": 0.35, "m2": 0.21, "m3": 0.36})
