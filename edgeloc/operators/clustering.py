@@ -37,12 +37,20 @@ def _pairs(w: DataFrame) -> dict[tuple, float]:
     return {(r.c1, r.c2): r.w for r in rows}
 
 
-def merge_greedy(w: DataFrame, cluster_map: DataFrame, tau: float) -> DataFrame:
-    """(device, cluster) by fusing the heaviest pair while it weighs more than tau; ties by smallest ids."""
+def merge_greedy(w: DataFrame, cluster_map: DataFrame, tau: float, most: int | None = None) -> DataFrame:
+    """(device, cluster) by fusing the heaviest pair while it weighs more than tau; ties by smallest ids.
+
+    With most, pairs that would hold more of the first clusters than that stay apart.
+    """
     left, into = _pairs(w), {}
+    size: dict = defaultdict(lambda: 1)
     while left and (best := min(left, key=lambda p: (-left[p], p))) and left[best] > tau:
         keep, gone = min(best), max(best)
+        if most is not None and size[keep] + size[gone] > most:
+            del left[best]  # sizes only grow: it never fits again, unless more weight brings the pair back
+            continue
         into[gone] = keep
+        size[keep] += size[gone]
         fused: dict[tuple, float] = defaultdict(float)
         for (a, b), x in left.items():
             a, b = (keep if a == gone else a), (keep if b == gone else b)

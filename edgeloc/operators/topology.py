@@ -41,6 +41,19 @@ def place_by_capacity(services: DataFrame, devices: DataFrame) -> DataFrame:
     return order.join(F.broadcast(ranked), "slot").select("service", "device")
 
 
+def place_by_communication(services: DataFrame, freq: DataFrame, n: int) -> DataFrame:
+    """Frequent callers together: heaviest pairs fuse up to an even share of the services, and the groups are dealt to n devices, large ones first."""
+    from edgeloc.operators import clustering
+
+    alone = services.select("service", F.col("service").alias("device"))
+    one = clustering.initial(alone)
+    most = -(-services.count() // n)
+    groups = clustering.merge_greedy(clustering.weights(freq, alone, one), one, 0, most).toDF("service", "group")
+    sizes = groups.groupBy("group").agg(F.count("*").alias("k"))  # no more rows than services
+    dealt = sizes.select("group", F.pmod(F.row_number().over(Window.orderBy(F.desc("k"), "group")) - 1, F.lit(n)).alias("device"))
+    return groups.join(dealt, "group").select("service", "device")
+
+
 def pick_host(devices: DataFrame, cluster_map: DataFrame) -> DataFrame:
     """(cluster, host): the device with the most capacity, the smallest of equals."""
     d = devices.join(cluster_map, "device")

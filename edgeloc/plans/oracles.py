@@ -42,6 +42,17 @@ def _shape(name: str) -> str:
     }[name]
 
 
+_MEANS = "m AS (SELECT cluster, t / n AS s FROM (SELECT dst % 3 AS cluster, sum(freq)::DOUBLE AS t FROM thin GROUP BY 1) JOIN (SELECT CAST(n_nationkey % 3 AS BIGINT) AS cluster, count(*) AS n FROM nation GROUP BY 1) USING (cluster))"
+_NATIONS = "n AS (SELECT n_regionkey AS scenario, n_nationkey AS node, coalesce((SELECT sum(freq) FROM f WHERE dst = n_nationkey), 0)::DOUBLE AS r, coalesce((SELECT sum(freq) FROM f WHERE src = n_nationkey), 0)::DOUBLE AS t FROM nation)"
+
+
+def _active(days: int) -> str:
+    """Metrics of services by bins of days, those flagged whose range is above two thirds of their largest value."""
+    return f"""sm AS (SELECT * FROM (SELECT service AS node, CAST(floor(t / {days}) AS INT) AS t, count(*)::DOUBLE AS count, avg(value) AS avg, max(value) AS max, quantile_cont(value, 0.5) AS p50, quantile_cont(value, 0.9) AS p90, quantile_cont(value, 0.99) AS p99 FROM es GROUP BY 1, 2) UNPIVOT (value FOR metric IN (count, avg, max, p50, p90, p99))),
+      sa AS (SELECT node, metric, t, coalesce(value, 0) AS value FROM (SELECT DISTINCT node, metric FROM sm) CROSS JOIN (SELECT unnest(range(0, {30 // days})) AS t) LEFT JOIN sm USING (node, metric, t)),
+      hot AS (SELECT * FROM sa WINDOW w AS (PARTITION BY node, metric) QUALIFY (max(value) OVER w - min(value) OVER w) * 3 > max(value) OVER w * 2)"""
+
+
 ORACLES = {
     "wl_calls_supplier": f"WITH {_SPANS} SELECT trace, src, dst FROM calls",
     "wl_freq_supplier": f"WITH {_SPANS} SELECT src, dst, count(*) AS freq FROM calls GROUP BY 1, 2",
@@ -83,4 +94,22 @@ ORACLES = {
     "op_cube_fault": "WITH t AS (SELECT CASE WHEN i < 146 THEN 'HH' ELSE 'SH' END AS grp, ['cpu', 'memory', 'latency', 'loss', 'duplication', 'corruption', 'disorder', 'delay', 'jitter'][i % 9 + 1] AS fault FROM range(0, 383) x(i)) SELECT grp, fault, count(*) AS n FROM t GROUP BY CUBE (grp, fault)",
     "stream_series": "SELECT CAST(date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS INT) AS day, event_type, count(*) AS n, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY 1, 2",
     "eval_quoted": "SELECT * FROM (VALUES ('HH', 0.632::DOUBLE, 0.756::DOUBLE, 0.796::DOUBLE, 0.833::DOUBLE, 0.896::DOUBLE), ('SH', 0.607, 0.732, 0.792, 0.849, 0.907)) v(grp, acc_1, acc_2, acc_3, acc_5, acc_10)",
+    "op_span_lead": "SELECT event_id, epoch_us(lead(ts) OVER w) - epoch_us(ts) AS gap_us FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)",
+    "op_href_links": """SELECT page_id, count(*) AS n_links, count(DISTINCT href) AS n_targets FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS href FROM pages) GROUP BY 1""",
+    "op_messages": f"""WITH {_SPANS}, {_THIN}, {_MEANS}, x AS (SELECT src % 3 AS a, dst % 3 AS b, sum(freq)::DOUBLE AS w FROM thin WHERE src % 3 <> dst % 3 GROUP BY 1, 2),
+      p AS (SELECT least(a, b) AS lo, greatest(a, b) AS hi, min(a) AS f, sum(w) AS w FROM x GROUP BY 1, 2), q AS (SELECT f, CASE WHEN f = lo THEN hi ELSE lo END AS o, w FROM p)
+      SELECT f AS from_cluster, o AS to_cluster, 'wait' AS kind, NULL::DOUBLE AS mean_s, NULL::DOUBLE AS crossing_w FROM q UNION ALL SELECT f, o, 'score', round(coalesce(s, 0), 6), w FROM q LEFT JOIN m ON cluster = f UNION ALL SELECT o, f, 'score', round(coalesce(s, 0), 6), NULL FROM q LEFT JOIN m ON cluster = o""",
+    "op_combine": f"""WITH {_SPANS}, {_THIN}, {_MEANS}, x AS (SELECT DISTINCT src % 3 AS a, dst % 3 AS b FROM thin WHERE src % 3 <> dst % 3), l AS (SELECT a, b FROM x UNION SELECT b, a FROM x),
+      own AS (SELECT dst % 3 AS grp, dst AS node, sum(freq)::DOUBLE AS s FROM thin GROUP BY 1, 2), met AS (SELECT l.a, l.b, coalesce(m.s, 0) AS s FROM l LEFT JOIN m ON m.cluster = l.b),
+      tot AS (SELECT grp, sum(s) AS t FROM (SELECT grp, s FROM own UNION ALL SELECT a, s FROM met) GROUP BY 1), r AS (SELECT grp, node, s / t AS r FROM own JOIN tot USING (grp) WHERE grp IN (SELECT a FROM l)),
+      g AS (SELECT b, s / t AS mass FROM met JOIN tot ON grp = a)
+      SELECT CAST(node AS VARCHAR) AS node, round(sum(r) / (SELECT count(DISTINCT a) FROM l), 6) AS score FROM (SELECT node, r FROM r UNION ALL SELECT node, mass * r FROM r JOIN g ON b = grp) GROUP BY 1""",
+    "op_acc_mar_mrr": f"""WITH {_SPANS}, f AS ({_NATION}), {_NATIONS}, k AS (SELECT *, row_number() OVER (PARTITION BY scenario ORDER BY r DESC, node) AS rank FROM n),
+      c AS (SELECT n_regionkey AS scenario, c_nationkey AS root FROM customer JOIN nation ON n_nationkey = c_nationkey GROUP BY 1, 2 QUALIFY row_number() OVER (PARTITION BY n_regionkey ORDER BY count(*) DESC, c_nationkey DESC) = 1)
+      SELECT count(*) AS scenarios, {", ".join(f"round(avg((rank <= {k})::INT), 6) AS acc_{k}" for k in (1, 2, 3, 5, 10))}, round(avg(rank), 6) AS mar, round(avg(1.0::DOUBLE / rank), 6) AS mrr FROM k JOIN c ON k.scenario = c.scenario AND node = root""",
+    "op_time_reduction": f"WITH {_SPANS}, f AS ({_NATION}), {_NATIONS}, g AS (SELECT scenario, sum(t) AS c, max(t) AS d FROM n GROUP BY 1) SELECT round(avg((c - d) / c * 100), 6) AS avg_reduction, round((sum(c) - sum(d)) / sum(c) * 100, 6) AS total_reduction FROM g",
+    "score_metric": f"WITH {_EVENTS}, {_active(1)} SELECT node, round(sum(CASE WHEN m1 < m2 THEN r ELSE 0 END), 6) AS s_metric FROM (SELECT a.node, a.metric AS m1, b.metric AS m2, CASE WHEN stddev_pop(a.value) > 0 AND stddev_pop(b.value) > 0 THEN abs(corr(a.value, b.value)) ELSE 0 END AS r FROM hot a JOIN hot b ON a.node = b.node AND a.t = b.t AND a.metric <= b.metric GROUP BY 1, 2, 3) GROUP BY 1",
+    "score_edge_influence": f"""WITH {_EVENTS}, {_active(3)}, e AS (SELECT src, dst, CAST(floor(t / 3) AS INT) AS t, quantile_cont(latency, 0.9)::DOUBLE AS value FROM ecalls GROUP BY 1, 2, 3),
+      ea AS (SELECT src, dst, t, coalesce(value, 0) AS value FROM (SELECT DISTINCT src, dst FROM e) CROSS JOIN (SELECT unnest(range(0, 10)) AS t) LEFT JOIN e USING (src, dst, t)), eh AS (SELECT * FROM ea QUALIFY min(value) OVER (PARTITION BY src, dst) = 0)
+      SELECT node, round(sum(best), 6) AS s_edge FROM (SELECT src, node, max(r) AS best FROM (SELECT eh.src, hot.node, hot.metric, CASE WHEN stddev_pop(eh.value) > 0 AND stddev_pop(hot.value) > 0 THEN abs(corr(eh.value, hot.value)) ELSE 0 END AS r FROM eh JOIN hot ON hot.node = eh.dst AND hot.t = eh.t GROUP BY 1, 2, 3) GROUP BY 1, 2) GROUP BY 1""",
 }

@@ -102,6 +102,20 @@ def op_session_traces(s, d):
     return e.groupBy("user_id", "session").agg(F.count("*").alias("n"))
 
 
+@query
+def op_span_lead(s, d):
+    """Time from each event of a user to the next, in microseconds; null at the last."""
+    us = F.unix_micros(F.col("ts").cast("timestamp"))
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    return load(s, d, "events").select("event_id", (F.lead(us).over(w) - us).alias("gap_us"))
+
+
+@query
+def op_href_links(s, d):
+    href = F.regexp_extract_all("html", F.lit('href="([^"]*)"'))
+    return load(s, d, "pages").select("page_id", F.explode(href).alias("href")).groupBy("page_id").agg(F.count("*").alias("n_links"), F.countDistinct("href").alias("n_targets"))
+
+
 # ---- metrics
 
 
@@ -221,6 +235,27 @@ def op_abs_corr_pairs(s, d):
     return z.select(F.explode(pairs).alias("p")).select("p.e1", "p.e2", r6("p.corr").alias("corr"))
 
 
+def _active(s, d, bins):
+    """Metrics of event services, packed, each flagged where its range is above two thirds of its largest value."""
+    series = metrics.align(metrics.node_series(event_spans(s, d), F.floor(_day() / bins).cast("int")), 0, 30 // bins - 1)
+    v = F.col("v")
+    return metrics.pack(series).select(F.lit(0).alias("scenario"), F.col("entity").alias("node"), "metric", "v", ((F.array_max(v) - F.array_min(v)) * 3 > F.array_max(v) * 2).alias("is_anomalous"))
+
+
+@query
+def score_metric(s, d):
+    return scoring.metric_score(_active(s, d, 1)).select("node", r6("s_metric").alias("s_metric"))
+
+
+@query
+def score_edge_influence(s, d):
+    e = metrics.edge_series(_event_calls(s, d), F.floor(_day() / 3).cast("int")).withColumn("entity", F.concat_ws(">", "src", "dst"))
+    e = metrics.pack(metrics.align(e.select("entity", "metric", "t", "value"), 0, 9))
+    end = F.split("entity", ">")
+    e = e.select(F.lit(0).alias("scenario"), end[0].alias("src"), end[1].alias("dst"), "metric", "v", (F.array_min("v") == 0).alias("is_anomalous"))
+    return scoring.edge_influence(e, _active(s, d, 3)).select("node", r6("s_edge").alias("s_edge"))
+
+
 @query
 def op_spearman(s, d):
     z = _packed(s, d)
@@ -309,7 +344,7 @@ def place_cut_ratio(s, d):
     freq, services, first, w = _clustered(s, d)
     cap = load(s, d, "supplier").groupBy(F.col("s_nationkey").cast("long").alias("device")).agg(F.sum("s_acctbal").alias("capacity"))
     out = None
-    for name, place in (("recorded", services), ("scattered", topology.place_scattered(services, 8, F.col("service"))), ("capacity", topology.place_by_capacity(services, cap.orderBy(F.desc("capacity"), "device").limit(8)))):
+    for name, place in (("recorded", services), ("scattered", topology.place_scattered(services, 8, F.col("service"))), ("capacity", topology.place_by_capacity(services, cap.orderBy(F.desc("capacity"), "device").limit(8))), ("communication", topology.place_by_communication(services, freq, 8))):
         one = clustering.initial(place)
         wt = clustering.weights(freq, place, one)
         c = clustering.cut_ratio(freq, place, clustering.merge_greedy(wt, one, clustering.threshold(wt, 0.01)))
@@ -378,12 +413,50 @@ def op_augment(s, d):
     return out.select("grp", "node", r6("s").alias("s"))
 
 
+@query
+def op_combine(s, d):
+    """Scores of nodes as seen by all clusters, each score a share of its cluster's total."""
+    nodes, edges, of = _calls_as_scores(s, d)
+    none = edges.where(F.lit(False)).select("scenario", F.lit(0).cast("long").alias("grp"), "src", "dst", "w")
+    cross = exchange.crossings(edges, of)
+    seen, _ = exchange.augment(nodes, none, cross, exchange.mean_score(nodes, of))
+    ranking = scoring.share(seen, "s", "r", "scenario", "grp")
+    return aggregate.combine(ranking, exchange.linked(cross)).select("node", r6("score").alias("score"))
+
+
 @query
 def op_influence(s, d):
     r = _runs(s, d)[3]
     return aggregate.influence(r.ranking, r.linked).withColumn("r", r6("r"))
 
 
+def _nations(s, d):
+    """Nations with region, calls received, and work: pairs of calls made."""
+    f = wl_freq_nation(s, d)
+    n = load(s, d, "nation").select(F.col("n_nationkey").cast("long").alias("k"), F.col("n_regionkey").cast("int").alias("scenario"))
+    got = f.groupBy(F.col("dst").alias("k")).agg(F.sum("freq").alias("r"))
+    made = f.groupBy(F.col("src").alias("k")).agg(F.sum("freq").alias("t"))
+    return n.join(got, "k", "left").join(made, "k", "left").select("scenario", F.col("k").alias("node"), F.coalesce("r", F.lit(0)).cast("double").alias("r"), F.coalesce("t", F.lit(0)).cast("double").alias("t"))
+
+
+@query
+def op_acc_mar_mrr(s, d):
+    """Measures of a ranking: nations of each region by calls received, against the one with most customers."""
+    final = ppr.rank(_nations(s, d).select("scenario", "node", "r"), ("scenario",))
+    n = load(s, d, "nation").select(F.col("n_nationkey").alias("c_nationkey"), F.col("n_regionkey").cast("int").alias("scenario"))
+    size = load(s, d, "customer").join(n, "c_nationkey").groupBy("scenario", F.col("c_nationkey").cast("long").alias("k")).agg(F.count("*").alias("n"))
+    truth = size.groupBy("scenario").agg(F.max_by("k", F.struct("n", "k")).alias("root"))
+    return evaluate.ranks(final, truth).agg(F.count("*").alias("scenarios"), *(r6(c).alias(n) for c, n in zip(evaluate.accuracy(), [f"acc_{k}" for k in evaluate.KS] + ["mar", "mrr"])))
+
+
+@query
+def op_time_reduction(s, d):
+    """Reductions if each nation of a region works alone: the region's calls against those of its busiest nation."""
+    t = _nations(s, d).groupBy("scenario").agg(F.sum("t").alias("t_c"), F.max("t").alias("t_d"))
+    avg, total = evaluate.reductions()
+    return t.agg(r6(avg).alias("avg_reduction"), r6(total).alias("total_reduction"))
+
+
 # ---- localization on generated scenarios
 
 
@@ -486,6 +559,26 @@ def op_cube_fault(s, d):
     return scenarios.build(s, d).truth.cube("grp", "fault").agg(F.count("*").alias("n"))
 
 
+@query
+def eval_time_cost(s, d):
+    """Work in edge visits: means and reductions by group, of the slowest cluster against the whole graph."""
+    i, _, c, r = _runs(s, d)
+    sums = [F.avg("t_c").alias("central_visits"), F.avg("t_d").alias("slowest_visits"), *evaluate.reductions()]
+    return localize.compare(i, c, r).groupBy("grp").agg(F.count("*").alias("scenarios"), *sums)
+
+
+@query
+def eval_learned_stand_in(s, d):
+    """The learned stand-in beside both methods, on the scenarios that it was not fitted on."""
+    i, sc, c, r = _runs(s, d)
+    test = i.truth.where("scenario % 2 = 0")
+    out = None
+    for name, final in (("learned_stand_in", baselines.learned_stand_in(sc, i.truth)), ("centralized", c.final), ("decentralized", r.final)):
+        a = evaluate.ranks(final, test).groupBy("grp").agg(F.lit(name).alias("method"), F.count("*").alias("scenarios"), *evaluate.accuracy())
+        out = a if out is None else out.union(a)
+    return out
+
+
 @query
 def eval_conflicts(s, d):
     return evaluate.conflict_rate(_runs(s, d)[3].decision)

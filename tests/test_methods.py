@@ -2,7 +2,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from edgeloc.operators import aggregate, birch, clustering, evaluate, ppr, scoring, subgraph
+from edgeloc.operators import aggregate, baselines, birch, clustering, evaluate, localize, ppr, scoring, subgraph, topology
 
 
 def test_features_of_hand_series(spark):
@@ -56,3 +56,28 @@ def test_conflicting_clusters_share_their_views(spark):
     linked = spark.createDataFrame([(0, 1, 2), (0, 2, 1)], "scenario int, grp long, other long")
     got = {r.node: r.score for r in aggregate.combine(ranking, linked).collect()}
     assert got == pytest.approx({"m1": 0.35, "m2": 0.21, "m3": 0.36})
+
+
+def test_callers_share_a_device(spark):
+    services = spark.range(6).select(F.col("id").alias("service"))
+    freq = spark.createDataFrame([(0, 1, 9), (1, 2, 8), (3, 4, 7), (4, 5, 6), (2, 3, 1)], "src long, dst long, freq long")
+    at = dict(topology.place_by_communication(services, freq, 2).collect())
+    assert at[0] == at[1] == at[2] != at[3] == at[4] == at[5]
+
+
+def test_pairs_beyond_the_largest_size_stay_apart(spark):
+    w = spark.createDataFrame([(0, 1, 5), (1, 2, 4), (2, 3, 3)], "c1 long, c2 long, w long")
+    one = spark.range(4).select(F.col("id").alias("device"), F.col("id").alias("cluster"))
+    assert dict(clustering.merge_greedy(w, one, 0, 2).collect()) == {0: 0, 1: 0, 2: 2, 3: 2}
+    assert dict(clustering.merge_greedy(w, one, 0).collect()) == {0: 0, 1: 0, 2: 0, 3: 0}
+
+
+def test_features_and_learned_stand_in(spark):
+    nodes = spark.createDataFrame([(k, n, float(x)) for k in range(20) for n, x in (("a", 1 + k % 3), ("b", 9), ("c", 0))], "scenario int, node string, s double")
+    edges = spark.createDataFrame([(k, "a", "b", 2.0) for k in range(20)], "scenario int, src string, dst string, w double")
+    sc = localize.Scores(nodes, edges, None, None)
+    x = {r.node: r.x for r in baselines.node_features(sc).where("scenario = 1").collect()}
+    assert x["b"] == [9.0, 2.0, 2.0, 0.0, 0.0, 0.0, 0.0] and x["a"] == [2.0, 0.0, 0.0, 0.0, 2.0, 9.0, 0.0] and x["c"] == [0.0] * 7
+    truth = spark.createDataFrame([(k, "b") for k in range(20)], "scenario int, root string")
+    top = baselines.learned_stand_in(sc, truth).where("rank = 1").select("scenario", "node").collect()
+    assert {(r.scenario, r.node) for r in top} == {(k, "b") for k in range(0, 20, 2)}
