@@ -3,7 +3,7 @@
 Each stage takes (spark, docs, sf_dir), works on all that its predecessor kept and returns the columns of documents; the last
 adds the piece ids. run() writes each stage's result to the shared checkpoint folder and reads it again.
 
-Defined results: a document that toxicity rejects goes; of each SimHash group the row with the smallest id stays, and of rows that share an id
+Defined results: a document that toxicity rejects goes; of each group of near copies (five-word Jaccard similarity of 0.8 or more, transitive) the row with the smallest id stays, and of rows that share an id
 one does; rows without an id can't be named by a group and stay; a document that holds a benchmark window goes; secrets are masked and n_chars follows the
 text where that changes it; null texts stay null. Extra columns pass through; ids and n_ids are the last stage's. An empty table gives an empty one.
 """
@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from edgeloc.llm import decontaminate, piece_codec, secrets_scan, simhash, toxicity
+from edgeloc.llm import decontaminate, near_copies, piece_codec, secrets_scan, toxicity
 from edgeloc.llm.common import checkpointed, read_table
 
 
@@ -25,7 +25,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     named = docs.where("doc_id is not null")
-    groups = simhash.near_duplicates(named)
+    groups = near_copies.near_copies(named)
     kept = groups.where("id = component").groupBy("id").agg(F.count("*").alias("copies")).withColumnRenamed("id", "doc_id")
     if not kept.where("copies > 1").isEmpty():  # rare: a sort of whole rows that most tables are spared
         named = named.dropDuplicates(["doc_id"])
@@ -49,7 +49,7 @@ def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 STAGES = [
     ("toxicity", drop_toxic),
-    ("simhash", drop_near_copies),
+    ("near_copies", drop_near_copies),
     ("decontamination", drop_benchmark),
     ("secrets", mask_secrets),
     ("pieces", encode_pieces),
