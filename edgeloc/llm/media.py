@@ -41,11 +41,11 @@ def from_wav(media: bytes) -> bytes:
         return w.readframes(w.getnframes())
 
 
-def landmarks(samples: bytes, frame: int = 256, hop: int = 256, peaks: int = 2, fan: int = 2) -> tuple[np.ndarray, np.ndarray]:
-    """Frames of the anchors, and landmarks as bin << 20 | bin << 8 | distance. A short clip is padded to one frame."""
+def landmarks(samples: bytes, frame: int = 256, hop: int = 128, peaks: int = 2, fan: int = 2) -> tuple[np.ndarray, np.ndarray]:
+    """Frames of the anchors, and landmarks as bin << 20 | bin << 8 | distance. Frames overlap; half a frame of silence before the clip and padding behind it give every sample full weight in sum."""
     x = np.frombuffer(samples, dtype=np.uint8).astype(np.float32) - 128
-    if len(x) < frame:
-        x = np.pad(x, (0, frame - len(x)))
+    lead = frame - hop
+    x = np.pad(x, (lead, lead + -(len(x) + lead) % hop))
     view = np.lib.stride_tricks.sliding_window_view(x, frame)[::hop]
     window, found = np.hanning(frame).astype(np.float32), []
     for at in range(0, len(view), 2048):
