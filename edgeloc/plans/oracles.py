@@ -84,6 +84,7 @@ ORACLES = {
     "det_gap_events": f"WITH {_EVENTS}, {_ALIGNED} SELECT entity, CAST(1 + sum(CASE WHEN z - p > 0.03 THEN 1 ELSE 0 END) AS INT) AS n_groups FROM (SELECT entity, z, lag(z) OVER (PARTITION BY entity ORDER BY z) AS p FROM unit) GROUP BY 1",
     "op_abs_corr_pairs": f"WITH {_EVENTS}, {_ALIGNED} SELECT a.entity AS e1, b.entity AS e2, round(abs(corr(a.value, b.value)), 6) AS corr FROM aligned a JOIN aligned b ON a.t = b.t AND a.entity < b.entity AND split_part(a.entity, '_', -1) = split_part(b.entity, '_', -1) GROUP BY 1, 2",
     "op_spearman": f"WITH {_EVENTS}, {_ALIGNED}, rk AS (SELECT entity, t, rank() OVER (PARTITION BY entity ORDER BY value) + (count(*) OVER (PARTITION BY entity, value) - 1) / 2.0 AS k FROM aligned) SELECT split_part(a.entity, '_', 1) AS kind, round(abs(corr(a.k, b.k)), 6) AS corr FROM rk a JOIN rk b ON a.t = b.t AND split_part(a.entity, '_', 1) = split_part(b.entity, '_', 1) WHERE a.entity LIKE '%\\_0' ESCAPE '\\' AND b.entity LIKE '%\\_1' ESCAPE '\\' GROUP BY 1",
+    "op_spearman_pairs": f"WITH {_EVENTS}, {_ALIGNED}, rk AS (SELECT entity, t, rank() OVER (PARTITION BY entity ORDER BY value) + (count(*) OVER (PARTITION BY entity, value) - 1) / 2.0 AS k FROM aligned) SELECT a.entity AS e1, b.entity AS e2, round(abs(corr(a.k, b.k)), 6) AS corr FROM rk a JOIN rk b ON a.t = b.t AND a.entity < b.entity AND split_part(a.entity, '_', 1) = split_part(b.entity, '_', 1) GROUP BY 1, 2",
     "op_personalization": f"WITH {_SPANS}, f AS ({_NATION}), s AS (SELECT dst AS node, sum(freq) AS s FROM f GROUP BY 1) SELECT node % 3 AS grp, node, round(s::DOUBLE / sum(s) OVER (PARTITION BY node % 3), 6) AS p FROM s",
     "op_transition": f"WITH {_SPANS}, f AS ({_NATION}) SELECT src, dst, round(freq::DOUBLE / sum(freq) OVER (PARTITION BY src), 6) AS p FROM f",
     "op_ppr_k10": f"WITH {_SPANS}, {_steps(10)} SELECT node, round(r, 8) AS r FROM r10",

@@ -265,6 +265,14 @@ def op_spearman(s, d):
     return j.select("kind", r6(scoring.abs_corr(F.col("x"), F.col("y"), "spearman")).alias("corr"))
 
 
+@query
+def op_spearman_pairs(s, d):
+    """Rank correlations of all device pairs of an event type, made in rows of the type."""
+    z = _packed(s, d).withColumn("kind", F.substring_index("entity", "_", 1)).groupBy("kind").agg(F.array_sort(F.collect_list(F.struct("entity", "v"))).alias("a"))
+    pairs = F.flatten(F.transform("a", lambda x, i: F.transform(F.slice("a", i + 2, F.size("a")), lambda y: F.struct(x["entity"].alias("e1"), y["entity"].alias("e2"), scoring.abs_corr(x["v"], y["v"], "spearman").alias("corr")))))
+    return z.select(F.explode(pairs).alias("p")).select("p.e1", "p.e2", r6("p.corr").alias("corr"))
+
+
 @query
 def op_personalization(s, d):
     f = wl_freq_nation(s, d).groupBy(F.col("dst").alias("node")).agg(F.sum("freq").alias("s")).withColumn("grp", F.col("node") % 3)
