@@ -90,6 +90,7 @@ ORACLES = {
     "op_ppr_k10": f"WITH {_SPANS}, {_steps(10)} SELECT node, round(r, 8) AS r FROM r10",
     "op_topk_causes": f"WITH {_SPANS}, {_steps(10)} SELECT node, round(r, 8) AS r, CAST(row_number() OVER (ORDER BY round(r, 8) DESC, node) AS INT) AS rank FROM r10 QUALIFY rank <= 5",
     "clu_initial": "SELECT CAST(n_nationkey AS BIGINT) AS device, CAST(n_nationkey AS BIGINT) AS cluster FROM nation",
+    "clu_weights_full": f"WITH {_SPANS}, f AS ({_NATION}) SELECT least(src, dst) AS c1, greatest(src, dst) AS c2, sum(freq)::BIGINT AS w FROM f GROUP BY 1, 2",
     "clu_map_greedy": _shape("clu_map"),
     **{n: _shape(n) for n in ("clu_map", "clu_weights", "clu_cut_ratio", "sub_nodes", "sub_edges", "sub_shadow", "op_two_way_crossings")},
     "op_cube_fault": "WITH t AS (SELECT CASE WHEN i < 146 THEN 'HH' ELSE 'SH' END AS grp, ['cpu', 'memory', 'latency', 'loss', 'duplication', 'corruption', 'disorder', 'delay', 'jitter'][i % 9 + 1] AS fault FROM range(0, 383) x(i)) SELECT grp, fault, count(*) AS n FROM t GROUP BY CUBE (grp, fault)",

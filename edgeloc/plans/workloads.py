@@ -307,8 +307,8 @@ def web_ppr(s, d):
 # ---- clusters and subgraphs
 
 
-def _clustered(s, d):
-    freq = scenarios.thinned_nation_calls(s, d)
+def _clustered(s, d, full=False):
+    freq = wl_freq_nation(s, d) if full else scenarios.thinned_nation_calls(s, d)
     services = load(s, d, "nation").select(F.col("n_nationkey").cast("long").alias("service"), F.col("n_nationkey").cast("long").alias("device"))
     first = clustering.initial(services)
     w = clustering.weights(freq, services, first)
@@ -325,8 +325,14 @@ def clu_weights(s, d):
     return _clustered(s, d)[3]
 
 
-def _map(s, d):
-    freq, services, first, w = _clustered(s, d)
+@query
+def clu_weights_full(s, d):
+    """Weights over all calls between nations, none thinned."""
+    return _clustered(s, d, True)[3]
+
+
+def _map(s, d, full=False):
+    freq, services, first, w = _clustered(s, d, full)
     return freq, services, clustering.merge_parallel(w, first, clustering.threshold(w, 0.01))
 
 
@@ -335,6 +341,11 @@ def clu_map(s, d):
     return _map(s, d)[2]
 
 
+@query
+def clu_map_full(s, d):
+    return _map(s, d, True)[2]
+
+
 @query
 def clu_map_greedy(s, d):
     _, _, first, w = _clustered(s, d)

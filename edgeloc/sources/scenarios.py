@@ -9,7 +9,7 @@ from __future__ import annotations
 from collections import defaultdict
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from edgeloc.operators import clustering, topology
@@ -19,7 +19,7 @@ from edgeloc.sources.tables import load, supplier_spans
 NODE_METRICS = ("cpu", "mem", "io", "net_in", "net_out", "errors")
 EDGE_METRICS = ("p50", "p90", "p99")
 FAULTS = ("cpu", "memory", "latency", "loss", "duplication", "corruption", "disorder", "delay", "jitter")
-SCENARIOS, HH, BINS, FROM_BIN, NOISE_EVENTS = 383, 146, 40, 20, 1000
+SCENARIOS, HH, BINS, FROM_BIN = 383, 146, 40, 20
 
 
 @dataclass
@@ -85,6 +85,16 @@ def _impacts(graph, n_scenarios: int, crossing_every: int):
     return truth, hit
 
 
+def noise_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(at, u): for each of all events, in order of id, the BINS noise levels from it on, going round at the end."""
+    value = load(spark, sf_dir, "events").select("event_id", "value")
+    told = F.broadcast(value.agg(F.percentile("value", 0.95).alias("top"), F.count("*").alias("n")))
+    level = value.withColumn("i", F.row_number().over(Window.orderBy("event_id", "value")) - 1).crossJoin(told)
+    each = level.select("i", "n", (F.least("value", "top") / F.col("top")).alias("x"), F.explode(F.sequence(F.lit(0), F.lit(BINS - 1))).alias("t"))
+    packed = each.groupBy(F.pmod(F.col("i") - F.col("t"), F.col("n")).cast("long").alias("at")).agg(F.array_sort(F.collect_list(F.struct("t", "x"))).alias("p"))
+    return packed.select("at", F.transform("p", lambda p: p["x"]).alias("u"))
+
+
 def build(spark: SparkSession, sf_dir: str, n_scenarios: int = SCENARIOS, noise: float = 1.0, crossing_every: int = 4, tau_rel: float = 0.01) -> Inputs:
     freq = checkpointed(thinned_nation_calls(spark, sf_dir))  # at most 25 x 24 rows, read several times
     services = load(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("string").alias("service"), F.col("n_nationkey").cast("long").alias("device"))
@@ -94,18 +104,17 @@ def build(spark: SparkSession, sf_dir: str, n_scenarios: int = SCENARIOS, noise:
     cluster_map = clustering.merge_greedy(w, first, clustering.threshold(w, tau_rel))  # 25 devices
     graph = _graph(freq)
     truth, hit = _impacts(graph, n_scenarios, crossing_every)
-    value = load(spark, sf_dir, "events").where(F.col("event_id") < NOISE_EVENTS).select("event_id", "value")
-    both = F.array_sort(F.collect_list(F.struct("event_id", "value")))
-    top = F.percentile("value", 0.95)
-    u = F.broadcast(value.agg(both.alias("b"), top.alias("top")).select(F.transform("b", lambda x: F.least(x["value"], F.col("top")) / F.col("top")).alias("u")))
+    u = noise_windows(spark, sf_dir)
+    n_events = load(spark, sf_dir, "events").count()
     entities = [(k, str(k), None, m, name) for k in range(25) for m, name in enumerate(NODE_METRICS)] + [(100 + k, str(a), str(b), m, name) for k, (a, b, _) in enumerate(graph) for m, name in enumerate(EDGE_METRICS)]
     grid = F.broadcast(spark.createDataFrame(entities, "e int, src string, dst string, j int, metric string"))
     touched = F.broadcast(spark.createDataFrame(hit, "scenario int, e int, j int, ramp double, square double").groupBy("scenario", "e", "j").agg(F.max("ramp").alias("ramp"), F.max("square").alias("square")))
-    rows = spark.range(n_scenarios).select(F.col("id").cast("int").alias("scenario")).join(grid).join(touched, ["scenario", "e", "j"], "left").join(u)
+    rows = spark.range(n_scenarios).select(F.col("id").cast("int").alias("scenario")).join(grid).join(touched, ["scenario", "e", "j"], "left")
     base = 7919 * F.col("scenario") + 131 * F.col("e") + 17 * F.col("j")
+    rows = rows.withColumn("at", F.pmod(base.cast("long"), F.lit(n_events))).join(u, "at")
     ramp, square = F.coalesce("ramp", F.lit(0.0)), F.coalesce("square", F.lit(0.0))
     rise = lambda t: F.when(t >= FROM_BIN, ramp * (1 + (t % 5) / 5) + square * (F.floor(t / 5) % 2)).otherwise(0.0)
-    v = F.transform(F.sequence(F.lit(0), F.lit(BINS - 1)), lambda t: (1 + noise * F.get("u", ((base + t) % F.size("u")).cast("int"))) * (1 + rise(t)))
+    v = F.transform(F.sequence(F.lit(0), F.lit(BINS - 1)), lambda t: (1 + noise * F.get("u", t)) * (1 + rise(t)))
     series = rows.withColumn("v", v)
     nodes = series.where("dst is null").select("scenario", F.col("src").alias("node"), "metric", "v")
     edges = series.where("dst is not null").select("scenario", "src", "dst", "metric", "v")
