@@ -55,7 +55,7 @@ STAGES = [
     ("pieces", encode_pieces),
 ]
 
-ORACLE_SQL = None  # a learned score, fingerprints and a subword model are beyond SQL; tests compare with brute force
+ORACLE_SQL = None  # a learned score, fingerprints and a subword model are beyond SQL; tests compare the near-copy stage only with brute force
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
