@@ -16,15 +16,33 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def checkpointed(df: DataFrame) -> DataFrame:
     """Write df to the shared checkpoint folder and read it back from there.
 
-    The folder is spark.checkpoint.dir; only where that is unset (local tests) a folder of our own is used.
+    The folder is spark.checkpoint.dir; only where that is unset in local mode (tests) a folder of our own is used. Elsewhere that is an error.
     """
     spark = df.sparkSession
     if spark.sparkContext.getCheckpointDir() is None:
-        place = spark.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "edgeloc-checkpoints")
-        spark.sparkContext.setCheckpointDir(place)
+        place = spark.conf.get("spark.checkpoint.dir", None)
+        if place is None and not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        spark.sparkContext.setCheckpointDir(place or os.path.join(tempfile.gettempdir(), "edgeloc-checkpoints"))
     return df.checkpoint()
 
 
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """The names, each made longer until no column of df has it (case apart, as Spark compares them)."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def text_key(text: Column) -> list[Column]:
+    """Two 64-bit hashes, over different bytes: texts with the same two are taken for equal."""
+    return [F.xxhash64(text), F.xxhash64(F.lit(1), F.octet_length(text), text)]
+
+
 def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
