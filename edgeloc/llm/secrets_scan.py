@@ -1,26 +1,26 @@
 """Secret scans by a trigram inverted index, in DataFrame functions only.
 
 From each rule's regular expression a Boolean trigram query is derived: alternatives, each a set of trigrams that
-any match must hold. The index maps those trigrams to documents; postings are intersected by counting, for
-each document and alternative, how many of its trigrams are there. Only candidates are verified with the expression
-itself. A rule with an alternative that has no mandatory trigram scans all documents.
+any match must hold. The index, stored once, maps the trigrams that rules ask for to texts, known by 128 bits of hash; postings are
+intersected by counting, for each text and alternative, how many of its trigrams are there. Candidates come from the index alone, and only they are
+verified with the expression itself, on a second and last pass. A rule with an alternative that has no mandatory trigram scans all documents.
 
-Postings are rows, never a list held in one task, and each document's trigrams are folded into its alternatives before
-the shuffle. Matches are leftmost and non-overlapping for each rule; positions are code points, end exclusive.
+Postings are rows, never a list held in one task. The candidates are broadcast if they are at most `broadcast_rows`, else the texts are shuffled to
+them. Matches are leftmost and non-overlapping for each rule; positions are code points, end exclusive.
 
-Defined results: null text counts as empty and has no spans; a null id is scanned like any other; repeated rows stay
-repeated; an empty table gives an empty one; other columns are not read.
+Defined results: null text counts as empty and has no spans (redact leaves it null); a null id is scanned like any other; repeated rows stay
+repeated; an empty table gives an empty one; other columns pass by untouched, whatever their names.
 """
 
 from __future__ import annotations
 
 import re._parser as sre
 from dataclasses import dataclass
-from functools import reduce
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import checkpointed, fresh, text_key
+
 
 @dataclass(frozen=True)
 class Rule:
@@ -59,6 +59,8 @@ def trigram_query(pattern: str) -> list[frozenset[str]] | None:
             name = str(op)
             if name == "LITERAL":
                 states = {(done, run + chr(arg).lower()) for done, run in states}
+            elif name == "IN" and len(arg) <= 8 and all(str(o) == "LITERAL" for o, _ in arg):  # a small class is a branch
+                states = {(done, run + chr(c).lower()) for done, run in states for _, c in arg}
             elif name == "SUBPATTERN":
                 states = grow(arg[-1], states)
             elif name == "BRANCH":
@@ -85,32 +87,23 @@ def trigram_query(pattern: str) -> list[frozenset[str]] | None:
     return None if frozenset() in found else sorted((a for a in found if not any(b < a for b in found)), key=sorted)
 
 
-def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """id, its text and a key: the same for equal rows only, up to hash collisions, which add candidates and lose none."""
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    return docs.select(F.col(id_col).cast("long").alias("id"), text.alias("t")).withColumn("key", F.xxhash64("id", "t"))
-
-
-def postings(keyed: DataFrame, trigrams: list[str]) -> DataFrame:
-    """(trigram, key): the inverted index over the trigrams that queries ask for."""
+def trigram_index(docs: DataFrame, trigrams: list[str], text_col: str = "text") -> DataFrame:
+    """(k1, k2, trigram): the stored index of texts over the given trigrams, lower-cased."""
+    keyed = docs.select(*(k.alias(n) for k, n in zip(text_key(_text(text_col)), ("k1", "k2"))), F.lower(_text(text_col)).alias("low"))
     there = F.array(*(F.when(F.contains("low", F.lit(g)), F.lit(g)) for g in trigrams))
-    return keyed.select("key", F.lower("t").alias("low")).select("key", F.explode(there).alias("trigram")).where("trigram is not null")
+    return checkpointed(keyed.select("k1", "k2", F.explode(F.array_compact(there)).alias("trigram")))
 
 
-def _may_match(low: Column, rule: Rule) -> Column:
-    """The rule's trigram query against one lower-cased text."""
-    alternatives = [reduce(lambda a, b: a & b, (F.contains(low, F.lit(g)) for g in sorted(alt))) for alt in trigram_query(rule.find)]
-    return reduce(lambda a, b: a | b, alternatives)
+def candidates(index: DataFrame, rules) -> DataFrame:
+    """(k1, k2, kinds): texts that satisfy the trigram queries of rules, by the index alone. Rules without a query are not in it."""
+    parts = [(r.kind, n, g, len(alt)) for r in rules for n, alt in enumerate(trigram_query(r.find) or ()) for g in sorted(alt)]
+    asked = index.sparkSession.createDataFrame(parts, "kind string, alternative int, trigram string, need int")  # as many as the rules have trigrams
+    met = index.distinct().join(F.broadcast(asked), "trigram").groupBy("k1", "k2", "kind", "alternative", "need").agg(F.count("*").alias("n"))
+    return met.where("n = need").groupBy("k1", "k2").agg(F.collect_set("kind").alias("kinds"))
 
 
-def candidates(keyed: DataFrame, rules) -> DataFrame:
-    """(key, kind): documents that satisfy the trigram query of a rule. Rules without a query are not in it."""
-    parts = [(r.kind, n, g, len(alt)) for r in rules for n, alt in enumerate(trigram_query(r.find) or ()) for g in sorted(alt)]
-    spark = keyed.sparkSession
-    asked = spark.createDataFrame(parts, "kind string, alternative int, trigram string, need int")
-    index = postings(keyed, sorted({p[2] for p in parts}))
-    met = index.join(F.broadcast(asked), "trigram").groupBy("key", "kind", "alternative", "need").agg(F.countDistinct("trigram").alias("n"))
-    return met.where("n = need").select("key", "kind").distinct()
+def _text(text_col: str) -> Column:
+    return F.coalesce(F.col(text_col).cast("string"), F.lit(""))
 
 
 def rule_spans(text: Column, rule: Rule, order: int) -> Column:
@@ -132,40 +125,44 @@ def rule_spans(text: Column, rule: Rule, order: int) -> Column:
     return F.when(F.rlike(text, find), F.aggregate(zipped, zero, step, lambda s: s["out"])).otherwise(none)
 
 
-def find_secrets(docs: DataFrame, rules=RULES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, spans): one row for each row of docs, spans sorted by start, then by the rules' order."""
-    keyed = _keyed(docs, id_col, text_col)
-    full = [(n, r) for n, r in enumerate(rules) if trigram_query(r.find) is None]
-    queried = [(n, r) for n, r in enumerate(rules) if trigram_query(r.find) is not None]
-    scanned = keyed.select("id", "key", F.concat(*(rule_spans(F.col("t"), r, n) for n, r in full), F.array().cast("array<struct<at:int,ord:int,until:int,kind:string>>")).alias("scanned"))
+_SPANS = "array<struct<at:int,ord:int,until:int,kind:string>>"
+
+
+def with_spans(docs: DataFrame, out_col: str, rules=RULES, text_col: str = "text", broadcast_rows: int = 1_000_000) -> DataFrame:
+    """docs and, in out_col, which must be a new name, the spans of all rules sorted by start, then by the rules' order."""
+    k1, k2, kinds = fresh(docs, "k1", "k2", "kinds")
+    text, none = _text(text_col), F.array().cast(_SPANS)
+    queried = [r for r in rules if trigram_query(r.find) is not None]
+    scanned = [rule_spans(text, r, n) for n, r in enumerate(rules) if r not in queried]
     if not queried:
-        return scanned.select("id", F.array_sort("scanned").alias("spans"))
-    asked = candidates(keyed, [r for _, r in queried]).groupBy("key").agg(F.collect_set("kind").alias("kinds"))
-    none = F.array().cast("array<struct<at:int,ord:int,until:int,kind:string>>")
-    checks = (F.when(F.array_contains("kinds", r.kind), rule_spans(F.col("t"), r, n)).otherwise(none) for n, r in queried)
-    # the join needs the candidates' texts only: the same query, at the row, keeps the others out of the shuffle
-    texts = keyed.withColumn("low", F.lower("t")).where(reduce(lambda a, b: a | b, (_may_match(F.col("low"), r) for _, r in queried))).drop("low")
-    verified = texts.join(asked, "key").select("key", F.concat(*checks).alias("verified")).where("size(verified) > 0").dropDuplicates(["key"])
-    return scanned.join(verified, "key", "left").select("id", F.array_sort(F.concat("scanned", F.coalesce("verified", none))).alias("spans"))
+        return docs.withColumn(out_col, F.array_sort(F.concat(none, *scanned)))
+    index = trigram_index(docs, sorted({g for r in queried for alt in trigram_query(r.find) for g in alt}), text_col)
+    found = checkpointed(candidates(index, queried).toDF(k1, k2, kinds))  # read twice: counted, then joined
+    found = F.broadcast(found) if found.count() <= broadcast_rows else found
+    checks = [F.when(F.array_contains(kinds, r.kind), rule_spans(text, r, n)).otherwise(none) for n, r in enumerate(rules) if r in queried]
+    keyed = docs.withColumns(dict(zip((k1, k2), text_key(text))))
+    return keyed.join(found, [k1, k2], "left").withColumn(out_col, F.array_sort(F.concat(none, *scanned, *checks))).select(*docs.columns, out_col)
 
 
-def redact(docs: DataFrame, rules=RULES, text_col: str = "text", mask: str = "[SECRET]") -> DataFrame:
-    """docs with the spans of all rules masked in text_col, overlapping ones together; rows and other columns stay as they are.
+def find_secrets(docs: DataFrame, rules=RULES, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """(id, spans): one row for each row of docs."""
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("t"))
+    return with_spans(rows, "spans", rules, "t", **options).select("id", "spans")
 
-    The row is at hand, so each rule's trigram query is put to its text, and no text is shuffled.
-    """
-    low, found, text = "_secrets_low", "_secrets_spans", F.col(text_col)
-    none = F.array().cast("array<struct<at:int,ord:int,until:int,kind:string>>")
-    spans = (rule_spans(text, r, n) if trigram_query(r.find) is None else F.when(_may_match(F.col(low), r), rule_spans(text, r, n)).otherwise(none) for n, r in enumerate(rules))
+
+def redact(docs: DataFrame, rules=RULES, text_col: str = "text", mask: str = "[SECRET]", **options) -> DataFrame:
+    """docs with the spans of all rules masked in text_col, overlapping ones together; rows and other columns stay as they are."""
+    (spans,) = fresh(docs, "spans")
+    text, found = F.col(text_col), F.col(spans)
     zero = F.struct(F.lit(0).alias("pos"), F.lit("").alias("out"))
 
     def step(state, x):
         new = F.concat(state["out"], F.substring(text, state["pos"] + 1, x["at"] - state["pos"]), F.lit(mask))
         return F.struct(F.greatest(state["pos"], x["until"]).alias("pos"), F.when(x["at"] >= state["pos"], new).otherwise(state["out"]).alias("out"))
 
-    masked = F.aggregate(F.array_sort(found), zero, step, lambda s: F.concat(s["out"], F.substring(text, s["pos"] + 1, F.char_length(text))))
-    out = docs.withColumn(low, F.lower(text)).withColumn(found, F.concat(*spans))
-    return out.withColumn(text_col, F.when(F.size(found) > 0, masked).otherwise(text)).drop(low, found)
+    masked = F.aggregate(found, zero, step, lambda s: F.concat(s["out"], F.substring(text, s["pos"] + 1, F.char_length(text))))
+    out = with_spans(docs, spans, rules, text_col, **options)
+    return out.withColumn(text_col, F.when(F.size(found) > 0, masked).otherwise(text)).select(docs.columns)
 
 
 def joined_spans(spans: Column) -> Column:
