@@ -5,12 +5,12 @@ holds all its shingles, so one of them, the rarest over all documents, is a suff
 documents on that shingle alone. The shingle's offset in the window gives the one place where the window can lie (positional bound), which must be
 inside the document (length bound); the words there are then compared exactly.
 
-The windows' prefix table is broadcast if it has at most `broadcast_rows` rows, else document shingles are shuffled to
-it with the words around them. Document shingles are made in one pass and never stored.
+The windows' prefix table is broadcast if it has at most `broadcast_rows` rows and `broadcast_bytes` bytes, else document shingles are shuffled to
+it with the words around them; equal rows (id and text, told by 128 bits of hash) are then looked at as one and given back as many. Document shingles are made in one pass and never stored.
 
 Defined results: null text, or one without words, has no words and is never hit; items without words have no windows; windows of
 items with a null id hit words but name no item; repeated rows and equal items count as they stand; a document's
-row stays one row; empty tables give an empty result, or no hits. Other columns are not read.
+row stays one row; empty tables give an empty result, or no hits. Other columns are not read, and pass drop_contaminated untouched, whatever their names.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower
+from .common import ascii_lower, fresh, text_key
 
 #: Fixed value: what separates words, after A-Z are lower-cased.
 GAPS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -49,10 +49,9 @@ def benchmark_windows(benchmark: DataFrame, item_col: str, text_col: str, window
     return w.select(F.xxhash64("words").alias("win"), "items", F.size("words").alias("len"), "words", cases.alias("shingles"))
 
 
-def _placed(docs: DataFrame, id_col: str, text_col: str, sizes: list[int], extra: bool = True) -> DataFrame:
+def _placed(docs: DataFrame, text_col: str, sizes: list[int], row: Column, ident: Column) -> DataFrame:
     """A row for each place of each document, with the hashes of the shingles that start there."""
-    base = docs.select(F.col(id_col).cast("long").alias("id"), words_of(F.col(text_col)).alias("w"))
-    base = base.withColumn("row", F.monotonically_increasing_id())
+    base = docs.select(ident.alias("id"), words_of(F.col(text_col)).alias("w"), row.alias("row"))
     places = base.select("row", "id", "w", F.posexplode_outer("w").alias("pos", "word"))
     hashes = [_shingle(F.col("w"), F.col("pos"), n) for n in sizes]
     if len(hashes) == 1:
@@ -60,14 +59,18 @@ def _placed(docs: DataFrame, id_col: str, text_col: str, sizes: list[int], extra
     return places.withColumn("h", F.explode(F.array(*hashes))).drop("word")
 
 
-def find_windows(docs: DataFrame, benchmark: DataFrame, window_words: int = 10, shingle_words: int = 5, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", broadcast_rows: int = 200_000) -> DataFrame:
+def find_windows(docs: DataFrame, benchmark: DataFrame, window_words: int = 10, shingle_words: int = 5, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", broadcast_rows: int = 200_000, broadcast_bytes: int = 64 << 20, id_type: str | None = "long") -> DataFrame:
     """(id, n_words, hits, items): hits is an array of (start, len) of windows found; one row for each row of docs."""
     windows = benchmark_windows(benchmark, item_col, item_text_col, window_words, shingle_words)
     windows = windows.select("*", F.explode("shingles").alias("g")).select("win", "items", "len", "words", "g.*")
     sizes = sorted(r[0] for r in windows.select("size").distinct().collect()) or [shingle_words]  # at most shingle_words values
-    small = windows.count() <= broadcast_rows
+    held = F.octet_length(F.concat_ws(" ", "words")) + F.octet_length(F.concat_ws(" ", "items")) + 16 * (F.size("words") + F.size("items"))
+    told = windows.agg(F.count("*").alias("n"), F.coalesce(F.sum(held), F.lit(0)).alias("bytes")).first()
+    small = told.n <= broadcast_rows and told.bytes <= broadcast_bytes
     fits = (lambda df: F.broadcast(df)) if small else (lambda df: df)
-    placed = _placed(docs, id_col, text_col, sizes)
+    own = F.struct(*(k.alias(n) for k, n in zip(text_key(F.coalesce(F.col(text_col).cast("string"), F.lit(""))), "ab")))
+    ident = F.col(id_col).cast(id_type) if id_type else F.col(id_col)
+    placed = _placed(docs, text_col, sizes, F.monotonically_increasing_id() if small else own, ident)  # read twice on the way of shuffles, where a number given in passing may change
     seen = placed.select("h").join(fits(windows.select("h").distinct()), "h").groupBy("h").agg(F.count("*").alias("n"))
     ranked = windows.join(fits(seen), "h", "left").groupBy("win", "words", "items", "len").agg(F.min(F.struct(F.coalesce("n", F.lit(0)).alias("n"), "at", "h")).alias("p"))
     prefix = ranked.select(F.col("p.h").alias("h"), F.col("p.at").alias("at"), F.col("len").alias("wlen"), F.col("words").alias("wwords"), "items")
@@ -84,17 +87,22 @@ def find_windows(docs: DataFrame, benchmark: DataFrame, window_words: int = 10,
         near = placed.where("h is not null").select("row", "id", F.size("w").alias("n_words"), "pos", lead.alias("lead"), F.slice("w", F.col("pos") - lead + 1, 2 * reach + 1).alias("ctx"), "h")
         same = (start >= 0) & (start + F.col("wlen") <= F.col("n_words")) & (F.slice("ctx", F.greatest(F.col("lead") - F.col("at"), F.lit(0)) + 1, F.col("wlen")) == F.col("wwords"))
         hits = near.join(prefix, "h").where(same).select("row", "id", "n_words", "pos", F.struct(start.alias("start"), F.col("wlen").alias("len")).alias("hit"), F.col("items").alias("found"))
-        rows = placed.where("pos is null or pos = 0").select("row", "id", F.size("w").alias("n_words"), F.lit(0).alias("pos"), F.lit(None).cast("struct<start:int,len:int>").alias("hit"), F.lit(None).cast("array<string>").alias("found")).union(hits)
-    by_row = rows.groupBy("row", "id", "n_words").agg(F.collect_set("hit").alias("hits"), F.collect_set("found").alias("found"))
+        none = [F.lit(None).cast("struct<start:int,len:int>").alias("hit"), F.lit(None).cast("array<string>").alias("found")]
+        each = docs.select(own.alias("row"), ident.alias("id"), F.size(words_of(F.col(text_col))).alias("n_words"))
+        each = each.groupBy("row", "id", "n_words").agg(F.count("*").alias("copies")).select("row", "id", "n_words", F.lit(0).alias("pos"), *none, "copies")
+        rows = each.union(hits.withColumn("copies", F.lit(0)))
+    by_row = rows.groupBy("row", "id", "n_words").agg(F.collect_set("hit").alias("hits"), F.collect_set("found").alias("found"), (F.lit(1) if small else F.max("copies")).alias("copies"))
+    by_row = by_row if small else by_row.withColumn("copies", F.explode(F.sequence(F.lit(1).cast("long"), "copies")))
     return by_row.select("id", "n_words", "hits", F.array_sort(F.array_distinct(F.flatten("found"))).alias("items"))
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", **options) -> DataFrame:
-    """docs without the rows whose text holds a window; what a text holds depends on the text only, so texts are told by a hash."""
-    key = "_decontaminate_key"
-    keyed = docs.withColumn(key, F.xxhash64(text_col, F.octet_length(text_col)))
-    hit = find_windows(keyed, benchmark, id_col=key, text_col=text_col, **options).where("size(hits) > 0").select(F.col("id").alias(key)).distinct()
-    return keyed.join(hit, key, "left_anti").drop(key).select(docs.columns)
+    """docs without the rows whose text holds a window; what a text holds depends on the text only, so texts are told by 128 bits of hash."""
+    (key,) = fresh(docs, "key")
+    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    keyed = docs.withColumn(key, F.struct(*(k.alias(n) for k, n in zip(text_key(text), "ab"))))
+    hit = find_windows(keyed, benchmark, id_col=key, id_type=None, text_col=text_col, **options).where("size(hits) > 0").select(F.col("id").alias(key)).distinct()
+    return keyed.join(hit, key, "left_anti").select(docs.columns)
 
 
 def hit_words(hits: Column) -> Column:
