@@ -5,7 +5,7 @@ word beginnings, matched at a word's start. A hit inside an exception phrase doe
 hits' summed weight, of that sum divided by the logarithm of the text's length, and of whether there is a hit.
 
 Entries, weights and the function are learned from labelled rows: in expectation at most `max_rows` of them, chosen by a
-hash of the id. That bound, and that of the lexicon, are parameters; scoring covers every text in whole.
+hash of the id. That bound is a parameter; scoring covers every text in whole.
 
 Defined results: null text counts as empty and gets the score of a text without hits; null labels and null ids teach nothing; without enough labels
 the seed entries and prior weights stand; repeated rows stay; an empty table gives an empty one. Labels, language, source and id are never inputs of a score.
@@ -25,15 +25,20 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import checkpointed
+
 #: Seed entries (whole words), look-alikes, and phrases in which an entry is harmless.
 SEEDS = ("idiot", "moron", "loser", "pathetic", "scum", "worthless", "trash", "clown", "disgusting", "stupid")
-FOLD = str.maketrans("аеорсухіјѕԁɡοαεικντυ0134579@$!|", "aeopcyxijsdgoaeikvtuoieastgasii")
+FOLD = str.maketrans("аеорсухіјѕԁɡοαεικντυ0134579", "aeopcyxijsdgoaeikvtuoieastg")
+SIGNS = {"@": "a", "$": "s", "!": "i", "|": "i"}
 EXCEPTIONS = ("trash can", "trash bin", "trash bag", "pond scum", "soap scum", "clown fish", "clownfish", "class clown", "idiot proof")
 WORD = re.compile(r"[^\W\d_]+")
+_SIGN = re.compile(r"[@$!|](?=[^\W_])")  # before a letter or digit only: at a word's end it is punctuation
 
 
 def fold(text: str | None) -> str:
-    return (text or "").lower().translate(FOLD)
+    t = (text or "").lower()
+    return _SIGN.sub(lambda m: SIGNS[m.group()], t).translate(FOLD)
 
 
 @dataclass
@@ -90,41 +95,48 @@ def _terms(text: str | None) -> set[str]:
     return out
 
 
-def _counts(rows: DataFrame, among: frozenset[str] | None) -> DataFrame:
-    """(term, n): in how many rows each term is."""
+def _counts(rows: DataFrame) -> DataFrame:
+    """(term, p, q): in how many rows of label 1 and of label 0 each term is."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         n: Counter = Counter()
 
         def out():
-            return pa.RecordBatch.from_arrays([pa.array(list(n), type=pa.string()), pa.array(list(n.values()), type=pa.int64())], names=["term", "n"])
+            return pa.RecordBatch.from_arrays([pa.array([t for t, _ in n], type=pa.string()), pa.array([y for _, y in n], type=pa.int32()), pa.array(list(n.values()), type=pa.int64())], names=["term", "y", "n"])
 
         for b in batches:
-            for t in b.column(0).to_pylist():
-                terms = _terms(t)
-                n.update(terms if among is None else terms & among)
-            if len(n) > 500_000:
-                yield out()
-                n.clear()
+            for y, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+                n.update((term, y) for term in _terms(t))
+                if len(n) > 500_000:
+                    yield out()
+                    n.clear()
         yield out()
 
-    return rows.select("t").mapInArrow(run, "term string, n long").groupBy("term").agg(F.sum("n").alias("n"))
+    of = lambda y: F.sum(F.when(F.col("y") == y, F.col("n")).otherwise(0))
+    return rows.select("y", "t").mapInArrow(run, "term string, y int, n long").groupBy("term").agg(of(1).alias("p"), of(0).alias("q"))
+
 
+def beyond_chance(n_pos: int, n_neg: int, precision: float, chance: float) -> Column:
+    """Terms in p rows of label 1 and q of label 0 whose precision suffices and which rows drawn at random would hardly give (a bound on the binomial tail)."""
+    share = min(max(n_pos, 1) / max(n_pos + n_neg, 2), 0.5)
+    n = F.col("p") + F.col("q")
+    a = F.col("p") / n
+    far = a * F.log(a / share) + F.when(a < 1, (1 - a) * F.log((1 - a) / (1 - share))).otherwise(0.0)
+    return (F.col("p") >= 3) & (a >= precision) & (a > share) & (n * far >= -math.log(chance))
 
-def choose(pos: dict[str, int], neg: dict[str, int], n_pos: int, n_neg: int, precision: float = 0.8) -> dict[str, float]:
-    """Entries that chance doesn't explain, the most general of a chain that lose nothing, with log odds as weights."""
-    share = max(n_pos, 1) / max(n_pos + n_neg, 2)
-    least = max(4, math.ceil(math.log(1e-8) / math.log(min(share, 0.5))))
-    good = {t: p for t, p in pos.items() if p >= least and p >= precision * (p + neg.get(t, 0))}
+
+def choose(counts: dict[str, tuple[int, int]], n_pos: int, n_neg: int) -> dict[str, float]:
+    """Of terms that pass, the most general of a chain that lose nothing, with log odds as weights."""
     longer: dict[str, int] = {}
-    for t, p in good.items():
+    for t, (p, _) in counts.items():
         above = t.rstrip() if t[-1] == " " else t[:-1]
         longer[above] = max(longer.get(above, 0), p)
-    kept = {t: p for t, p in good.items() if p > longer.get(t, 0)}  # a longer entry that finds as much is more specific
+    kept = {t: pq for t, pq in counts.items() if pq[0] > longer.get(t, 0)}  # a longer entry that finds as much is more specific
     out = {}
     for t in sorted(kept, key=lambda t: (len(t.rstrip()), t[-1] == " ")):
         if not any(t[:k] in out for k in range(4, len(t))):
-            out[t] = math.log((kept[t] + 0.5) / (n_pos + 1)) - math.log((neg.get(t, 0) + 0.5) / (n_neg + 1))
+            p, q = kept[t]
+            out[t] = math.log((p + 0.5) / (n_pos + 1)) - math.log((q + 0.5) / (n_neg + 1))
     return out
 
 
@@ -141,18 +153,20 @@ def _fit(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2) -> tuple[float, floa
     return tuple(float(v) for v in w)
 
 
-def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", max_rows: int = 20_000, max_terms: int = 100_000) -> Model:
-    """Learns from labelled rows that aren't held out. Two scans count terms, one scores the sample to fit the function."""
-    known = labels.select(F.col(id_col).cast("long").alias("id"), F.col(label_col).cast("int").alias("y")).where(~held_out(F.col("id")) & F.col("id").isNotNull() & F.col("y").isNotNull())
+def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", max_rows: int = 20_000, precision: float = 0.4, chance: float = 1e-6) -> Model:
+    """Learns from labelled rows that aren't held out. One scan of docs joins the sample, which is kept; terms are counted and the function fitted on that.
+
+    A term becomes an entry by its support and precision alone: no number of terms is cut off.
+    """
+    known = labels.select(F.col(id_col).cast("long").alias("id"), F.col(label_col).cast("int").alias("y")).where(~held_out(F.col("id")) & F.col("id").isNotNull() & F.col("y").isin(0, 1))
     n = known.count()
     part = min(1.0, max_rows / max(n, 1))
     known = known.where(F.pmod(F.xxhash64("id"), F.lit(1_000_000)) < int(part * 1_000_000)) if part < 1 else known
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("t")).join(F.broadcast(known), "id")
+    rows = checkpointed(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("t")).join(F.broadcast(known), "id").select("y", "t"))
     model = Model({s + " ": 5.0 for s in SEEDS})
-    pos = {r.term: r.n for r in _counts(rows.where("y = 1"), None).where("n >= 4").orderBy(F.desc("n"), "term").limit(max_terms).collect()}
-    neg = {r.term: r.n for r in _counts(rows.where("y = 0"), frozenset(pos)).collect()} if pos else {}
     sizes = {r.y: r["count"] for r in rows.groupBy("y").count().collect()}
-    model.entries |= choose(pos, neg, sizes.get(1, 0), sizes.get(0, 0))
+    passed = _counts(rows).where(beyond_chance(sizes.get(1, 0), sizes.get(0, 0), precision, chance))
+    model.entries |= choose({r.term: (r.p, r.q) for r in passed.collect()}, sizes.get(1, 0), sizes.get(0, 0))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = Matcher(model)
