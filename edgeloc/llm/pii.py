@@ -3,7 +3,8 @@
 Validated values only: card numbers (Luhn), IBANs (mod 97), social security numbers, phone numbers, IPv4 addresses, dates
 that exist, and e-mail addresses. A value is read as an integer of its format's domain, permuted by a balanced
 Feistel network with cycle walking, and written in the same format: separators, length, letter case, check digits and
-validity stay. A value's pseudonym depends on key, kind and format only, so equal values stay linked across documents.
+validity stay. A value's pseudonym depends on key, kind and format only, so equal values stay linked across documents. Digits are 0 to 9 only: those of
+other scripts are left alone. A card number ends at the first group where it checks, an IBAN at its country's length, whatever groups follow.
 
 Defined results: null text gives null text and no spans; numbers that fail validation stay; rows, and columns besides the text, stay as they are;
 an empty table gives an empty one. Dates outside 1900 to 2099 stay. The key is a parameter; the default is for tests.
@@ -24,13 +25,20 @@ from pyspark.sql import types as T
 TEST_KEY = b"not a secret: give a key of your own"
 
 NUMBERS = re.compile(
-    r"(?P<iban>\b[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b)"
-    r"|(?P<date>(?<![\w./-])(?:\d{4}-\d{2}-\d{2}|\d{1,2}/\d{1,2}/\d{4}|\d{1,2}\.\d{1,2}\.\d{4})(?![\w/-]|\.\d))"
-    r"|(?P<ip>(?<![\w.])\d{1,3}(?:\.\d{1,3}){3}(?![\w]|\.\d))"
-    r"|(?P<ssn>(?<![\w-])\d{3}-\d{2}-\d{4}(?![\w-]))"
-    r"|(?P<phone>(?<![\w+])\+\d{1,3}[ .-]?(?:\(\d{1,4}\)[ .-]?)?\d{2,4}(?:[ .-]?\d{2,4}){1,4}(?!\w)|(?<![\w(])\(\d{3}\) ?\d{3}-\d{4}(?!\w))"
-    r"|(?P<card>(?<![\w.-])\d(?:[ -]?\d){12,18}(?![\w-]|\.\d))"
+    r"(?P<iban>\b[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b)"
+    r"|(?P<date>(?<![\w./-])(?:[0-9]{4}-[0-9]{2}-[0-9]{2}|[0-9]{1,2}/[0-9]{1,2}/[0-9]{4}|[0-9]{1,2}\.[0-9]{1,2}\.[0-9]{4})(?![\w/-]|\.[0-9]))"
+    r"|(?P<ip>(?<![\w.])[0-9]{1,3}(?:\.[0-9]{1,3}){3}(?![\w]|\.[0-9]))"
+    r"|(?P<ssn>(?<![\w-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![\w-]))"
+    r"|(?P<phone>(?<![\w+])\+[0-9]{1,3}[ .-]?(?:\([0-9]{1,4}\)[ .-]?)?[0-9]{2,4}(?:[ .-]?[0-9]{2,4}){1,4}(?!\w)|(?<![\w(])\([0-9]{3}\) ?[0-9]{3}-[0-9]{4}(?!\w))"
+    r"|(?P<card>(?<![\w.-])[0-9](?:[ -]?[0-9]){12,18}(?![\w-]|\.[0-9]))"
 )
+DIGITS = frozenset("0123456789")
+#: Lengths of IBANs by country.
+IBAN_LENGTHS = {k: int(n) for n, ks in (
+    ("15", "NO"), ("16", "BE"), ("18", "DK FI FO GL NL SD"), ("19", "MK SI"), ("20", "AT BA EE KZ LT LU MN XK"), ("21", "CH HR LI LV"),
+    ("22", "BG BH CR DE GB GE IE ME RS VA"), ("23", "AE GI IL IQ OM SO TL"), ("24", "AD CZ ES MD PK RO SA SE SK TN VG"), ("25", "LY PT ST"), ("26", "IS TR"),
+    ("27", "BI DJ FR GR IT MC MR SM"), ("28", "AL AZ BY CY DO GT HU LB NI PL SV"), ("29", "BR EG PS QA UA"), ("30", "JO KW MU"), ("31", "MT SC"), ("32", "LC"), ("33", "RU"),
+) for k in ks.split()}
 EMAIL = re.compile(r"[\w.%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 _CLASSES = tuple("".join(map(chr, range(a, b + 1))) for a, b in ((48, 57), (97, 122), (65, 90), (0xDF, 0xF6), (0xF8, 0xFF), (0xC0, 0xD6), (0xD8, 0xDE)))
 _EARLIEST, _DAYS = datetime.date(1900, 1, 1).toordinal(), datetime.date(2099, 12, 31).toordinal() - datetime.date(1900, 1, 1).toordinal() + 1
@@ -74,7 +82,7 @@ def luhn(digits: str) -> int:
 def _refill(value: str, digits: str) -> str:
     """value with its digits replaced in order."""
     new = iter(digits)
-    return "".join(next(new) if c.isdigit() else c for c in value)
+    return "".join(next(new) if c in DIGITS else c for c in value)
 
 
 def _string(f: Feistel, s: str, tweak: bytes, back: bool) -> str:
@@ -99,13 +107,21 @@ def _iban_check(country: str, rest: str) -> str:
 
 def pseudonym(f: Feistel, kind: str, value: str, back: bool = False) -> str | None:
     """The pseudonym of a value, or None if it isn't valid; back undoes it."""
-    digits = "".join(c for c in value if c.isdigit())
+    digits = "".join(c for c in value if c in DIGITS)
     if kind == "card":
         if luhn(digits) or not 13 <= len(digits) <= 19 or len(set(digits)) == 1:
             return None
         n = 10 ** (len(digits) - 1)
-        many = lambda x: len(set(d := f"{x:0{len(digits) - 1}d}")) > 1 or luhn(d + d[0]) != 0  # noqa: E731  not of one digit only
-        body = f"{f.walk(int(digits[:-1]), n, b'card%d' % len(digits), many, back):0{len(digits) - 1}d}"
+        cuts = tuple(sum(c in DIGITS for c in value[:e]) for e in _card_ends(value)[:-1])
+
+        def fits(x):  # not of one digit only, and no card ends at a group before the last: it would be read instead
+            body = f"{x:0{len(digits) - 1}d}"
+            whole = body + str(-luhn(body + "0") % 10)
+            return len(set(whole)) > 1 and all(luhn(whole[:c]) or len(set(whole[:c])) == 1 for c in cuts)
+
+        if not fits(int(digits[:-1])):
+            return None
+        body = f"{f.walk(int(digits[:-1]), n, b'card' + bytes([len(digits), *cuts]), fits, back):0{len(digits) - 1}d}"
         return _refill(value, body + str(-luhn(body + "0") % 10))
     if kind == "ssn":
         ok = lambda x: (x // 10**6) not in (0, 666) and x // 10**6 < 900 and x // 10**4 % 100 and x % 10**4
@@ -119,12 +135,12 @@ def pseudonym(f: Feistel, kind: str, value: str, back: bool = False) -> str | No
     if kind == "phone":
         if not 7 <= len(digits) <= 15:
             return None
-        country = re.match(r"\+\d{1,3}(?=[ .(-])|", value).group()
+        country = re.match(r"\+[0-9]{1,3}(?=[ .(-])|", value).group()
         rest = value[len(country) :]
-        own = "".join(c for c in rest if c.isdigit())
+        own = "".join(c for c in rest if c in DIGITS)
         return country + _refill(rest, f"{f.walk(int(own), 10 ** len(own), b'phone%d' % len(own), back=back):0{len(own)}d}")
     if kind == "date":
-        sep = next(c for c in value if not c.isdigit())
+        sep = next(c for c in value if c not in DIGITS)
         parts = value.split(sep)
         year, month, day = map(int, parts if sep == "-" else parts[::-1])
         if sep == "/" and month > 12:
@@ -153,7 +169,7 @@ def pseudonym(f: Feistel, kind: str, value: str, back: bool = False) -> str | No
         return sep.join(f"{v:0{w}d}" for v, w in zip(told(x), wide))
     if kind == "iban":
         bare = value.replace(" ", "")
-        if not 15 <= len(bare) <= 34 or int("".join(str(int(c, 36)) for c in bare[4:] + bare[:4])) % 97 != 1:
+        if IBAN_LENGTHS.get(bare[:2]) != len(bare) or int("".join(str(int(c, 36)) for c in bare[4:] + bare[:4])) % 97 != 1:
             return None
         rest = _string(f, bare[4:], b"iban" + bare[:2].encode(), back)
         new = iter(bare[:2] + _iban_check(bare[:2], rest) + rest)
@@ -162,14 +178,41 @@ def pseudonym(f: Feistel, kind: str, value: str, back: bool = False) -> str | No
     return f"{_string(f, local, b'mail', back)}@{host}"
 
 
+def _card_ends(value: str) -> list[int]:
+    """Where a card number of 13 digits or more may end: before a separator, or at the end."""
+    return [e for e in range(1, len(value) + 1) if (e == len(value) or value[e] not in DIGITS) and value[e - 1] in DIGITS and sum(c in DIGITS for c in value[:e]) >= 13]
+
+
+def _readings(kind: str, value: str) -> Iterator[str]:
+    """What a candidate may be read as, first choice first: what follows a number in the next group isn't part of it."""
+    if kind == "card":
+        yield from (value[:e] for e in _card_ends(value))
+    elif kind == "iban":
+        left = IBAN_LENGTHS.get(value[:2], 99)
+        for e, c in enumerate(value, 1):
+            left -= c != " "
+            if left == 0:
+                if e == len(value) or value[e] == " ":
+                    yield value[:e]
+                return
+    else:
+        yield value
+
+
 def replace_pii(text: str, f: Feistel, back: bool = False) -> tuple[str, list[tuple[str, int, int]]]:
     """New text, and (kind, start, end) of what was replaced, in code points of the old text."""
     found = []
-    if any(c in text for c in "0123456789"):
-        for m in NUMBERS.finditer(text):
-            new = pseudonym(f, m.lastgroup, m.group(), back)
-            if new is not None:
-                found.append((m.start(), m.end(), m.lastgroup, new))
+    if not DIGITS.isdisjoint(text):
+        m = NUMBERS.search(text)
+        while m:
+            end = m.start() + 1  # a candidate that fails may hide a shorter one behind its first character
+            for value in _readings(m.lastgroup, m.group()):
+                new = pseudonym(f, m.lastgroup, value, back)
+                if new is not None:
+                    end = m.start() + len(value)
+                    found.append((m.start(), end, m.lastgroup, new))
+                    break
+            m = NUMBERS.search(text, end)
     if "@" in text:
         for at in re.finditer("@", text):
             start = at.start()
