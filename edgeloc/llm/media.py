@@ -85,11 +85,11 @@ def media_column(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def op10(docs: DataFrame) -> DataFrame:
-    """feature: the first 8 bytes of the landmarks' SHA-256, the number of landmarks and the last time code."""
+    """feature: the first 8 bytes of the landmarks' SHA-256, the number of landmarks and the last time code; frames and marks are the time-coded landmarks."""
     m = media_column(docs)
     coded = F.array_join(F.zip_with("frames", "marks", lambda t, k: F.concat_ws(":", t, k)), ",")
     feature = F.concat_ws("-", F.substring(F.sha2(coded, 256), 1, 16), F.size("marks"), F.element_at("frames", -1))
     return m.select(
         F.col("id").alias("doc_id"), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32",
-        F.octet_length("media").cast("long").alias("media_bytes"), F.sha2("media", 256).alias("media_sha256"), feature.alias("feature"),
+        F.octet_length("media").cast("long").alias("media_bytes"), F.sha2("media", 256).alias("media_sha256"), feature.alias("feature"), "frames", "marks",
     )
