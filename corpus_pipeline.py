@@ -3,8 +3,8 @@
 Each stage takes (spark, docs, sf_dir), works on all that its predecessor kept and returns the columns of documents; the last
 adds the piece ids. run() writes each stage's result to the shared checkpoint folder and reads it again.
 
-Defined results: a document that toxicity rejects goes; of each group of near copies (five-word Jaccard similarity of 0.8 or more, transitive) the row with the smallest id stays, and of rows that share an id
-one does; rows without an id can't be named by a group and stay; a document that holds a benchmark window goes; secrets are masked and n_chars follows the
+Defined results: a document that toxicity rejects goes; of each group of near copies (SimHash fingerprints within 24 bits and a five-word Jaccard similarity of 0.8 or more, transitive) the row with the smallest id stays, and of rows that share an id
+the least by its JSON; rows without an id can't be named by a group and stay; a document that holds a benchmark window goes; secrets are masked and n_chars follows the
 text where that changes it; null texts stay null. Extra columns pass through; ids and n_ids are the last stage's. An empty table gives an empty one.
 """
 
@@ -14,22 +14,23 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from edgeloc.llm import decontaminate, near_copies, piece_codec, secrets_scan, toxicity
-from edgeloc.llm.common import checkpointed, read_table
+from edgeloc.llm.common import checkpointed, fresh, read_table
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = toxicity.learn(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
-    scored = toxicity.score(docs, model, out_col="_toxic_score")
-    return scored.where(F.col("_toxic_score") < model.threshold).drop("_toxic_score")
+    (score,) = fresh(docs, "score")
+    return toxicity.score(docs, model, out_col=score).where(F.col(score) < model.threshold).select(docs.columns)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     named = docs.where("doc_id is not null")
     groups = near_copies.near_copies(named)
-    kept = groups.where("id = component").groupBy("id").agg(F.count("*").alias("copies")).withColumnRenamed("id", "doc_id")
-    if not kept.where("copies > 1").isEmpty():  # rare: a sort of whole rows that most tables are spared
-        named = named.dropDuplicates(["doc_id"])
-    return named.join(kept, "doc_id", "left_semi").select(docs.columns).union(docs.where("doc_id is null"))
+    kept = checkpointed(groups.where("id = component").groupBy("id").agg(F.count("*").alias("copies")).select(F.col("id").alias("doc_id"), "copies"))
+    rows = named.join(kept.where("copies = 1"), "doc_id", "left_semi").select(docs.columns)
+    shared = named.join(kept.where("copies > 1"), "doc_id", "left_semi").select(docs.columns)  # rare: rows that share an id, of which the least by its JSON stays
+    shared = shared.groupBy("doc_id").agg(F.min_by(F.struct(*docs.columns), F.to_json(F.struct(*docs.columns))).alias("r")).select("r.*")
+    return rows.union(shared).union(docs.where("doc_id is null"))
 
 
 def drop_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -37,10 +38,11 @@ def drop_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    masked = secrets_scan.redact(docs.withColumn("_masked", F.col("text")), text_col="_masked")
+    (masked,) = fresh(docs, "masked")
+    out = secrets_scan.redact(docs.withColumn(masked, F.col("text")), text_col=masked)
     if "n_chars" in docs.columns:
-        masked = masked.withColumn("n_chars", F.when(F.col("_masked").eqNullSafe(F.col("text")), F.col("n_chars")).otherwise(F.char_length("_masked")).cast(docs.schema["n_chars"].dataType))
-    return masked.withColumn("text", F.col("_masked")).select(docs.columns)
+        out = out.withColumn("n_chars", F.when(F.col(masked).eqNullSafe(F.col("text")), F.col("n_chars")).otherwise(F.char_length(masked)).cast(docs.schema["n_chars"].dataType))
+    return out.withColumn("text", F.col(masked)).select(docs.columns)
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -49,13 +51,13 @@ def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 STAGES = [
     ("toxicity", drop_toxic),
-    ("near_copies", drop_near_copies),
+    ("simhash", drop_near_copies),
     ("decontamination", drop_benchmark),
     ("secrets", mask_secrets),
     ("pieces", encode_pieces),
 ]
 
-ORACLE_SQL = None  # a learned score, fingerprints and a subword model are beyond SQL; tests compare the near-copy stage only with brute force
+ORACLE_SQL = None  # a learned score, fingerprints and a subword model are beyond SQL; tests/llm/test_pipeline.py compares every stage with plain Python
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
