@@ -51,11 +51,14 @@ def merge_unlinked(ranking: DataFrame, mass: DataFrame) -> DataFrame:
 
 
 def final_ranking(ranking: DataFrame, linked: DataFrame, decision: DataFrame, mass: DataFrame, renormalize: bool = False, mode: str = "auto") -> DataFrame:
-    """(scenario, node, tier, score, rank): the winner's own order under consensus, then combined scores, then clusters that took no part."""
+    """(scenario, node, tier, score, rank): the winner's own order under consensus, then combined scores, then clusters that took no part.
+
+    mode "always" combines in every linked scenario, "consensus" never does: without a winner each cluster's own order stands, by its share of the scores.
+    """
     base = merge_unlinked(ranking, mass)
     both = base.join(combine(ranking, linked, renormalize).withColumnRenamed("score", "combined"), ["scenario", "node"], "left").join(decision, "scenario", "left")
     wins = F.lit(False) if mode == "always" else F.coalesce(F.col("grp") == F.col("winner"), F.lit(False))
-    tier = F.when(wins, 0).when(F.col("combined").isNotNull(), 1).otherwise(2)
+    tier = F.when(wins, 0).when(F.col("combined").isNotNull() & F.lit(mode != "consensus"), 1).otherwise(2)
     score = F.when(tier == 1, F.col("combined")).otherwise(F.col("score"))
     out = both.select("scenario", "node", tier.alias("tier"), score.alias("score"))
     return out.withColumn("rank", F.row_number().over(Window.partitionBy("scenario").orderBy("tier", F.desc(F.round("score", 12)), "node")))

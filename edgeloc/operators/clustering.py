@@ -20,8 +20,9 @@ def initial(services: DataFrame) -> DataFrame:
 
 def weights(freq: DataFrame, services: DataFrame, cluster_map: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
     """(keys, c1, c2, w) with c1 < c2: call frequency between clusters, both directions together."""
-    of = services.join(cluster_map, "device").select("service", "cluster")
-    ends = freq.join(of.toDF("src", "c_src"), "src").join(of.toDF("dst", "c_dst"), "dst").where("c_src <> c_dst")
+    own = [k for k in keys if k in cluster_map.columns]
+    of = services.join(cluster_map, "device").select(*own, "service", "cluster")
+    ends = freq.join(of.toDF(*own, "src", "c_src"), [*own, "src"]).join(of.toDF(*own, "dst", "c_dst"), [*own, "dst"]).where("c_src <> c_dst")
     return ends.groupBy(*keys, F.least("c_src", "c_dst").alias("c1"), F.greatest("c_src", "c_dst").alias("c2")).agg(F.sum("freq").alias("w"))
 
 
@@ -69,26 +70,40 @@ def merge_greedy(w: DataFrame, cluster_map: DataFrame, tau: float, most: int | N
     return cluster_map.join(F.broadcast(told), "cluster", "left").select("device", F.coalesce("root", "cluster").alias("cluster"))
 
 
-def merge_parallel(w: DataFrame, cluster_map: DataFrame, tau: float, max_rounds: int = 50) -> DataFrame:
+def merge_parallel(w: DataFrame, cluster_map: DataFrame, tau: float | None, max_rounds: int = 50, keys: tuple[str, ...] = ()) -> DataFrame:
     """As merge_greedy, contracting every pair above tau at once. A round hooks each cluster to its smallest neighbour, and fuses weights.
 
-    w has a row for each pair of clusters: small beside the calls. One scalar comes to the driver each round; lineage is cut by checkpoint().
+    w(keys, c1, c2, w) has a row for each pair of clusters: small beside the calls. With keys, cluster_map(keys, device, cluster), and each key is a graph of its own; all
+    are merged together, so rounds are those of the slowest. tau None takes the threshold from a column tau of w, the same in all rows of a key.
     """
     from edgeloc.sources.storage import checkpointed
 
+    keys, w = list(keys), w if tau is None else w.withColumn("tau", F.lit(float(tau)))
+    heavy = checkpointed(w.where(F.col("w") > F.col("tau")))
     for _ in range(max_rounds):
-        heavy = w.where(F.col("w") > tau)
         if heavy.isEmpty():
             return cluster_map
-        both = heavy.select("c1", "c2").union(heavy.select("c2", "c1")).toDF("c", "n")
-        hook = both.groupBy("c").agg(F.min("n").alias("n")).select("c", F.least("c", "n").alias("to"))
-        jump = hook.join(hook.toDF("to", "up"), "to", "left").select("c", F.coalesce("up", "to").alias("to"))
-        cluster_map = checkpointed(cluster_map.join(jump.toDF("cluster", "to"), "cluster", "left").select("device", F.coalesce("to", "cluster").alias("cluster")))
-        moved = w.join(jump.toDF("c1", "a"), "c1", "left").join(jump.toDF("c2", "b"), "c2", "left").select(F.coalesce("a", "c1").alias("a"), F.coalesce("b", "c2").alias("b"), "w").where("a <> b")
-        w = checkpointed(moved.groupBy(F.least("a", "b").alias("c1"), F.greatest("a", "b").alias("c2")).agg(F.sum("w").alias("w")))
+        both = heavy.select(*keys, "c1", "c2").union(heavy.select(*keys, "c2", "c1")).toDF(*keys, "c", "n")
+        hook = both.groupBy(*keys, "c").agg(F.min("n").alias("n")).select(*keys, "c", F.least("c", "n").alias("to"))
+        jump = checkpointed(hook.join(hook.toDF(*keys, "to", "up"), [*keys, "to"], "left").select(*keys, "c", F.coalesce("up", "to").alias("to")))
+        cluster_map = checkpointed(cluster_map.join(jump.toDF(*keys, "cluster", "to"), [*keys, "cluster"], "left").select(*keys, "device", F.coalesce("to", "cluster").alias("cluster")))
+        moved = w.join(jump.toDF(*keys, "c1", "a"), [*keys, "c1"], "left").join(jump.toDF(*keys, "c2", "b"), [*keys, "c2"], "left").select(*keys, F.coalesce("a", "c1").alias("a"), F.coalesce("b", "c2").alias("b"), "w", "tau").where("a <> b")
+        w = checkpointed(moved.groupBy(*keys, F.least("a", "b").alias("c1"), F.greatest("a", "b").alias("c2")).agg(F.sum("w").alias("w"), F.first("tau").alias("tau")))
+        heavy = w.where(F.col("w") > F.col("tau"))
     raise RuntimeError(f"clusters did not settle in {max_rounds} rounds")
 
 
+def with_threshold(w: DataFrame, tau_rel: float, keys: tuple[str, ...]) -> DataFrame:
+    """w with a column tau: a share of each key's weight."""
+    return w.join(w.groupBy(*keys).agg((F.sum("w") * tau_rel).alias("tau")), list(keys))
+
+
+def quality(freq: DataFrame, services: DataFrame, cluster_map: DataFrame) -> DataFrame:
+    """(cluster, devices, services, intra, inter, ratio): sizes beside the cut ratio."""
+    size = services.join(cluster_map, "device").groupBy("cluster").agg(F.countDistinct("device").alias("devices"), F.count("*").alias("services"))
+    return size.join(cut_ratio(freq, services, cluster_map), "cluster", "left")
+
+
 def is_stable(w: DataFrame, tau: float) -> bool:
     return w.where(F.col("w") > tau).isEmpty()
 

@@ -40,3 +40,26 @@ def communication(messages: DataFrame, series: DataFrame, bins: int) -> DataFram
     """Messages and bytes exchanged, and bytes that a central collector would move, eight for each number."""
     m = messages.agg(F.count("*").alias("messages"), F.sum((F.col("mean_s").isNotNull().cast("int") + F.col("crossing_w").isNotNull().cast("int")) * 8).alias("exchanged_bytes"))
     return m.join(series.agg((F.count("*") * bins * 8).alias("central_bytes")))
+
+
+def score_work(parts_of: DataFrame) -> DataFrame:
+    """(scenario, grp, t): correlations made for a group's scores: a pair for every two flagged metrics of a node, and one for each caller and metric; parts_of(scenario, grp, node, metrics, callers)."""
+    k = F.col("metrics")
+    return parts_of.groupBy("scenario", "grp").agg(F.sum(k * (k - 1) / 2 + k * F.col("callers")).cast("double").alias("t"))
+
+
+def parallel_time(ranking: DataFrame, ready: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(scenario, t, total): time of an incident where groups run side by side: each starts its walk when its own scores, and those of linked groups, are there; the slowest ends it.
+
+    ready(scenario, grp, t): when a group's scores are made; pairs(scenario, c1, c2, ready) of exchange.timeline. total is the sum of all groups' work.
+    """
+    walk = ranking.select("scenario", "grp", (F.col("iterations") * (F.col("n_nodes") + F.col("n_edges"))).cast("double").alias("walk")).distinct()
+    met = pairs.select("scenario", F.explode(F.array("c1", "c2")).alias("grp"), "ready").groupBy("scenario", "grp").agg(F.max("ready").alias("met"))
+    each = walk.join(ready, ["scenario", "grp"], "left").join(met, ["scenario", "grp"], "left").withColumn("t", F.coalesce("t", F.lit(0.0)))
+    return each.groupBy("scenario").agg(F.max(F.greatest("t", F.coalesce("met", F.lit(0.0))) + F.col("walk")).alias("t"), F.sum(F.col("t") + F.col("walk")).alias("total"))
+
+
+def clusters_per_scenario(cluster_map: DataFrame) -> DataFrame:
+    """(clusters, scenarios): in how many scenarios there are so many clusters; cluster_map(scenario, device, cluster)."""
+    n = cluster_map.groupBy("scenario").agg(F.countDistinct("cluster").alias("clusters"))
+    return n.groupBy("clusters").agg(F.count("*").alias("scenarios"))

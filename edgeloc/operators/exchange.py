@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 def crossings(edge_scores: DataFrame, of: DataFrame) -> DataFrame:
     """(scenario, cluster, src, callee, callee_cluster, w) of anomalous calls that leave their cluster; of(node, cluster)."""
-    e = edge_scores.join(F.broadcast(of.toDF("src", "cluster")), "src").join(F.broadcast(of.toDF("dst", "callee_cluster")), "dst")
+    e = edge_scores.join(of.toDF("src", "cluster"), "src").join(of.toDF("dst", "callee_cluster"), "dst")
     return e.where("cluster <> callee_cluster").select("scenario", "cluster", "src", F.col("dst").alias("callee"), "callee_cluster", "w")
 
 
@@ -17,11 +17,11 @@ def propagation_type(scenarios: DataFrame, cross: DataFrame) -> DataFrame:
     return scenarios.select("scenario").join(hit, "scenario", "left").select("scenario", F.when(F.col("x"), "multi").otherwise("single").alias("type"))
 
 
-def mean_score(nodes: DataFrame, of: DataFrame, flagged_only: bool = False) -> DataFrame:
-    """(scenario, cluster, mean_s) of unnormalized scores over all services of the cluster, or over those with one."""
+def mean_score(nodes: DataFrame, of: DataFrame, flagged_only: bool = False, keys: tuple[str, ...] = ()) -> DataFrame:
+    """(scenario, cluster, mean_s) of unnormalized scores over all services of the cluster, or over those with one; of(keys, node, cluster)."""
     sums = nodes.groupBy("scenario", F.col("grp").alias("cluster")).agg(F.sum("s").alias("t"), F.count("*").alias("k"))
-    size = of.groupBy("cluster").agg(F.count("*").alias("n"))
-    return sums.join(F.broadcast(size), "cluster").select("scenario", "cluster", (F.col("t") / F.col("k" if flagged_only else "n")).alias("mean_s"))
+    size = of.groupBy(*keys, "cluster").agg(F.count("*").alias("n"))
+    return sums.join(size, [*keys, "cluster"]).select("scenario", "cluster", (F.col("t") / F.col("k" if flagged_only else "n")).alias("mean_s"))
 
 
 def augment(nodes: DataFrame, edges: DataFrame, cross: DataFrame, means: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -53,7 +53,18 @@ def messages(cross: DataFrame, means: DataFrame) -> DataFrame:
     return flat.join(means.toDF("scenario", "from_cluster", "mean_s"), ["scenario", "from_cluster"], "left").select("scenario", "from_cluster", "to_cluster", "kind", payload.alias("mean_s"), crossing.alias("crossing_w"))
 
 
-def timeline(links: DataFrame, ready: DataFrame) -> DataFrame:
-    """(scenario, c1, c2, ready, idle): the earlier side of a pair waits for the later; ready(scenario, cluster, t)."""
+def timeline(links: DataFrame, ready: DataFrame, notice: float = 0.0, delay: float = 0.0) -> DataFrame:
+    """(scenario, c1, c2, wait_sent, wait_received, ready, idle) of each linked pair; ready(scenario, cluster, t) says when a cluster knows its own scores.
+
+    All start at 0. notice is when a caller's cluster sees the anomalous crossing and sends its wait message, delay how long any message takes. Both scores
+    are there at ready, the later one's time plus delay; the earlier cluster idles for the difference, whatever the delay, which both bear.
+    """
     p = links.where("grp < other").toDF("scenario", "c1", "c2").join(ready.toDF("scenario", "c1", "t1"), ["scenario", "c1"]).join(ready.toDF("scenario", "c2", "t2"), ["scenario", "c2"])
-    return p.select("scenario", "c1", "c2", F.greatest("t1", "t2").alias("ready"), F.abs(F.col("t1") - F.col("t2")).alias("idle"))
+    sent = F.lit(float(notice))
+    return p.select("scenario", "c1", "c2", sent.alias("wait_sent"), (sent + delay).alias("wait_received"), (F.greatest("t1", "t2") + delay).alias("ready"), F.abs(F.col("t1") - F.col("t2")).alias("idle"))
+
+
+def two_way_warning(crossing: DataFrame) -> DataFrame:
+    """(scenario, c1, c2): pairs of clusters with anomalous calls both ways, frequent traffic of which the method isn't made for. It runs, with both roles for each."""
+    one = crossing.select("scenario", F.col("cluster").alias("c1"), F.col("callee_cluster").alias("c2")).distinct()
+    return one.where("c1 < c2").join(one.toDF("scenario", "c2", "c1"), ["scenario", "c1", "c2"], "left_semi")

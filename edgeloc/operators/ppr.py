@@ -1,7 +1,7 @@
 """Personalized PageRank: r = alpha (P^T r + dangling mass on s) + (1 - alpha) s, from caller to callee.
 
 solve_local packs each group (a scenario's cluster) into one task and iterates there with no shuffle; a group is small by construction and guarded.
-solve_relational iterates joins over one large graph; solve_steps unrolls a fixed number of steps.
+solve_relational iterates joins over large graphs, with edges dealt by source once; solve_steps takes a fixed number of steps.
 """
 
 from __future__ import annotations
@@ -16,14 +16,16 @@ from edgeloc.sources.storage import checkpointed
 MAX_LOCAL_EDGES = 5_000_000
 
 
-def iterate(s: np.ndarray, src: np.ndarray, dst: np.ndarray, w: np.ndarray, alpha: float, eps: float, max_iter: int = 1000, dangling: str = "personalized") -> tuple[np.ndarray, int, float]:
-    """The fixpoint, the steps taken and the last change. A node without outgoing weight gives its mass to s, itself ("loop") or none ("drop")."""
+def iterate(s: np.ndarray, src: np.ndarray, dst: np.ndarray, w: np.ndarray, alpha: float, eps: float, max_iter: int = 1000, dangling: str = "personalized", start: np.ndarray | None = None) -> tuple[np.ndarray, int, float]:
+    """The fixpoint, the steps taken and the last change. A node without outgoing weight gives its mass to s, itself ("loop") or none ("drop"). start is a former result."""
     n = len(s)
     s = s / s.sum() if s.sum() > 0 else np.full(n, 1 / n)
     w = np.asarray(w, dtype=float)
     total = np.bincount(src, w, n).astype(float)  # integers if there are no edges
     p = np.divide(w, total[src], out=np.zeros_like(w, dtype=float), where=total[src] > 0)
     r, loose = s.copy(), total <= 0
+    if start is not None and start.sum() > 0:
+        r = start / start.sum()
     for step in range(1, max_iter + 1):
         new = np.bincount(dst, p * r[src], n).astype(float)
         if dangling == "personalized":
@@ -40,20 +42,39 @@ def iterate(s: np.ndarray, src: np.ndarray, dst: np.ndarray, w: np.ndarray, alph
     return r, step, change
 
 
-def solve_local(nodes: DataFrame, edges: DataFrame, keys=("scenario", "grp"), alpha: float = 0.5, eps: float = 1e-6, max_iter: int = 1000, dangling: str = "personalized") -> DataFrame:
-    """nodes(keys, node, s), edges(keys, src, dst, w) -> (keys, node, r, rank, iterations, residual, n_nodes, n_edges). Edges with an end outside the group are left out."""
+def solve_local(nodes: DataFrame, edges: DataFrame, keys=("scenario", "grp"), alpha: float = 0.5, eps: float = 1e-6, max_iter: int = 1000, dangling: str = "personalized", max_edges: int | None = None) -> DataFrame:
+    """nodes(keys, node, s), edges(keys, src, dst, w) -> (keys, node, r, rank, iterations, residual, n_nodes, n_edges). Edges with an end outside the group are left out.
+
+    nodes may have a column r0, where the walk then starts, and alpha and eps, the same in all rows of a group, which take the place of the arguments.
+    With max_edges, groups with more edges go to solve_relational instead: they are counted first. Without, a group above MAX_LOCAL_EDGES is an error.
+    """
     keys = list(keys)
+    if max_edges is not None:
+        large = edges.groupBy(*keys).agg(F.count("*").alias("n_edges")).where(F.col("n_edges") > max_edges).select(*keys)
+        large = checkpointed(large)
+        if not large.isEmpty():
+            near = solve_local(nodes.join(large, keys, "left_anti"), edges.join(large, keys, "left_anti"), keys, alpha, eps, max_iter, dangling)
+            some = nodes.join(large, keys, "left_semi").select(*keys, F.col("node").cast("string").alias("node"), "s")
+            ends = edges.join(large, keys, "left_semi").select(*keys, F.col("src").cast("string").alias("src"), F.col("dst").cast("string").alias("dst"), "w")
+            far = rank(solve_relational(some, ends, alpha, eps, keys=tuple(keys)), tuple(keys))
+            count = lambda df, n: df.groupBy(*keys).agg(F.count("*").cast("int").alias(n))
+            far = far.join(count(some, "n_nodes"), keys).join(count(ends, "n_edges"), keys)
+            none = F.lit(None)
+            return near.unionByName(far.select(*keys, "node", "r", "rank", none.cast("int").alias("iterations"), none.cast("double").alias("residual"), "n_nodes", "n_edges"))
+    extra = [c for c in ("r0", "alpha", "eps") if c in nodes.columns]
 
     def run(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         if len(b) > MAX_LOCAL_EDGES:
-            raise ValueError("a group is too large for one task; use solve_relational")
+            raise ValueError("a group is too large for one task; give max_edges, or use solve_relational")
         a = a.sort_values("node", ignore_index=True)
         at = {v: k for k, v in enumerate(a["node"])}
         src, dst = b["src"].map(at).to_numpy(dtype=float), b["dst"].map(at).to_numpy(dtype=float)
         ok = ~(np.isnan(src) | np.isnan(dst))
         if not len(a):
             return pd.DataFrame({k: [] for k in [*keys, "node", "r", "rank", "iterations", "residual", "n_nodes", "n_edges"]})
-        r, steps, change = iterate(a["s"].to_numpy(dtype=float), src[ok].astype(int), dst[ok].astype(int), b["w"].to_numpy(dtype=float)[ok], alpha, eps, max_iter, dangling)
+        told = {c: float(a[c].iloc[0]) for c in ("alpha", "eps") if c in extra}
+        start = a["r0"].fillna(0).to_numpy(dtype=float) if "r0" in extra else None
+        r, steps, change = iterate(a["s"].to_numpy(dtype=float), src[ok].astype(int), dst[ok].astype(int), b["w"].to_numpy(dtype=float)[ok], told.get("alpha", alpha), told.get("eps", eps), max_iter, dangling, start)
         order = np.lexsort((np.arange(len(r)), -r.round(12)))
         rank = np.empty(len(r), dtype=int)
         rank[order] = np.arange(1, len(r) + 1)
@@ -61,46 +82,82 @@ def solve_local(nodes: DataFrame, edges: DataFrame, keys=("scenario", "grp"), al
 
     kinds = dict(nodes.dtypes)
     schema = ", ".join(f"{k} {kinds[k]}" for k in keys) + ", node string, r double, rank int, iterations int, residual double, n_nodes int, n_edges int"
-    a = nodes.select(*keys, F.col("node").cast("string").alias("node"), F.col("s").cast("double").alias("s"))
+    a = nodes.select(*keys, F.col("node").cast("string").alias("node"), F.col("s").cast("double").alias("s"), *extra)
     b = edges.select(*keys, F.col("src").cast("string").alias("src"), F.col("dst").cast("string").alias("dst"), F.col("w").cast("double").alias("w"))
     return a.groupBy(*keys).cogroup(b.groupBy(*keys)).applyInPandas(run, schema)
 
 
-def _step(r: DataFrame, p: DataFrame, s: DataFrame, alpha: float) -> DataFrame:
-    """One step: mass along edges, and what dangling nodes hold onto s, in one aggregation."""
-    sent = r.join(p, r["node"] == p["src"], "left")
-    loose = sent.where("src is null").agg(F.coalesce(F.sum("r"), F.lit(0.0)).alias("loose"))
-    moved = sent.where("src is not null").groupBy(F.col("dst").alias("node")).agg(F.sum(F.col("r") * F.col("p")).alias("m"))
-    return s.join(moved, "node", "left").join(F.broadcast(loose)).select("node", (F.lit(alpha) * (F.coalesce("m", F.lit(0.0)) + F.col("loose") * F.col("s")) + (1 - alpha) * F.col("s")).alias("r"))
+def with_back_edges(edges: DataFrame, rho: float, keys=("scenario",)) -> DataFrame:
+    """edges and their reverse at rho times the weight, as many localizers add: an extra, off elsewhere."""
+    back = edges.select(*keys, F.col("dst").alias("src"), F.col("src").alias("dst"), (F.col("w") * rho).alias("w"))
+    return edges.select(*keys, "src", "dst", "w").union(back).groupBy(*keys, "src", "dst").agg(F.sum("w").alias("w"))
+
+
+def with_self_edges(nodes: DataFrame, edges: DataFrame, share: float, keys=("scenario",)) -> DataFrame:
+    """edges and, for each node, one to itself of share times its own score."""
+    own = nodes.select(*keys, F.col("node").alias("src"), F.col("node").alias("dst"), (F.col("s") * share).alias("w"))
+    return edges.select(*keys, "src", "dst", "w").union(own.where("w > 0"))
+
+
+def _step(r: DataFrame, p: DataFrame, s: DataFrame, alpha: float, keys: list[str]) -> DataFrame:
+    """One step: mass along edges, and what dangling nodes hold onto s."""
+    sent = r.withColumnRenamed("node", "src").join(p, [*keys, "src"], "left")
+    moved = sent.where("dst is not null").groupBy(*keys, F.col("dst").alias("node")).agg(F.sum(F.col("r") * F.col("p")).alias("m"))
+    loose = sent.where("dst is null").groupBy(*keys).agg(F.sum("r").alias("loose"))
+    to = s.join(moved, [*keys, "node"], "left")
+    to = to.join(loose, keys, "left") if keys else to.crossJoin(F.broadcast(sent.agg(F.sum(F.when(F.col("dst").isNull(), F.col("r"))).alias("loose"))))  # one row
+    mass = F.coalesce("m", F.lit(0.0)) + F.coalesce("loose", F.lit(0.0)) * F.col("s")
+    return to.select(*keys, "node", (F.lit(alpha) * mass + (1 - alpha) * F.col("s")).alias("r"))
+
+
+def _prepared(nodes: DataFrame, edges: DataFrame, keys: list[str]) -> tuple[DataFrame, DataFrame]:
+    """Shares of each graph; by sums, not by a window over all rows. Edges with an end outside the nodes are left out."""
+    total = nodes.groupBy(*keys).agg(F.sum("s").alias("t"), F.count("*").alias("n"))
+    s = (nodes.join(total, keys) if keys else nodes.crossJoin(F.broadcast(total))).select(*keys, "node", F.when(F.col("t") > 0, F.col("s") / F.col("t")).otherwise(1 / F.col("n")).alias("s"))
+    known = nodes.select(*keys, "node")
+    ends = edges.join(known.withColumnRenamed("node", "src"), [*keys, "src"], "left_semi").join(known.withColumnRenamed("node", "dst"), [*keys, "dst"], "left_semi")
+    out = ends.groupBy(*keys, "src").agg(F.sum("w").alias("t")).where("t > 0")
+    return s, ends.join(out, [*keys, "src"]).select(*keys, "src", "dst", (F.col("w") / F.col("t")).alias("p"))
+
+
+class _Graph:
+    """s and p of a walk: written once, then held in memory dealt by the node that a step reads, so that edges don't move again."""
+
+    def __init__(self, nodes: DataFrame, edges: DataFrame, keys: tuple[str, ...]):
+        self.keys = list(keys)
+        s, p = (checkpointed(x) for x in _prepared(nodes, edges, self.keys))
+        self.s, self.p = s.repartition(*self.keys, "node").persist(), p.repartition(*self.keys, "src").persist()
 
+    def step(self, r: DataFrame, alpha: float) -> DataFrame:
+        return checkpointed(_step(r, self.p, self.s, alpha, self.keys))
 
-def _prepared(nodes: DataFrame, edges: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Shares of one graph; by one sum each, not by a window over all rows."""
-    total = F.broadcast(nodes.agg(F.sum("s").alias("t"), F.count("*").alias("n")))
-    s = nodes.join(total).select("node", F.when(F.col("t") > 0, F.col("s") / F.col("t")).otherwise(1 / F.col("n")).alias("s"))
-    out = edges.groupBy("src").agg(F.sum("w").alias("t")).where("t > 0")
-    return s, edges.join(out, "src").select("src", "dst", (F.col("w") / F.col("t")).alias("p"))
+    def close(self) -> None:
+        self.s.unpersist()
+        self.p.unpersist()
 
 
-def solve_relational(nodes: DataFrame, edges: DataFrame, alpha: float = 0.5, eps: float = 1e-6, max_iter: int = 200, check_every: int = 5) -> DataFrame:
-    """(node, r) of one graph too large for a task; lineage is cut every step, and convergence looked at every few."""
-    s, p = (checkpointed(x) for x in _prepared(nodes, edges))
-    r = s.withColumnRenamed("s", "r")
-    for done in range(check_every, max_iter + check_every, check_every):
+def solve_relational(nodes: DataFrame, edges: DataFrame, alpha: float = 0.5, eps: float = 1e-6, max_iter: int = 200, check_every: int = 5, keys: tuple[str, ...] = ()) -> DataFrame:
+    """(keys, node, r) of graphs too large for a task; lineage is cut every step, and convergence (of the slowest graph) looked at every few."""
+    g = _Graph(nodes, edges, keys)
+    r = g.s.withColumnRenamed("s", "r")
+    for _ in range(0, max_iter, check_every):
         before = r
         for _ in range(check_every):
-            before, r = r, checkpointed(_step(r, p, s, alpha))
-        if (r.join(before.toDF("node", "old"), "node").agg(F.sum(F.abs(F.col("r") - F.col("old")))).first()[0] or 0.0) < eps:
+            before, r = r, g.step(r, alpha)
+        far = r.join(before.withColumnRenamed("r", "old"), [*keys, "node"]).groupBy(*keys).agg(F.sum(F.abs(F.col("r") - F.col("old"))).alias("d")).agg(F.max("d"))
+        if (far.first()[0] or 0.0) < eps:
             break
+    g.close()
     return r
 
 
-def solve_steps(nodes: DataFrame, edges: DataFrame, alpha: float = 0.5, steps: int = 10) -> DataFrame:
+def solve_steps(nodes: DataFrame, edges: DataFrame, alpha: float = 0.5, steps: int = 10, keys: tuple[str, ...] = ()) -> DataFrame:
     """A step reads the last vector twice, so it is written each time: the plan would double with every step."""
-    s, p = (checkpointed(x) for x in _prepared(nodes, edges))
-    r = s.withColumnRenamed("s", "r")
+    g = _Graph(nodes, edges, keys)
+    r = g.s.withColumnRenamed("s", "r")
     for _ in range(steps):
-        r = checkpointed(_step(r, p, s, alpha))
+        r = g.step(r, alpha)
+    g.close()
     return r
 
 

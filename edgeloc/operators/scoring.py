@@ -54,21 +54,32 @@ def metric_score(flags: DataFrame, keys=("scenario", "node"), pairs: str = "half
     return flagged_sets(flags, keys).select(*keys, pair_sum(F.col("vs"), pairs, kind).alias("s_metric"))
 
 
-def edge_influence(edge_flags: DataFrame, node_flags: DataFrame, kind: str = "pearson", latency: str = "p90") -> DataFrame:
-    """(scenario, node, s_edge): for each flagged caller edge the best match of its latency among the callee's flagged metrics, summed."""
-    rt = edge_flags.where((F.col("metric") == latency) & F.col("is_anomalous")).select("scenario", F.col("dst").alias("node"), F.col("v").alias("rt"))
+def call_influence(edge_flags: DataFrame, node_flags: DataFrame, kind: str = "pearson", latency: str = "p90") -> DataFrame:
+    """(scenario, node, src, s): for each flagged caller edge the best match of its latency among the callee's flagged metrics."""
+    rt = edge_flags.where((F.col("metric") == latency) & F.col("is_anomalous")).select("scenario", "src", F.col("dst").alias("node"), F.col("v").alias("rt"))
     best = F.array_max(F.transform("vs", lambda x: abs_corr(F.col("rt"), x, kind)))
-    return rt.join(flagged_sets(node_flags, ("scenario", "node")), ["scenario", "node"]).groupBy("scenario", "node").agg(F.sum(best).alias("s_edge"))
+    return rt.join(flagged_sets(node_flags, ("scenario", "node")), ["scenario", "node"]).select("scenario", "node", "src", best.alias("s"))
 
 
-def node_scores(node_flags: DataFrame, edge_flags: DataFrame, pairs: str = "half", kind: str = "pearson", parts=("metric", "edge")) -> DataFrame:
-    """(scenario, node, s): the two influences added; an entity with either is there."""
+def edge_influence(edge_flags: DataFrame, node_flags: DataFrame, kind: str = "pearson", latency: str = "p90") -> DataFrame:
+    """(scenario, node, s_edge): the influences of a node's callers, summed."""
+    return call_influence(edge_flags, node_flags, kind, latency).groupBy("scenario", "node").agg(F.sum("s").alias("s_edge"))
+
+
+def score_parts(node_flags: DataFrame, edge_flags: DataFrame, pairs: str = "half", kind: str = "pearson", parts=("metric", "edge")) -> DataFrame:
+    """(scenario, node, src, s): what a node's score is made of. src is null for its own metrics, else the caller; a subgraph takes the callers that it has."""
     got = []
     if "metric" in parts:
-        got.append(metric_score(node_flags, pairs=pairs, kind=kind).withColumnRenamed("s_metric", "s"))
+        own = metric_score(node_flags, pairs=pairs, kind=kind)
+        got.append(own.select("scenario", "node", F.lit(None).cast("string").alias("src"), F.col("s_metric").alias("s")))
     if "edge" in parts:
-        got.append(edge_influence(edge_flags, node_flags, kind).withColumnRenamed("s_edge", "s"))
-    return reduce(DataFrame.unionByName, got).groupBy("scenario", "node").agg(F.sum("s").alias("s"))
+        got.append(call_influence(edge_flags, node_flags, kind))
+    return reduce(DataFrame.unionByName, got)
+
+
+def node_scores(node_flags: DataFrame, edge_flags: DataFrame, pairs: str = "half", kind: str = "pearson", parts=("metric", "edge")) -> DataFrame:
+    """(scenario, node, s): the two influences added over the whole graph; an entity with either is there."""
+    return score_parts(node_flags, edge_flags, pairs, kind, parts).groupBy("scenario", "node").agg(F.sum("s").alias("s"))
 
 
 def edge_scores(edge_flags: DataFrame, pairs: str = "half", kind: str = "pearson") -> DataFrame:
@@ -81,11 +92,16 @@ def rt_scores(flags: DataFrame, front: DataFrame, keys: tuple[str, ...], out: st
     return flags.where("is_anomalous").join(front, "scenario").groupBy(*keys).agg(best.alias(out))
 
 
-def explain(flags: DataFrame, k: int = 3, keys=("scenario", "node")) -> DataFrame:
-    """The k strongest metric pairs of each entity."""
+def explain(flags: DataFrame, k: int = 3, keys=("scenario", "node"), calls: DataFrame | None = None) -> DataFrame:
+    """(keys, a, b, corr): the k strongest terms of each entity's score: metric pairs, and with calls, as of call_influence, callers (a is then "call", b the caller)."""
     s = flagged_sets(flags, keys)
     pair = F.flatten(F.transform("vs", lambda x, i: F.transform(F.slice("vs", i + 2, F.size("vs")), lambda y, j: F.struct((-abs_corr(x, y)).alias("c"), F.get("metrics", i).alias("a"), F.get("metrics", i + j + 1).alias("b")))))
-    return s.select(*keys, F.explode(F.slice(F.array_sort(pair), 1, k)).alias("p")).select(*keys, "p.a", "p.b", (-F.col("p.c")).alias("corr"))
+    terms = s.select(*keys, F.explode(F.slice(F.array_sort(pair), 1, k)).alias("p")).select(*keys, "p.a", "p.b", (-F.col("p.c")).alias("corr"))
+    if calls is None:
+        return terms
+    both = terms.union(calls.select(*keys, F.lit("call"), "src", "s"))
+    place = F.row_number().over(Window.partitionBy(*keys).orderBy(F.desc(F.round("corr", 12)), "a", "b"))
+    return both.withColumn("place", place).where(F.col("place") <= k).drop("place")
 
 
 def share(df: DataFrame, value: str, out: str, *by: str) -> DataFrame:

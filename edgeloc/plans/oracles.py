@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from edgeloc.plans import scenario_sql
+
 _SPANS = """spans AS (SELECT l_orderkey AS trace, l_suppkey AS service, CAST(s_nationkey AS BIGINT) AS device, abs(date_diff('day', CAST(o_orderdate AS DATE), CAST(l_shipdate AS DATE))) AS latency, CAST(o_orderdate AS DATE) AS day,
   l_linenumber, l_partkey, l_suppkey, l_shipdate, l_extendedprice FROM lineitem JOIN orders ON o_orderkey = l_orderkey JOIN supplier ON s_suppkey = l_suppkey),
 calls AS (SELECT * FROM (SELECT trace, service AS src, device AS a, lead(service) OVER w AS dst, lead(device) OVER w AS b, lead(latency) OVER w AS latency, lead(day) OVER w AS day FROM spans
@@ -10,7 +12,6 @@ _EVENTS = """ev AS (SELECT *, CAST(floor(CAST(json_extract_string(props, '$.k')
 es AS (SELECT *, event_type || '_' || device AS service FROM ev),
 ecalls AS (SELECT * FROM (SELECT user_id AS trace, service AS src, lead(service) OVER w AS dst, lead(value) OVER w AS latency, lead(t) OVER w AS t FROM es WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) WHERE src <> dst)"""
 _NATION = "SELECT a AS src, b AS dst, count(*) AS freq FROM calls WHERE a <> b GROUP BY 1, 2"
-_THIN = "thin AS (SELECT a AS src, b AS dst, count(*) AS freq FROM calls WHERE a <> b AND (a % 3 = b % 3 OR trace % 128 = 0) GROUP BY 1, 2)"
 _ALIGNED = """aligned AS (SELECT entity, t, coalesce(n, 0)::DOUBLE AS value FROM (SELECT DISTINCT service AS entity FROM es) CROSS JOIN (SELECT unnest(range(0, 30)) AS t) LEFT JOIN (SELECT service AS entity, t, count(*) AS n FROM es GROUP BY 1, 2) USING (entity, t)),
 unit AS (SELECT entity, t, value, value / sqrt(sum(value * value) OVER (PARTITION BY entity)) AS z FROM aligned)"""
 _PCT = "SELECT src, dst, t, metric, round(value, 6) AS value FROM (SELECT src, dst, {t} AS t, quantile_cont(latency, 0.5)::DOUBLE AS p50, quantile_cont(latency, 0.9)::DOUBLE AS p90, quantile_cont(latency, 0.99)::DOUBLE AS p99 FROM {of} GROUP BY 1, 2, 3) UNPIVOT (value FOR metric IN (p50, p90, p99))"
@@ -27,22 +28,6 @@ def _steps(k: int) -> str:
     return ", ".join(out)
 
 
-def _shape(name: str) -> str:
-    """The planted communities as clusters: what the merge must find."""
-    cross = "src % 3 <> dst % 3"
-    return {
-        "clu_map": "SELECT CAST(n_nationkey AS BIGINT) AS device, CAST(n_nationkey % 3 AS BIGINT) AS cluster FROM nation",
-        "clu_weights": f"WITH {_SPANS}, {_THIN} SELECT least(src, dst) AS c1, greatest(src, dst) AS c2, sum(freq)::BIGINT AS w FROM thin GROUP BY 1, 2",
-        "clu_cut_ratio": f"WITH {_SPANS}, {_THIN} SELECT *, round(intra / (intra + inter), 6) AS ratio FROM (SELECT src % 3 AS cluster, sum(CASE WHEN {cross} THEN 0 ELSE freq END)::BIGINT AS intra, sum(CASE WHEN {cross} THEN freq ELSE 0 END)::BIGINT AS inter FROM thin GROUP BY 1)",
-        "sub_nodes": f"""WITH {_SPANS}, {_THIN} SELECT CAST(n_nationkey % 3 AS BIGINT) AS cluster, CAST(n_nationkey AS VARCHAR) AS node, false AS is_shadow, NULL::VARCHAR AS remote_service, NULL::BIGINT AS remote_cluster FROM nation
-          UNION ALL SELECT DISTINCT src % 3, 'shadow:' || dst, true, CAST(dst AS VARCHAR), dst % 3 FROM thin WHERE {cross}""",
-        "sub_edges": f"WITH {_SPANS}, {_THIN} SELECT src % 3 AS cluster, CAST(src AS VARCHAR) AS src, CASE WHEN {cross} THEN 'shadow:' || dst ELSE CAST(dst AS VARCHAR) END AS dst, freq, {cross} AS crosses FROM thin",
-        "sub_shadow": f"WITH {_SPANS}, {_THIN} SELECT src % 3 AS cluster, count(DISTINCT dst) AS shadows FROM thin WHERE {cross} GROUP BY 1",
-        "op_two_way_crossings": f"WITH {_SPANS}, {_THIN}, x AS (SELECT DISTINCT src % 3 AS a, dst % 3 AS b FROM thin WHERE {cross}) SELECT x.a AS c1, x.b AS c2 FROM x JOIN x y ON x.a = y.b AND x.b = y.a WHERE x.a < x.b",
-    }[name]
-
-
-_MEANS = "m AS (SELECT cluster, t / n AS s FROM (SELECT dst % 3 AS cluster, sum(freq)::DOUBLE AS t FROM thin GROUP BY 1) JOIN (SELECT CAST(n_nationkey % 3 AS BIGINT) AS cluster, count(*) AS n FROM nation GROUP BY 1) USING (cluster))"
 _NATIONS = "n AS (SELECT n_regionkey AS scenario, n_nationkey AS node, coalesce((SELECT sum(freq) FROM f WHERE dst = n_nationkey), 0)::DOUBLE AS r, coalesce((SELECT sum(freq) FROM f WHERE src = n_nationkey), 0)::DOUBLE AS t FROM nation)"
 
 
@@ -53,6 +38,18 @@ def _active(days: int) -> str:
       hot AS (SELECT * FROM sa WINDOW w AS (PARTITION BY node, metric) QUALIFY (max(value) OVER w - min(value) OVER w) * 3 > max(value) OVER w * 2)"""
 
 
+def _fold(rows: str, keys: str, beta: str) -> str:
+    """Features of series rows(keys, i, z), taken in order of i from 1: the nearest feature takes a value if its radius stays up to beta, else a new one opens."""
+    k = [x.strip() for x in keys.split(",")]
+    same = " AND ".join(f"f.{x} = r.{x}" for x in k)
+    mine = ", ".join(f"f.{x}" for x in k)
+    return f"""fold AS (SELECT {keys}, i, [1.0::DOUBLE] AS n, [z] AS ls, [z * z] AS ss FROM {rows} WHERE i = 1 UNION ALL
+      SELECT {keys}, i, CASE WHEN fits THEN list_transform(n, lambda x, p: CASE WHEN p = at THEN x + 1 ELSE x END) ELSE list_append(n, 1.0::DOUBLE) END,
+        CASE WHEN fits THEN list_transform(ls, lambda x, p: CASE WHEN p = at THEN x + z ELSE x END) ELSE list_append(ls, z) END, CASE WHEN fits THEN list_transform(ss, lambda x, p: CASE WHEN p = at THEN x + z * z ELSE x END) ELSE list_append(ss, z * z) END
+      FROM (SELECT *, sqrt(greatest(0.0, (ss[at] + z * z) / (n[at] + 1) - ((ls[at] + z) / (n[at] + 1)) * ((ls[at] + z) / (n[at] + 1)))) <= {beta} AS fits
+        FROM (SELECT {mine}, r.i, r.z, n, ls, ss, list_position(list_transform(n, lambda x, p: abs(ls[p] / x - r.z)), list_min(list_transform(n, lambda x, p: abs(ls[p] / x - r.z)))) AS at FROM fold f JOIN {rows} r ON {same} AND r.i = f.i + 1)))"""
+
+
 ORACLES = {
     "wl_calls_supplier": f"WITH {_SPANS} SELECT trace, src, dst FROM calls",
     "wl_freq_supplier": f"WITH {_SPANS} SELECT src, dst, count(*) AS freq FROM calls GROUP BY 1, 2",
@@ -70,11 +67,6 @@ ORACLES = {
     "op_edge_percentiles": f"WITH {_EVENTS} " + _PCT.format(t="CAST(floor(t / 10) AS BIGINT)", of="ecalls"),
     "op_device_series": f"WITH {_EVENTS} SELECT entity, metric, t, round(value, 6) AS value FROM (SELECT device AS entity, t, count(*)::DOUBLE AS count, avg(value) AS avg, max(value) AS max, quantile_cont(value, 0.5) AS p50, quantile_cont(value, 0.9) AS p90, quantile_cont(value, 0.99) AS p99 FROM es GROUP BY 1, 2) UNPIVOT (value FOR metric IN (count, avg, max, p50, p90, p99))",
     "op_link_series": f"WITH {_EVENTS}, links AS (SELECT CAST(split_part(src, '_', -1) AS BIGINT) AS src, CAST(split_part(dst, '_', -1) AS BIGINT) AS dst, latency, t FROM ecalls WHERE split_part(src, '_', -1) <> split_part(dst, '_', -1)) " + _PCT.format(t="CAST(floor(t / 10) AS BIGINT)", of="links"),
-    "op_crossings": f"WITH {_SPANS}, {_THIN} SELECT src % 3 AS cluster, CAST(src AS VARCHAR) AS src, CAST(dst AS VARCHAR) AS callee, dst % 3 AS callee_cluster, freq::DOUBLE AS w FROM thin WHERE src % 3 <> dst % 3",
-    "op_mean_score": f"WITH {_SPANS}, {_THIN} SELECT cluster, round(t / n, 6) AS mean_s FROM (SELECT dst % 3 AS cluster, sum(freq)::DOUBLE AS t FROM thin GROUP BY 1) JOIN (SELECT CAST(n_nationkey % 3 AS BIGINT) AS cluster, count(*) AS n FROM nation GROUP BY 1) USING (cluster)",
-    "op_augment": f"""WITH {_SPANS}, {_THIN}, m AS (SELECT cluster, t / n AS s FROM (SELECT dst % 3 AS cluster, sum(freq)::DOUBLE AS t FROM thin GROUP BY 1) JOIN (SELECT CAST(n_nationkey % 3 AS BIGINT) AS cluster, count(*) AS n FROM nation GROUP BY 1) USING (cluster)),
-      x AS (SELECT DISTINCT src % 3 AS a, dst % 3 AS b FROM thin WHERE src % 3 <> dst % 3), l AS (SELECT a, b FROM x UNION SELECT b, a FROM x)
-      SELECT dst % 3 AS grp, CAST(dst AS VARCHAR) AS node, round(sum(freq)::DOUBLE, 6) AS s FROM thin GROUP BY 1, 2 UNION ALL SELECT a, 'cluster:' || b, round(coalesce(s, 0), 6) FROM l LEFT JOIN m ON m.cluster = l.b""",
     "op_series_align": f"WITH {_EVENTS}, {_ALIGNED} SELECT entity, 'count' AS metric, CAST(t AS INT) AS t, value FROM aligned",
     "op_l2_normalize": f"WITH {_EVENTS}, {_ALIGNED} SELECT entity, CAST(t AS INT) AS t, round(z, 6) AS value FROM unit",
     "op_sliding_rate": "SELECT CAST(date_diff('day', DATE '2024-01-01', CAST(d AS DATE)) AS INT) AS start, event_type, count(*) AS n FROM (SELECT event_type, unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY]) AS d FROM events) GROUP BY 1, 2",
@@ -91,21 +83,11 @@ ORACLES = {
     "op_topk_causes": f"WITH {_SPANS}, {_steps(10)} SELECT node, round(r, 8) AS r, CAST(row_number() OVER (ORDER BY round(r, 8) DESC, node) AS INT) AS rank FROM r10 QUALIFY rank <= 5",
     "clu_initial": "SELECT CAST(n_nationkey AS BIGINT) AS device, CAST(n_nationkey AS BIGINT) AS cluster FROM nation",
     "clu_weights_full": f"WITH {_SPANS}, f AS ({_NATION}) SELECT least(src, dst) AS c1, greatest(src, dst) AS c2, sum(freq)::BIGINT AS w FROM f GROUP BY 1, 2",
-    "clu_map_greedy": _shape("clu_map"),
-    **{n: _shape(n) for n in ("clu_map", "clu_weights", "clu_cut_ratio", "sub_nodes", "sub_edges", "sub_shadow", "op_two_way_crossings")},
     "op_cube_fault": "WITH t AS (SELECT CASE WHEN i < 146 THEN 'HH' ELSE 'SH' END AS grp, ['cpu', 'memory', 'latency', 'loss', 'duplication', 'corruption', 'disorder', 'delay', 'jitter'][i % 9 + 1] AS fault FROM range(0, 383) x(i)) SELECT grp, fault, count(*) AS n FROM t GROUP BY CUBE (grp, fault)",
     "stream_series": "SELECT CAST(date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS INT) AS day, event_type, count(*) AS n, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY 1, 2",
     "eval_quoted": "SELECT * FROM (VALUES ('HH', 0.632::DOUBLE, 0.756::DOUBLE, 0.796::DOUBLE, 0.833::DOUBLE, 0.896::DOUBLE), ('SH', 0.607, 0.732, 0.792, 0.849, 0.907)) v(grp, acc_1, acc_2, acc_3, acc_5, acc_10)",
     "op_span_lead": "SELECT event_id, epoch_us(lead(ts) OVER w) - epoch_us(ts) AS gap_us FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)",
     "op_href_links": """SELECT page_id, count(*) AS n_links, count(DISTINCT href) AS n_targets FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS href FROM pages) GROUP BY 1""",
-    "op_messages": f"""WITH {_SPANS}, {_THIN}, {_MEANS}, x AS (SELECT src % 3 AS a, dst % 3 AS b, sum(freq)::DOUBLE AS w FROM thin WHERE src % 3 <> dst % 3 GROUP BY 1, 2),
-      p AS (SELECT least(a, b) AS lo, greatest(a, b) AS hi, min(a) AS f, sum(w) AS w FROM x GROUP BY 1, 2), q AS (SELECT f, CASE WHEN f = lo THEN hi ELSE lo END AS o, w FROM p)
-      SELECT f AS from_cluster, o AS to_cluster, 'wait' AS kind, NULL::DOUBLE AS mean_s, NULL::DOUBLE AS crossing_w FROM q UNION ALL SELECT f, o, 'score', round(coalesce(s, 0), 6), w FROM q LEFT JOIN m ON cluster = f UNION ALL SELECT o, f, 'score', round(coalesce(s, 0), 6), NULL FROM q LEFT JOIN m ON cluster = o""",
-    "op_combine": f"""WITH {_SPANS}, {_THIN}, {_MEANS}, x AS (SELECT DISTINCT src % 3 AS a, dst % 3 AS b FROM thin WHERE src % 3 <> dst % 3), l AS (SELECT a, b FROM x UNION SELECT b, a FROM x),
-      own AS (SELECT dst % 3 AS grp, dst AS node, sum(freq)::DOUBLE AS s FROM thin GROUP BY 1, 2), met AS (SELECT l.a, l.b, coalesce(m.s, 0) AS s FROM l LEFT JOIN m ON m.cluster = l.b),
-      tot AS (SELECT grp, sum(s) AS t FROM (SELECT grp, s FROM own UNION ALL SELECT a, s FROM met) GROUP BY 1), r AS (SELECT grp, node, s / t AS r FROM own JOIN tot USING (grp) WHERE grp IN (SELECT a FROM l)),
-      g AS (SELECT b, s / t AS mass FROM met JOIN tot ON grp = a)
-      SELECT CAST(node AS VARCHAR) AS node, round(sum(r) / (SELECT count(DISTINCT a) FROM l), 6) AS score FROM (SELECT node, r FROM r UNION ALL SELECT node, mass * r FROM r JOIN g ON b = grp) GROUP BY 1""",
     "op_acc_mar_mrr": f"""WITH {_SPANS}, f AS ({_NATION}), {_NATIONS}, k AS (SELECT *, row_number() OVER (PARTITION BY scenario ORDER BY r DESC, node) AS rank FROM n),
       c AS (SELECT n_regionkey AS scenario, c_nationkey AS root FROM customer JOIN nation ON n_nationkey = c_nationkey GROUP BY 1, 2 QUALIFY row_number() OVER (PARTITION BY n_regionkey ORDER BY count(*) DESC, c_nationkey DESC) = 1)
       SELECT count(*) AS scenarios, {", ".join(f"round(avg((rank <= {k})::INT), 6) AS acc_{k}" for k in (1, 2, 3, 5, 10))}, round(avg(rank), 6) AS mar, round(avg(1.0::DOUBLE / rank), 6) AS mrr FROM k JOIN c ON k.scenario = c.scenario AND node = root""",
@@ -115,3 +97,23 @@ ORACLES = {
       ea AS (SELECT src, dst, t, coalesce(value, 0) AS value FROM (SELECT DISTINCT src, dst FROM e) CROSS JOIN (SELECT unnest(range(0, 10)) AS t) LEFT JOIN e USING (src, dst, t)), eh AS (SELECT * FROM ea QUALIFY min(value) OVER (PARTITION BY src, dst) = 0)
       SELECT node, round(sum(best), 6) AS s_edge FROM (SELECT src, node, max(r) AS best FROM (SELECT eh.src, hot.node, hot.metric, CASE WHEN stddev_pop(eh.value) > 0 AND stddev_pop(hot.value) > 0 THEN abs(corr(eh.value, hot.value)) ELSE 0 END AS r FROM eh JOIN hot ON hot.node = eh.dst AND hot.t = eh.t GROUP BY 1, 2, 3) GROUP BY 1, 2) GROUP BY 1""",
 }
+
+_ROWS = "zs AS MATERIALIZED (SELECT entity, t + 1 AS i, z FROM unit)"
+_BETAS = "bs AS MATERIALIZED (SELECT beta, entity, t + 1 AS i, z FROM unit, (SELECT unnest([0.01, 0.02, 0.03, 0.05, 0.07, 0.1])::DOUBLE AS beta))"
+_SEEN = "vs AS MATERIALIZED (SELECT event_type AS entity, row_number() OVER (PARTITION BY event_type ORDER BY ts, event_id) AS i, value / 1000 AS z FROM events)"
+_LAST = "last_ AS (SELECT * FROM fold QUALIFY row_number() OVER (PARTITION BY {0} ORDER BY i DESC) = 1)"
+_WEB = """host AS MATERIALIZED (SELECT src, CASE WHEN host = '' THEN src ELSE host END AS dst, count(*)::DOUBLE AS w FROM (SELECT src, regexp_extract(href, '://([^/?#]*)', 1) AS host FROM (SELECT regexp_extract(url, '://([^/?#]*)', 1) AS src, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS href FROM pages)) GROUP BY 1, 2),
+wn AS (SELECT 0 AS s, 0 AS grp, node, sum(w) AS x FROM (SELECT src AS node, w FROM host UNION ALL SELECT dst, w FROM host) GROUP BY 3), we AS (SELECT 0 AS s, 0 AS grp, src, dst, w FROM host)"""
+
+ORACLES |= scenario_sql.ORACLES | {
+    "det_birch_events": f"WITH RECURSIVE {_EVENTS}, {_ALIGNED}, {_ROWS}, {_fold('zs', 'entity', '0.07')}, {_LAST.format('entity')} SELECT entity, 'count' AS metric, CAST(len(n) AS INT) AS n_features, len(n) > 1 AS is_anomalous FROM last_",
+    "det_birch_sweep": f"WITH RECURSIVE {_EVENTS}, {_ALIGNED}, {_BETAS}, {_fold('bs', 'beta, entity', 'beta')}, {_LAST.format('beta, entity')} SELECT beta, CAST(sum((len(n) > 1)::INT) AS BIGINT) AS flagged FROM last_ GROUP BY 1",
+    "stream_detect": f"WITH RECURSIVE {_SEEN}, {_fold('vs', 'entity', '0.05')}, {_LAST.format('entity')} SELECT entity, CAST(len(n) AS INT) AS n_features, len(n) > 1 AS is_anomalous FROM last_",
+    "web_ppr": scenario_sql.statement([_WEB, *scenario_sql.walk("w_", "wn", "we", 12)[:17]], "SELECT node, round(r, 6) AS r FROM w_12"),
+    "wl_edge_latency_sketch": f"WITH {_SPANS} SELECT a AS src, b AS dst, true AS p50_ok, true AS p90_ok, true AS p99_ok FROM calls WHERE a <> b GROUP BY 1, 2",
+    "det_edges": f"""WITH RECURSIVE {_SPANS}, hs AS (SELECT a AS src, b AS dst, CAST(year(day) * 2 + floor((month(day) - 1) / 6) AS INT) AS t, quantile_cont(latency, 0.5)::DOUBLE AS p50, quantile_cont(latency, 0.9)::DOUBLE AS p90, quantile_cont(latency, 0.99)::DOUBLE AS p99 FROM calls WHERE a <> b GROUP BY 1, 2, 3),
+      lr AS MATERIALIZED (SELECT src || '>' || dst || '/' || metric AS entity, metric, t, value FROM hs UNPIVOT (value FOR metric IN (p50, p90, p99))), bins AS (SELECT unnest(range(min(t), max(t) + 1)) AS t FROM lr),
+      full_ AS (SELECT entity, metric, t, coalesce(last_value(value IGNORE NULLS) OVER (PARTITION BY entity ORDER BY t ROWS UNBOUNDED PRECEDING), 0) AS value FROM (SELECT DISTINCT entity, metric FROM lr) CROSS JOIN bins LEFT JOIN lr USING (entity, metric, t)),
+      es_ AS MATERIALIZED (SELECT entity, metric, row_number() OVER (PARTITION BY entity ORDER BY t) AS i, value / sqrt(sum(value * value) OVER (PARTITION BY entity)) AS z FROM full_), {_fold('es_', 'entity', '0.05')}, {_LAST.format('entity')}
+      SELECT split_part(entity, '/', 2) AS metric, count(*) AS series, CAST(sum((len(n) > 1)::INT) AS BIGINT) AS flagged FROM last_ GROUP BY 1""",
+}

@@ -7,8 +7,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from edgeloc.operators import aggregate, baselines, birch, clustering, evaluate, exchange, localize, metrics, ppr, scoring, subgraph, topology
+from edgeloc.operators import aggregate, baselines, birch, clustering, evaluate, exchange, localize, metrics, ppr, scoring, subgraph, topology, tune
 from edgeloc.sources import scenarios
+from edgeloc.sources.storage import checkpointed
 from edgeloc.sources.tables import event_spans, load, supplier_spans
 
 Q: dict = {}
@@ -28,14 +29,15 @@ def _day(t="day"):
 
 
 def _event_calls(s, d):
-    return topology.calls_from_traces(event_spans(s, d), carry=("latency", "day"))
+    return topology.calls_from_traces(event_spans(s, d), carry=("latency", "day"), chunk="day")
 
 
-def _nation_calls(s, d):
-    """Calls between nations, with latency and order day."""
+def _nation_calls(s, d, timed=True):
+    """Calls between nations, with latency and order day if timed."""
     place = load(s, d, "supplier").select(F.col("s_suppkey").alias("src"), F.col("s_nationkey").cast("long").alias("a"))
-    calls = topology.calls_from_traces(supplier_spans(s, d), carry=("device", "latency", "day"))
-    return calls.join(place, "src").where("a <> device").select("trace", F.col("a").alias("src"), F.col("device").alias("dst"), "latency", "day")
+    more = ("latency", "day") if timed else ()
+    calls = topology.calls_from_traces(supplier_spans(s, d, timed), carry=("device", *more))
+    return calls.join(place, "src").where("a <> device").select("trace", F.col("a").alias("src"), F.col("device").alias("dst"), *more)
 
 
 # ---- topology
@@ -43,7 +45,7 @@ def _nation_calls(s, d):
 
 @query
 def wl_calls_supplier(s, d):
-    return topology.calls_from_traces(supplier_spans(s, d))
+    return topology.calls_from_traces(supplier_spans(s, d, timed=False))
 
 
 @query
@@ -53,12 +55,12 @@ def wl_freq_supplier(s, d):
 
 @query
 def wl_freq_nation(s, d):
-    return topology.call_frequency(_nation_calls(s, d))
+    return topology.call_frequency(_nation_calls(s, d, timed=False))
 
 
 @query
 def wl_calls_events(s, d):
-    return topology.calls_from_traces(event_spans(s, d), carry=("latency",))
+    return topology.calls_from_traces(event_spans(s, d), carry=("latency",), chunk="day")
 
 
 @query
@@ -137,6 +139,18 @@ def wl_edge_latency(s, d):
     return metrics.edge_series(_nation_calls(s, d), half).withColumn("value", r6("value"))
 
 
+@query
+def wl_edge_latency_sketch(s, d):
+    """The percentiles of wl_edge_latency over all time, from mergeable sketches whose rank error is at most one in 10,000: how far each is from the exact rank, in shares of the calls."""
+    calls = _nation_calls(s, d).withColumn("latency", F.col("latency").cast("double"))
+    names = ["p50", "p90", "p99"]
+    got = metrics.edge_series(calls, F.lit(0), accuracy=10_000).where("metric in ('p50', 'p90', 'p99')").groupBy("src", "dst").pivot("metric", names).agg(F.first("value"))
+    met = calls.join(got, ["src", "dst"]).groupBy("src", "dst")
+    off = [F.greatest(F.avg((F.col("latency") < F.col(n)).cast("double")) - q, q - F.avg((F.col("latency") <= F.col(n)).cast("double")), F.lit(0.0)) for n, q in zip(names, (0.5, 0.9, 0.99))]
+    # a rank is told to one part in n of the calls at best
+    return met.agg(F.count("*").alias("n"), *(o.alias(f"off_{n}") for n, o in zip(names, off))).select("src", "dst", *((F.col(f"off_{n}") <= 1e-4 + 1 / F.col("n")).alias(f"{n}_ok") for n in names))
+
+
 @query
 def op_edge_percentiles(s, d):
     return metrics.edge_series(_event_calls(s, d), F.floor(_day() / 10)).withColumn("value", r6("value"))
@@ -177,7 +191,7 @@ def op_asof_metric(s, d):
 
 @query
 def op_interval_join(s, d):
-    """Events at most an hour before a large one of the same device: hour buckets make the interval an equi join."""
+    """Events at most an hour before a large one of the same user: hour buckets make the interval an equi join."""
     e = load(s, d, "events").select("event_id", "user_id", "ts", "value", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"))
     hour = 3_600_000_000
     big = e.where("value > 200").select(F.col("event_id").alias("incident"), F.col("user_id").alias("u"), F.col("us").alias("t0"), F.explode(F.array(F.floor(F.col("us") / hour), F.floor(F.col("us") / hour) - 1)).alias("b"))
@@ -224,7 +238,27 @@ def det_birch_sweep(s, d):
 
 @query
 def det_birch_vectors(s, d):
-    return birch.fit_vectors(load(s, d, "embeddings"), "embedding", 0.9).select("cf", "n", r6("radius").alias("radius"))
+    return birch.fit_vectors(load(s, d, "embeddings"), "embedding", 0.9, key="vec_id").select("cf", "n", r6("radius").alias("radius"))
+
+
+@query
+def det_purity(s, d):
+    """How well the features of vectors tell the label, beside the share of the commonest label."""
+    e = load(s, d, "embeddings")
+    got = birch.purity(e, "embedding", "label", birch.fit_vectors(e, "embedding", 0.9, key="vec_id"))
+    most = e.groupBy("label").agg(F.count("*").alias("n")).agg((F.max("n") / F.sum("n")).alias("commonest"))
+    return got.crossJoin(most).select("features", r6("purity").alias("purity"), r6("commonest").alias("commonest"))  # one row each
+
+
+@query
+def det_edges(s, d):
+    """Flags of the nations' edge latency series: half-years, missing ones carried forward, unit length."""
+    half = (F.year("day") * 2 + F.floor((F.month("day") - 1) / 6)).cast("int")
+    e = metrics.edge_series(_nation_calls(s, d), half)
+    ends = e.agg(F.min("t"), F.max("t")).first()
+    series = e.select(F.concat_ws(">", F.col("src").cast("string"), F.col("dst").cast("string")).alias("entity"), "metric", "t", "value")
+    z = metrics.pack(metrics.align(series, ends[0] or 0, ends[1] or 0, "last")).withColumn("z", metrics.normalized(F.col("v")))
+    return birch.detect(z, 0.05, "z").groupBy("metric").agg(F.count("*").alias("series"), F.sum(F.col("is_anomalous").cast("int")).alias("flagged"))
 
 
 @query
@@ -300,7 +334,7 @@ def op_topk_causes(s, d):
 def web_ppr(s, d):
     edges = web_links(s, d).select("src", "dst", F.col("freq").cast("double").alias("w"))
     ends = edges.select(F.col("src").alias("node"), "w").union(edges.select("dst", "w"))
-    r = ppr.solve_relational(ends.groupBy("node").agg(F.sum("w").alias("s")), edges)
+    r = ppr.solve_steps(ends.groupBy("node").agg(F.sum("w").alias("s")), edges, steps=12)
     return r.select("node", F.round("r", 6).alias("r"))
 
 
@@ -311,7 +345,8 @@ def _clustered(s, d, full=False):
     freq = wl_freq_nation(s, d) if full else scenarios.thinned_nation_calls(s, d)
     services = load(s, d, "nation").select(F.col("n_nationkey").cast("long").alias("service"), F.col("n_nationkey").cast("long").alias("device"))
     first = clustering.initial(services)
-    w = clustering.weights(freq, services, first)
+    freq = checkpointed(freq)  # a row for each pair of nations, read several times
+    w = checkpointed(clustering.weights(freq, services, first))
     return freq, services, first, w
 
 
@@ -352,6 +387,38 @@ def clu_map_greedy(s, d):
     return clustering.merge_greedy(w, first, clustering.threshold(w, 0.01))
 
 
+@query
+def clu_per_scenario(s, d):
+    """How many clusters each scenario has, from the call graph of its own window of traces; all windows are merged in one job."""
+    return scenarios.scenario_clusters(s, d).groupBy("scenario").agg(F.countDistinct("cluster").alias("clusters"))
+
+
+@query
+def clu_count(s, d):
+    return evaluate.clusters_per_scenario(scenarios.scenario_clusters(s, d))
+
+
+TAUS = (0.001, 0.005, 0.0075, 0.01, 0.02, 0.03, 0.05, 0.1)
+
+
+@query
+def clu_tau_sweep(s, d):
+    """(sweep, tau, clusters): clusters of the thinned calls at several thresholds, all merged in one job by key."""
+    _, _, first, w = _clustered(s, d)
+    taus = F.explode(F.array(*(F.struct(F.lit(k).alias("sweep"), F.lit(t).alias("share")) for k, t in enumerate(TAUS))))
+    total = w.groupBy().agg(F.sum("w").alias("all"))
+    many = w.crossJoin(F.broadcast(total)).select("*", taus.alias("x")).select("x.sweep", "c1", "c2", "w", (F.col("x.share") * F.col("all")).alias("tau"))  # one row
+    start = first.select(taus.alias("x"), "device", "cluster").select("x.sweep", "device", "cluster")
+    got = clustering.merge_parallel(checkpointed(many), start, None, keys=("sweep",)).groupBy("sweep").agg(F.countDistinct("cluster").alias("clusters"))
+    return got.select("sweep", F.element_at(F.array(*map(F.lit, TAUS)), F.col("sweep") + 1).alias("tau"), "clusters")
+
+
+@query
+def clu_quality(s, d):
+    """Sizes and cut ratios of the clusters (E12)."""
+    return clustering.quality(*_map(s, d)).withColumn("ratio", r6("ratio"))
+
+
 @query
 def clu_cut_ratio(s, d):
     return clustering.cut_ratio(*_map(s, d)).withColumn("ratio", r6("ratio"))
@@ -445,7 +512,7 @@ def op_combine(s, d):
 
 @query
 def op_influence(s, d):
-    r = _runs(s, d)[3]
+    r = _decentral(s, d)
     return aggregate.influence(r.ranking, r.linked).withColumn("r", r6("r"))
 
 
@@ -485,11 +552,23 @@ def _runs(s, d):
     return i, sc, localize.centralized(sc), localize.decentralized(i, sc)
 
 
+def _decentral(s, d):
+    i = scenarios.build(s, d)
+    return localize.decentralized(i, localize.score(i))
+
+
+MEASURES, REDUCTIONS = [*(f"acc_{k}" for k in evaluate.KS), "mar", "mrr"], ["avg_reduction", "total_reduction"]
+
+
+def _rounded(columns, names):
+    return [r6(c).alias(n) for c, n in zip(columns, names)]
+
+
 def _summary(compared: DataFrame, *by: str) -> DataFrame:
     """Measures of both methods as rows."""
     out = None
     for name, rank in (("centralized", "rank_c"), ("decentralized", "rank_d")):
-        a = compared.withColumn("rank", F.col(rank)).groupBy(*by).agg(F.count("*").alias("scenarios"), *evaluate.accuracy(), *evaluate.reductions()).withColumn("method", F.lit(name))
+        a = compared.withColumn("rank", F.col(rank)).groupBy(*by).agg(F.count("*").alias("scenarios"), *_rounded(evaluate.accuracy(), MEASURES), *_rounded(evaluate.reductions(), REDUCTIONS)).withColumn("method", F.lit(name))
         out = a if out is None else out.unionByName(a)
     return out
 
@@ -501,9 +580,18 @@ def loc_series(s, d):
 
 
 @query
-def loc_triggers(s, d):
+def loc_flags(s, d):
+    """Flagged series of services and calls."""
     n, e = localize.flags(scenarios.build(s, d))
-    return localize.triggers(n, e)
+    return n.select("scenario", F.col("node").alias("entity"), "metric").union(e.select("scenario", F.concat_ws(">", "src", "dst"), "metric"))
+
+
+@query
+def loc_triggers(s, d):
+    """Incidents: the layers at which something is flagged, and how many series. Devices host one service each, so theirs are the services' once more."""
+    i = scenarios.build(s, d)
+    n, e = localize.flags(i)
+    return localize.triggers(n, e, localize.device_flags(i)).select("scenario", F.array_join("layers", ",").alias("layers"), "n_flags")
 
 
 @query
@@ -511,6 +599,15 @@ def score_node(s, d):
     return localize.score(scenarios.build(s, d)).nodes.withColumn("s", r6("s"))
 
 
+@query
+def score_node_local(s, d):
+    """Scores as each cluster makes them: callers on calls inside its subgraph only."""
+    i = scenarios.build(s, d)
+    sc = localize.score(i)
+    own, calls = subgraph.form(i.services, i.calls, i.cluster_map)
+    return subgraph.populate(own, calls, sc.nodes, sc.parts, sc.edges)[0].withColumn("s", r6("s"))
+
+
 @query
 def score_edge(s, d):
     return localize.score(scenarios.build(s, d)).edges.withColumn("w", r6("w"))
@@ -523,7 +620,9 @@ def score_rt_baseline(s, d):
 
 @query
 def score_explain(s, d):
-    return scoring.explain(localize.flags(scenarios.build(s, d))[0]).withColumn("corr", r6("corr"))
+    """The three strongest terms of each service's score, metric pairs and callers."""
+    n, e = (checkpointed(x) for x in localize.flags(scenarios.build(s, d)))
+    return scoring.explain(n, calls=scoring.call_influence(e, n)).withColumn("corr", r6("corr"))
 
 
 @query
@@ -533,19 +632,24 @@ def loc_central(s, d):
 
 @query
 def loc_decentral(s, d):
-    i = scenarios.build(s, d)
-    return localize.decentralized(i, localize.score(i)).final
+    return _decentral(s, d).final
 
 
 @query
 def loc_messages(s, d):
-    r = _runs(s, d)[3]
-    return exchange.messages(r.cross, r.means)
+    r = _decentral(s, d)
+    return exchange.messages(r.cross, r.means).withColumns({"mean_s": r6("mean_s"), "crossing_w": r6("crossing_w")})
+
+
+@query
+def loc_decisions(s, d):
+    """How linked scenarios were decided, and the winning cluster under consensus."""
+    return _decentral(s, d).decision
 
 
 @query
 def loc_combined(s, d):
-    r = _runs(s, d)[3]
+    r = _decentral(s, d)
     return aggregate.combine(r.ranking, r.linked).withColumn("score", r6("score"))
 
 
@@ -570,7 +674,7 @@ def eval_by_fault(s, d):
 @query
 def op_rollup_breakdown(s, d):
     i, _, c, r = _runs(s, d)
-    return localize.compare(i, c, r).rollup("type", "grp").agg(F.count("*").alias("n"), F.avg("rank_d").alias("mar"), F.grouping_id().alias("level"))
+    return localize.compare(i, c, r).rollup("type", "grp").agg(F.count("*").alias("n"), r6(F.avg("rank_d")).alias("mar"), F.grouping_id().alias("level"))
 
 
 @query
@@ -582,7 +686,7 @@ def op_cube_fault(s, d):
 def eval_time_cost(s, d):
     """Work in edge visits: means and reductions by group, of the slowest cluster against the whole graph."""
     i, _, c, r = _runs(s, d)
-    sums = [F.avg("t_c").alias("central_visits"), F.avg("t_d").alias("slowest_visits"), *evaluate.reductions()]
+    sums = [r6(F.avg("t_c")).alias("central_visits"), r6(F.avg("t_d")).alias("slowest_visits"), *_rounded(evaluate.reductions(), REDUCTIONS)]
     return localize.compare(i, c, r).groupBy("grp").agg(F.count("*").alias("scenarios"), *sums)
 
 
@@ -600,45 +704,117 @@ def eval_learned_stand_in(s, d):
 
 @query
 def eval_conflicts(s, d):
-    return evaluate.conflict_rate(_runs(s, d)[3].decision)
+    return evaluate.conflict_rate(_decentral(s, d).decision).withColumn("conflict_rate", r6("conflict_rate"))
 
 
 @query
 def eval_communication(s, d):
-    i, _, _, r = _runs(s, d)
+    i = scenarios.build(s, d)
+    r = localize.decentralized(i, localize.score(i))
     return evaluate.communication(exchange.messages(r.cross, r.means), i.nodes.select("scenario").union(i.edges.select("scenario")), scenarios.BINS)
 
 
 @query
 def eval_idle(s, d):
-    r = _runs(s, d)[3]
+    r = _decentral(s, d)
     ready = r.ranking.select("scenario", F.col("grp").alias("cluster"), (F.col("n_nodes") + F.col("n_edges")).cast("double").alias("t")).distinct()
     return exchange.timeline(r.linked, ready)
 
 
+@query
+def eval_parallel_time(s, d):
+    """Time of incidents in units of work, correlations and edge visits: the whole graph against clusters side by side, with waiting; by type."""
+    i, sc, c, r = _runs(s, d)
+    of = i.services.join(i.cluster_map, "device").select(F.col("service").alias("node"), F.col("cluster").cast("long").alias("cluster"))
+    ready = checkpointed(localize.score_ready(sc, of))
+    pairs = exchange.timeline(r.linked, ready.withColumnRenamed("grp", "cluster"))
+    none = pairs.where(F.lit(False))
+    tc = evaluate.parallel_time(c.ranking, localize.score_ready(sc), none).select("scenario", F.col("t").alias("t_c"))
+    td = evaluate.parallel_time(r.ranking, ready, pairs).select("scenario", F.col("t").alias("t_d"), "total")
+    both = exchange.propagation_type(i.truth, r.cross).join(tc, "scenario").join(td, "scenario")
+    return both.groupBy("type").agg(F.count("*").alias("scenarios"), r6(F.avg("t_c")).alias("central"), r6(F.avg("t_d")).alias("parallel"), r6(F.avg("total")).alias("all_clusters"), *_rounded(evaluate.reductions(), REDUCTIONS))
+
+
+SIZES = (10, 25, 50, 100, 250, 500, 1000)
+
+
+@query
+def eval_scaling(s, d):
+    """Work against the number of services: suppliers folded into n services, calls received as scores; the whole graph, and the slowest of four clusters without exchange."""
+    calls = checkpointed(wl_freq_supplier(s, d))
+    most = load(s, d, "supplier").count()
+    size = F.explode(F.array(*(F.lit(n) for n in SIZES if n <= most or n == SIZES[0])))
+    e = calls.select(size.alias("scenario"), "src", "dst", "freq").select("scenario", (F.col("src") % F.col("scenario")).alias("src"), (F.col("dst") % F.col("scenario")).alias("dst"), "freq").where("src <> dst")
+    e = checkpointed(e.groupBy("scenario", "src", "dst").agg(F.sum("freq").cast("double").alias("w")))
+    nodes = e.groupBy("scenario", F.col("dst").alias("node")).agg(F.sum("w").alias("s"))
+    one, part = F.lit(-1).cast("long").alias("grp"), lambda c: (F.col(c) % 4).alias("grp")
+    central = ppr.solve_local(nodes.select("*", one), e.select("*", one))
+    apart = ppr.solve_local(nodes.select("*", part("node")), e.where("src % 4 = dst % 4").select("*", part("src")))
+    wc, wd = (evaluate.work(x).select("scenario", F.col("t_max").alias(n)) for x, n in ((central, "central_visits"), (apart, "slowest_visits")))
+    edges = e.groupBy("scenario").agg(F.count("*").alias("edges"))
+    return edges.join(wc, "scenario").join(wd, "scenario").select(F.col("scenario").alias("services"), "edges", "central_visits", "slowest_visits")
+
+
+@query
+def tune_tpe(s, d):
+    """Trials of the Parzen search of the merge threshold, restart weight and stopping change: the objective is the MRR of even scenarios; odd ones are held out. Eight trials are one job."""
+    i = scenarios.build(s, d)
+    sc = localize.score(i)
+    first = clustering.initial(i.services)
+    w = checkpointed(clustering.weights(i.calls, i.services, first))
+    total = clustering.threshold(w, 1.0)
+    rows = []
+
+    def objective(batch):
+        maps = [clustering.merge_greedy(w, first, p["tau_rel"] * total) for p in batch]
+        cmap = localize.cluster_copies(maps, i.truth)
+        walks = s.createDataFrame([(k, p["alpha"], p["eps"]) for k, p in enumerate(batch)], "copy int, alpha double, eps double")
+        walks = i.truth.select("scenario").crossJoin(F.broadcast(walks)).select((F.col("scenario") + localize.COPY * F.col("copy")).cast("int").alias("scenario"), "alpha", "eps")
+        r = localize.decentralized(i, localize.replicated(sc, len(batch)), cluster_map=cmap, walk=checkpointed(walks))
+        truth = i.truth.select("scenario", "root").withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(len(batch) - 1)))).select((F.col("scenario") + localize.COPY * F.col("copy")).cast("int").alias("scenario"), "root")
+        got = localize.copy_of(evaluate.ranks(r.final, truth))
+        held = F.col("scenario") % 2 == 1
+        mrr = {x.copy: x for x in got.groupBy("copy").agg(F.avg(F.when(~held, 1 / F.col("rank"))).alias("fit"), F.avg(F.when(held, 1 / F.col("rank"))).alias("held")).collect()}  # a row for each trial
+        many = {x.copy: x.n for x in localize.copy_of(cmap).groupBy("copy").agg(F.countDistinct("cluster").alias("n")).collect()}
+        rows.extend((p["tau_rel"], p["alpha"], p["eps"], many[k], mrr[k].fit, mrr[k].held) for k, p in enumerate(batch))
+        return [mrr[k].fit for k in range(len(batch))]
+
+    tune.tpe(objective, {"tau_rel": (0.002, 0.05, "log"), "alpha": (0.1, 0.9, "lin"), "eps": (1e-8, 1e-3, "log")}, trials=24)
+    return s.createDataFrame([(k, *x) for k, x in enumerate(rows)], "trial int, tau_rel double, alpha double, eps double, clusters long, mrr_fit double, mrr_held double")
+
+
 @query
 def eval_variants(s, d):
     """Accuracy and work of every variant and baseline over all scenarios."""
     i, sc, c, r = _runs(s, d)
     of = {"centralized": c, "decentralized": r}
+    of["global_scores"] = localize.decentralized(i, sc, scope="global")
     of["no_exchange"] = localize.decentralized(i, sc, use_exchange=False)
     of["always_aggregate"] = localize.decentralized(i, sc, aggregate_mode="always")
+    of["never_aggregate"] = localize.decentralized(i, sc, aggregate_mode="consensus")
     of["renormalized"] = localize.decentralized(i, sc, renormalize=True)
     of["flagged_mean"] = localize.decentralized(i, sc, flagged_only=True)
     of["two_rounds"] = localize.decentralized(i, sc, rounds=2)
-    of["per_device"] = localize.decentralized(i, sc, cluster_map=clustering.initial(i.services))
-    of["one_cluster"] = localize.decentralized(i, sc, cluster_map=i.cluster_map.withColumn("cluster", F.lit(0).cast("long")))
-    of["random_clusters"] = localize.decentralized(i, sc, cluster_map=i.cluster_map.withColumn("cluster", F.floor(F.col("device") / 9).cast("long")))
-    for name, how in {"rt_scores": {"scoring_by": "rt"}, "metric_part": {"parts": ("metric",)}, "edge_part": {"parts": ("edge",)}, "full_pairs": {"pairs": "full"}, "self_pairs": {"pairs": "self"}, "spearman": {"kind": "spearman"}, "r2": {"kind": "r2"}}.items():
-        of[f"central_{name}"] = localize.centralized(localize.score(i, **how))
+    for name, how in {"rt_scores": {"scoring_by": "rt"}, "metric_part": {"parts": ("metric",)}, "edge_part": {"parts": ("edge",)}, "full_pairs": {"pairs": "full"}, "self_pairs": {"pairs": "self"}, "spearman": {"kind": "spearman"}, "r2": {"kind": "r2"}, "cocluster": {"grouping": "cocluster"}}.items():
+        other = localize.score(i, **how)
+        of[f"central_{name}"] = localize.centralized(other)
+        if name in ("rt_scores", "cocluster"):
+            of[f"decentral_{name}"] = localize.decentralized(i, other)
     finals = {n: (x.final, evaluate.work(x.ranking).select("scenario", "t_max")) for n, x in of.items()}
     for kind in ("pagerank", "in_degree", "score"):
         finals[f"central_{kind}"] = (baselines.centrality(sc, kind), None)
+    # cluster maps as copies of the scenarios, in one run
+    names = ["per_device", "one_cluster", "random_clusters", "per_scenario"]
+    maps = [clustering.initial(i.services), i.cluster_map.withColumn("cluster", F.lit(0).cast("long")), i.cluster_map.withColumn("cluster", F.floor(F.col("device") / 9).cast("long")), scenarios.scenario_clusters(s, d)]
+    copies = localize.decentralized(i, localize.replicated(sc, len(maps)), cluster_map=localize.cluster_copies(maps, i.truth))
+    final, cost = checkpointed(localize.copy_of(copies.final)), checkpointed(localize.copy_of(evaluate.work(copies.ranking).select("scenario", "t_max")))
+    for k, name in enumerate(names):
+        finals[name] = (final.where(F.col("copy") == k).drop("copy"), cost.where(F.col("copy") == k).drop("copy"))
     out = None
     for name, (final, cost) in finals.items():
         got = evaluate.ranks(final, i.truth)
         got = got.join(cost, "scenario", "left") if cost is not None else got.withColumn("t_max", F.lit(None).cast("double"))
-        a = got.agg(F.lit(name).alias("variant"), *evaluate.accuracy(), F.avg("t_max").alias("visits"))
+        a = got.agg(F.lit(name).alias("variant"), *_rounded(evaluate.accuracy(), MEASURES), r6(F.avg("t_max")).alias("visits"))
         out = a if out is None else out.union(a)
     return out
 
@@ -669,6 +845,6 @@ def stream_detect(s, d):
     """Flags of event types after a replay; the last update of each."""
     from edgeloc.streaming import detect
 
-    samples = detect.event_stream(s, d).select(F.col("event_type").alias("entity"), (F.col("value") / 1000).alias("value"))
+    samples = detect.event_stream(s, d).select(F.col("event_type").alias("entity"), (F.col("value") / 1000).alias("value"), "ts", "event_id")
     out = detect.run_once(detect.flags(samples, 0.05), "edgeloc_stream_detect", "update")
     return out.groupBy("entity").agg(F.max("n_features").alias("n_features"), F.bool_or("is_anomalous").alias("is_anomalous"))

@@ -20,6 +20,7 @@ NODE_METRICS = ("cpu", "mem", "io", "net_in", "net_out", "errors")
 EDGE_METRICS = ("p50", "p90", "p99")
 FAULTS = ("cpu", "memory", "latency", "loss", "duplication", "corruption", "disorder", "delay", "jitter")
 SCENARIOS, HH, BINS, FROM_BIN = 383, 146, 40, 20
+WINDOWS = 7  # of traces, each with a call graph of its own; prime to 128, so that each has calls across communities
 
 
 @dataclass
@@ -32,12 +33,34 @@ class Inputs:
     truth: DataFrame  # scenario, grp, fault, root
 
 
+def _thinned(spark: SparkSession, sf_dir: str) -> DataFrame:
+    calls = topology.calls_from_traces(supplier_spans(spark, sf_dir, timed=False), carry=("device",), service="service")
+    place = load(spark, sf_dir, "supplier").select(F.col("s_suppkey").alias("src"), F.col("s_nationkey").cast("long").alias("a"))
+    return calls.join(place, "src").select("trace", "a", F.col("device").alias("b")).where("a <> b and (a % 3 = b % 3 or trace % 128 = 0)")
+
+
 def thinned_nation_calls(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(src, dst, freq) between nations: calls that stay in a community (nation mod 3), and those of every 128th order."""
-    calls = topology.calls_from_traces(supplier_spans(spark, sf_dir), carry=("device",), service="service")
-    place = load(spark, sf_dir, "supplier").select(F.col("s_suppkey").alias("src"), F.col("s_nationkey").cast("long").alias("a"))
-    pair = calls.join(place, "src").select("trace", "a", F.col("device").alias("b")).where("a <> b and (a % 3 = b % 3 or trace % 128 = 0)")
-    return pair.groupBy(F.col("a").alias("src"), F.col("b").alias("dst")).agg(F.count("*").alias("freq"))
+    return _thinned(spark, sf_dir).groupBy(F.col("a").alias("src"), F.col("b").alias("dst")).agg(F.count("*").alias("freq"))
+
+
+def window_calls(spark: SparkSession, sf_dir: str, windows: int = WINDOWS) -> DataFrame:
+    """(window, src, dst, freq): the thinned calls of each window of traces (trace mod windows). Scenario s has the graph of window s mod windows."""
+    return _thinned(spark, sf_dir).groupBy((F.col("trace") % windows).cast("int").alias("window"), F.col("a").alias("src"), F.col("b").alias("dst")).agg(F.count("*").alias("freq"))
+
+
+def window_clusters(spark: SparkSession, sf_dir: str, tau_rel: float = 0.01, windows: int = WINDOWS) -> DataFrame:
+    """(window, device, cluster): each window's own clusters, all windows merged in one job."""
+    devices = load(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("service"), F.col("n_nationkey").cast("long").alias("device"))
+    w = clustering.weights(window_calls(spark, sf_dir, windows), devices, clustering.initial(devices), ("window",))
+    first = clustering.initial(devices).select(F.explode(F.sequence(F.lit(0), F.lit(windows - 1))).alias("window"), "device", "cluster")
+    return clustering.merge_parallel(checkpointed(clustering.with_threshold(w, tau_rel, ("window",))), first, None, keys=("window",))
+
+
+def scenario_clusters(spark: SparkSession, sf_dir: str, n_scenarios: int = SCENARIOS, tau_rel: float = 0.01) -> DataFrame:
+    """(scenario, device, cluster): each scenario's clusters are those of its window of traces."""
+    s = spark.range(n_scenarios).select(F.col("id").cast("int").alias("scenario"), (F.col("id") % WINDOWS).cast("int").alias("window"))
+    return s.join(window_clusters(spark, sf_dir, tau_rel), "window").select("scenario", "device", "cluster")
 
 
 def _graph(freq: DataFrame) -> list[tuple[int, int, int]]:
@@ -88,8 +111,10 @@ def _impacts(graph, n_scenarios: int, crossing_every: int):
 def noise_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(at, u): for each of all events, in order of id, the BINS noise levels from it on, going round at the end."""
     value = load(spark, sf_dir, "events").select("event_id", "value")
-    told = F.broadcast(value.agg(F.percentile("value", 0.95).alias("top"), F.count("*").alias("n")))
-    level = value.withColumn("i", F.row_number().over(Window.orderBy("event_id", "value")) - 1).crossJoin(told)
+    told = F.broadcast(value.agg(F.percentile("value", 0.95).alias("top"), F.count("*").alias("n")))  # one row
+    part = checkpointed(value.sort("event_id", "value").select("value", F.spark_partition_id().alias("part"), (F.monotonically_increasing_id() % (1 << 33)).alias("k")))
+    before = part.groupBy("part").agg(F.count("*").alias("m")).select("part", (F.sum("m").over(Window.orderBy("part")) - F.col("m")).alias("base"))  # one row for each partition
+    level = part.join(F.broadcast(before), "part").withColumn("i", F.col("base") + F.col("k")).crossJoin(told)
     each = level.select("i", "n", (F.least("value", "top") / F.col("top")).alias("x"), F.explode(F.sequence(F.lit(0), F.lit(BINS - 1))).alias("t"))
     packed = each.groupBy(F.pmod(F.col("i") - F.col("t"), F.col("n")).cast("long").alias("at")).agg(F.array_sort(F.collect_list(F.struct("t", "x"))).alias("p"))
     return packed.select("at", F.transform("p", lambda p: p["x"]).alias("u"))

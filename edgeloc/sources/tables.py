@@ -23,13 +23,15 @@ def write_partitioned(df: DataFrame, path: str, *cols: str) -> None:
     df.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy(*cols).parquet(path)
 
 
-def supplier_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Spans of W-S: an order is a trace, a supplier a service, its nation a device; latency in days."""
-    item, order = load(spark, sf_dir, "lineitem"), load(spark, sf_dir, "orders")
+def supplier_spans(spark: SparkSession, sf_dir: str, timed: bool = True) -> DataFrame:
+    """Spans of W-S: an order is a trace, a supplier a service, its nation a device; with timed, latency in days and the order's day, for which orders are joined."""
     place = load(spark, sf_dir, "supplier").select("s_suppkey", F.col("s_nationkey").cast("long").alias("device"))
-    spans = item.select(F.col("l_orderkey").alias("trace"), F.struct("l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice").alias("pos"), F.col("l_suppkey").alias("service"), "l_shipdate")
-    spans = spans.join(order.select(F.col("o_orderkey").alias("trace"), "o_orderdate"), "trace").join(place, F.col("service") == F.col("s_suppkey"))
-    return spans.select("trace", "pos", "service", "device", F.abs(F.datediff("l_shipdate", "o_orderdate")).alias("latency"), F.to_date("o_orderdate").alias("day"))
+    spans = load(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("trace"), F.struct("l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice").alias("pos"), F.col("l_suppkey").alias("service"), "l_shipdate")
+    spans = spans.join(place, F.col("service") == F.col("s_suppkey"))
+    if not timed:
+        return spans.select("trace", "pos", "service", "device")
+    order = load(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("trace"), "o_orderdate")
+    return spans.join(order, "trace").select("trace", "pos", "service", "device", F.abs(F.datediff("l_shipdate", "o_orderdate")).alias("latency"), F.to_date("o_orderdate").alias("day"))
 
 
 def event_spans(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from edgeloc.operators.birch import BETA, Tree
@@ -26,26 +27,48 @@ def daily_series(events: DataFrame, late: str = "1 day", dedupe: bool = False) -
     return e.groupBy(F.window("ts", "1 day").alias("w"), "event_type").agg(F.count("*").alias("n"), F.sum(F.round(F.col("value") * 100).cast("long")).alias("cents")).select(F.datediff(F.col("w.start").cast("date"), F.lit("2024-01-01").cast("date")).alias("day"), "event_type", "n", "cents")
 
 
-def flags(samples: DataFrame, beta: float = BETA, branching: int = 50) -> DataFrame:
-    """(entity, n_features, is_anomalous) updates of a stream of (entity, value); state is at most `branching` features for each entity."""
+def flags(samples: DataFrame, beta: float = BETA, order: tuple[str, ...] = ("ts", "event_id")) -> DataFrame:
+    """(entity, n_features, is_anomalous) updates of a stream of (entity, value, order columns).
+
+    A micro-batch's samples of an entity are sorted by order before they are taken; across batches they are taken as batches come, so a replay equals the batch
+    result if files come in order. All features are kept: their number is bounded by the range of values over beta, not by time.
+    """
 
     def run(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         n, ls, ss = state.get if state.exists else ([], [], [])
         t = Tree(beta, 1 << 30)
         t.root["cf"] = [(a, pd.Series([b]).to_numpy(), c) for a, b, c in zip(n, ls, ss)]
-        for b in batches:
-            for x in b["value"]:
-                t.insert(x)
+        for x in pd.concat(batches, ignore_index=True).sort_values(list(order), kind="stable")["value"]:
+            t.insert(x)
         leaves = t.leaves()
-        kept = sorted(leaves, key=lambda c: -c[0])[:branching]
-        state.update(([float(c[0]) for c in kept], [float(c[1][0]) for c in kept], [float(c[2]) for c in kept]))
+        state.update(([float(c[0]) for c in leaves], [float(c[1][0]) for c in leaves], [float(c[2]) for c in leaves]))
         yield pd.DataFrame({"entity": [key[0]], "n_features": [len(leaves)], "is_anomalous": [len(leaves) > 1]})
 
     return samples.groupBy("entity").applyInPandasWithState(run, "entity string, n_features int, is_anomalous boolean", "n array<double>, ls array<double>, ss array<double>", "update", GroupStateTimeout.NoTimeout)
 
 
+def to_incidents(flagged: DataFrame, folder: str, checkpoint: str, **trigger) -> StreamingQuery:
+    """Writes each micro-batch's flagged entities under folder, one directory for each batch: a batch that is run again replaces its own."""
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.where("is_anomalous").withColumn("batch", F.lit(number)).write.mode("overwrite").parquet(f"{folder}/batch={number}")
+
+    return flagged.writeStream.outputMode("update").foreachBatch(write).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
+
+
+def with_services(metric: DataFrame, services: DataFrame) -> DataFrame:
+    """A stream of (service, ...) beside the static (service, device): a stream-static join."""
+    return metric.join(services, "service")
+
+
+def with_latency(metric: DataFrame, latency: DataFrame, late: str = "1 day", within: str = "1 hour") -> DataFrame:
+    """Metric samples (service, ts, value) with the service's latency samples (service, at, latency) of the time before them: a join of two streams, whose state the watermarks bound."""
+    m, n = metric.withWatermark("ts", late), latency.withColumnRenamed("service", "called").withWatermark("at", late)
+    return m.join(n, F.expr(f"service = called AND at <= ts AND at >= ts - interval {within}")).drop("called")
+
+
 def run_once(df: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Processes what is there, into a table in memory: for tests and small results."""
+    """Processes what is there, into a table in memory: for tests and small results, on a driver that keeps its own checkpoint."""
     q = df.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
     q.awaitTermination()
     return df.sparkSession.table(name)
