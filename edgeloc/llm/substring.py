@@ -73,8 +73,9 @@ def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     data = data[starts[0] :]
     place = np.arange(len(data)) - np.repeat(starts - starts[0], np.diff(starts, append=starts[0] + len(data)))
     factor = _PLACE[place & 0xFFFF]
-    if place.max() > 0xFFFF:  # words beyond 64 KiB: a byte's factor tells all of its place
-        factor = _mix(factor + (place >> 16).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+    far = np.flatnonzero(place > 0xFFFF)
+    if len(far):  # in words beyond 64 KiB a byte's factor tells all of its place
+        factor[far] = _mix(factor[far] + (place[far] >> 16).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
     h = np.add.reduceat(_BYTE[data] * factor, starts - starts[0])
     return _mix(h), np.searchsorted(offsets, starts, side="right") - 1
 
