@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed
+from .common import checkpointed, text_key
 from .components import connected_components
 
 BANDS, ROWS = 40, 8
@@ -72,10 +72,11 @@ def _signed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
                 part = b.slice(at, 512)
                 sets = [shingle_set(t) for t in part.column(1).cast(pa.binary()).to_pylist()]
                 keys = pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * BANDS), pa.array(np.concatenate([band_keys(s) for s in sets])))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([node_of(s) for s in sets], type=pa.int64()), keys], names=["id", "node", "keys"])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), part.column(3), pa.array([node_of(s) for s in sets], type=pa.int64()), keys], names=["id", "k1", "k2", "node", "keys"])
 
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("t"))
-    return rows.mapInArrow(run, "id long, node long, keys array<long>")
+    text = F.col(text_col).cast("string")
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), text.alias("t"), *(k.alias(n) for k, n in zip(text_key(F.coalesce(text, F.lit(""))), ("k1", "k2"))))
+    return rows.mapInArrow(run, "id long, k1 long, k2 long, node long, keys array<long>")
 
 
 def similar_links(sets: list[np.ndarray], radius: int = RADIUS, tile: int = 512) -> list[tuple[int, int]]:
@@ -123,7 +124,10 @@ def similar_links(sets: list[np.ndarray], radius: int = RADIUS, tile: int = 512)
 
 
 def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", tile_rows: int = 512) -> DataFrame:
-    """(id, component): one row for each row of docs; component is the smallest id reachable over similar texts."""
+    """(id, k1, k2, component, label): one row for each row of docs; component is the smallest id reachable over similar texts.
+
+    k1 and k2 tell the row's text, by common.text_key, and label its group: where rows share an id, two groups may have the same smallest one.
+    """
     rows = checkpointed(_signed(docs, id_col, text_col))
     nodes = rows.groupBy("node").agg(F.min("id").alias("least"), F.first("keys").alias("keys"))
     keyed = nodes.select("node", F.explode("keys").alias("key"))
@@ -158,5 +162,5 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     labels = connected_components(dealt.mapInArrow(run, "a long, b long"))
     placed = nodes.select("node", "least").join(labels, "node", "left").select("node", "least", F.coalesce("label", "node").alias("label"))
-    named = placed.join(placed.groupBy("label").agg(F.min("least").alias("component")), "label").select("node", "component")
-    return rows.select("id", "node").join(named, "node").select("id", "component")
+    named = placed.join(placed.groupBy("label").agg(F.min("least").alias("component")), "label").select("node", "component", "label")
+    return rows.select("id", "k1", "k2", "node").join(named, "node").select("id", "k1", "k2", "component", "label")
