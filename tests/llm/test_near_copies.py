@@ -45,4 +45,6 @@ def test_near_copies_equal_brute_force(spark):
 def test_rows_without_an_id_stay_and_empty_tables_are_taken(spark):
     docs = spark.createDataFrame([(1, "a b c"), (2, "a b c"), (None, "a b c"), (1, "a b c")], "doc_id long, text string")
     assert sorted(str(r.doc_id) for r in corpus_pipeline.drop_near_copies(spark, docs, "").collect()) == ["1", "None"]
+    shared = spark.createDataFrame([(1, "a b c"), (1, "d e f"), (2, "d e f")], "doc_id long, text string")  # two groups whose smallest id is the same
+    assert sorted(tuple(r) for r in corpus_pipeline.drop_near_copies(spark, shared, "").collect()) == [(1, "a b c"), (1, "d e f")]
     assert corpus_pipeline.drop_near_copies(spark, docs.where("1 = 0"), "").count() == 0
