@@ -44,10 +44,10 @@ def _fold(rows: str, keys: str, beta: str) -> str:
     same = " AND ".join(f"f.{x} = r.{x}" for x in k)
     mine = ", ".join(f"f.{x}" for x in k)
     return f"""fold AS (SELECT {keys}, i, [1.0::DOUBLE] AS n, [z] AS ls, [z * z] AS ss FROM {rows} WHERE i = 1 UNION ALL
-      SELECT {keys}, i, CASE WHEN fits THEN list_transform(n, lambda x, p: CASE WHEN p = at THEN x + 1 ELSE x END) ELSE list_append(n, 1.0::DOUBLE) END,
-        CASE WHEN fits THEN list_transform(ls, lambda x, p: CASE WHEN p = at THEN x + z ELSE x END) ELSE list_append(ls, z) END, CASE WHEN fits THEN list_transform(ss, lambda x, p: CASE WHEN p = at THEN x + z * z ELSE x END) ELSE list_append(ss, z * z) END
-      FROM (SELECT *, sqrt(greatest(0.0, (ss[at] + z * z) / (n[at] + 1) - ((ls[at] + z) / (n[at] + 1)) * ((ls[at] + z) / (n[at] + 1)))) <= {beta} AS fits
-        FROM (SELECT {mine}, r.i, r.z, n, ls, ss, list_position(list_transform(n, lambda x, p: abs(ls[p] / x - r.z)), list_min(list_transform(n, lambda x, p: abs(ls[p] / x - r.z)))) AS at FROM fold f JOIN {rows} r ON {same} AND r.i = f.i + 1)))"""
+      SELECT {keys}, i, CASE WHEN fits THEN list_transform(n, lambda x, p: CASE WHEN p = near THEN x + 1 ELSE x END) ELSE list_append(n, 1.0::DOUBLE) END,
+        CASE WHEN fits THEN list_transform(ls, lambda x, p: CASE WHEN p = near THEN x + z ELSE x END) ELSE list_append(ls, z) END, CASE WHEN fits THEN list_transform(ss, lambda x, p: CASE WHEN p = near THEN x + z * z ELSE x END) ELSE list_append(ss, z * z) END
+      FROM (SELECT *, sqrt(greatest(0.0, (ss[near] + z * z) / (n[near] + 1) - ((ls[near] + z) / (n[near] + 1)) * ((ls[near] + z) / (n[near] + 1)))) <= {beta} AS fits
+        FROM (SELECT {mine}, r.i, r.z, n, ls, ss, list_position(list_transform(n, lambda x, p: abs(ls[p] / x - r.z)), list_min(list_transform(n, lambda x, p: abs(ls[p] / x - r.z)))) AS near FROM fold f JOIN {rows} r ON {same} AND r.i = f.i + 1)))"""
 
 
 ORACLES = {
