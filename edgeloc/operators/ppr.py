@@ -16,30 +16,46 @@ from edgeloc.sources.storage import checkpointed
 MAX_LOCAL_EDGES = 5_000_000
 
 
-def iterate(s: np.ndarray, src: np.ndarray, dst: np.ndarray, w: np.ndarray, alpha: float, eps: float, max_iter: int = 1000, dangling: str = "personalized", start: np.ndarray | None = None) -> tuple[np.ndarray, int, float]:
-    """The fixpoint, the steps taken and the last change. A node without outgoing weight gives its mass to s, itself ("loop") or none ("drop"). start is a former result."""
-    n = len(s)
-    s = s / s.sum() if s.sum() > 0 else np.full(n, 1 / n)
+def iterate_groups(group: np.ndarray, s: np.ndarray, src: np.ndarray, dst: np.ndarray, w: np.ndarray, alpha, eps, max_iter: int = 1000, dangling: str = "personalized", start: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The fixpoints of many graphs at once, and for each the steps taken and the last change; each graph stops by itself.
+
+    group says which graph a node belongs to, from 0; src and dst are nodes. A node without outgoing weight gives its mass to s, itself ("loop") or none ("drop").
+    start is a former result. alpha and eps are numbers, or arrays with one for each graph.
+    """
+    n, many = len(s), int(group.max(initial=-1)) + 1
+    sums = lambda x: np.bincount(group, x, many)
+    share = lambda x: np.divide(x, sums(x)[group], out=1 / np.bincount(group, minlength=many)[group], where=sums(x)[group] > 0)
+    s = share(np.asarray(s, dtype=float))
     w = np.asarray(w, dtype=float)
     total = np.bincount(src, w, n).astype(float)  # integers if there are no edges
     p = np.divide(w, total[src], out=np.zeros_like(w, dtype=float), where=total[src] > 0)
-    r, loose = s.copy(), total <= 0
-    if start is not None and start.sum() > 0:
-        r = start / start.sum()
-    for step in range(1, max_iter + 1):
+    loose = total <= 0
+    r = s.copy() if start is None else np.where(sums(start)[group] > 0, share(np.asarray(start, dtype=float)), s)
+    keep = np.broadcast_to(np.asarray(alpha, dtype=float), many)[group]
+    steps, change, going = np.zeros(many, dtype=int), np.zeros(many), np.ones(many, dtype=bool)
+    for _ in range(max_iter):
         new = np.bincount(dst, p * r[src], n).astype(float)
         if dangling == "personalized":
-            new += r[loose].sum() * s
+            new += sums(np.where(loose, r, 0.0))[group] * s
         elif dangling == "loop":
             new[loose] += r[loose]
-        new = alpha * new + (1 - alpha) * s
+        new = keep * new + (1 - keep) * s
         if dangling == "drop":
-            new /= new.sum()
-        change = float(np.abs(new - r).sum())
-        r = new
-        if change < eps:
+            new /= sums(new)[group]
+        far = sums(np.abs(new - r))
+        r = np.where(going[group], new, r)
+        steps += going
+        change = np.where(going, far, change)
+        going &= far >= eps
+        if not going.any():
             break
-    return r, step, change
+    return r, steps, change
+
+
+def iterate(s: np.ndarray, src: np.ndarray, dst: np.ndarray, w: np.ndarray, alpha: float, eps: float, max_iter: int = 1000, dangling: str = "personalized", start: np.ndarray | None = None) -> tuple[np.ndarray, int, float]:
+    """iterate_groups for one graph."""
+    r, steps, change = iterate_groups(np.zeros(len(s), dtype=int), s, src, dst, w, alpha, eps, max_iter, dangling, start)
+    return r, int(steps[0]), float(change[0])
 
 
 def solve_local(nodes: DataFrame, edges: DataFrame, keys=("scenario", "grp"), alpha: float = 0.5, eps: float = 1e-6, max_iter: int = 1000, dangling: str = "personalized", max_edges: int | None = None) -> DataFrame:
@@ -62,29 +78,35 @@ def solve_local(nodes: DataFrame, edges: DataFrame, keys=("scenario", "grp"), al
             none = F.lit(None)
             return near.unionByName(far.select(*keys, "node", "r", "rank", none.cast("int").alias("iterations"), none.cast("double").alias("residual"), "n_nodes", "n_edges"))
     extra = [c for c in ("r0", "alpha", "eps") if c in nodes.columns]
+    names = [*keys, "node", "r", "rank", "iterations", "residual", "n_nodes", "n_edges"]
 
     def run(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
-        if len(b) > MAX_LOCAL_EDGES:
-            raise ValueError("a group is too large for one task; give max_edges, or use solve_relational")
-        a = a.sort_values("node", ignore_index=True)
-        at = {v: k for k, v in enumerate(a["node"])}
-        src, dst = b["src"].map(at).to_numpy(dtype=float), b["dst"].map(at).to_numpy(dtype=float)
-        ok = ~(np.isnan(src) | np.isnan(dst))
         if not len(a):
-            return pd.DataFrame({k: [] for k in [*keys, "node", "r", "rank", "iterations", "residual", "n_nodes", "n_edges"]})
-        told = {c: float(a[c].iloc[0]) for c in ("alpha", "eps") if c in extra}
+            return pd.DataFrame({k: [] for k in names})
+        a = a.sort_values([*keys, "node"], ignore_index=True)
+        group = a.groupby(keys, sort=False, dropna=False).ngroup().to_numpy()
+        place = a[[*keys, "node"]].assign(at=np.arange(len(a)))
+        ends = b.merge(place.rename(columns={"node": "src"}), on=[*keys, "src"]).merge(place.rename(columns={"node": "dst"}), on=[*keys, "dst"], suffixes=("", "_dst"))
+        src, dst = ends["at"].to_numpy(), ends["at_dst"].to_numpy()
+        n_nodes, n_edges = np.bincount(group), np.bincount(group[src], minlength=group[-1] + 1)
+        if n_edges.max() > MAX_LOCAL_EDGES:
+            raise ValueError("a group is too large for one task; give max_edges, or use solve_relational")
+        first = np.flatnonzero(np.diff(group, prepend=-1))
+        own = {c: a[c].to_numpy(dtype=float)[first] if c in extra else given for c, given in (("alpha", alpha), ("eps", eps))}
         start = a["r0"].fillna(0).to_numpy(dtype=float) if "r0" in extra else None
-        r, steps, change = iterate(a["s"].to_numpy(dtype=float), src[ok].astype(int), dst[ok].astype(int), b["w"].to_numpy(dtype=float)[ok], told.get("alpha", alpha), told.get("eps", eps), max_iter, dangling, start)
-        order = np.lexsort((np.arange(len(r)), -r.round(12)))
+        r, steps, change = iterate_groups(group, a["s"].to_numpy(dtype=float), src, dst, ends["w"].to_numpy(dtype=float), own["alpha"], own["eps"], max_iter, dangling, start)
+        order = np.lexsort((np.arange(len(r)), -r.round(12), group))
         rank = np.empty(len(r), dtype=int)
-        rank[order] = np.arange(1, len(r) + 1)
-        return a[[*keys, "node"]].assign(r=r, rank=rank, iterations=steps, residual=change, n_nodes=len(r), n_edges=int(ok.sum()))
+        rank[order] = np.arange(len(r)) - first[group] + 1
+        return a[[*keys, "node"]].assign(r=r, rank=rank, iterations=steps[group], residual=change[group], n_nodes=n_nodes[group], n_edges=n_edges[group])
 
     kinds = dict(nodes.dtypes)
     schema = ", ".join(f"{k} {kinds[k]}" for k in keys) + ", node string, r double, rank int, iterations int, residual double, n_nodes int, n_edges int"
-    a = nodes.select(*keys, F.col("node").cast("string").alias("node"), F.col("s").cast("double").alias("s"), *extra)
-    b = edges.select(*keys, F.col("src").cast("string").alias("src"), F.col("dst").cast("string").alias("dst"), F.col("w").cast("double").alias("w"))
-    return a.groupBy(*keys).cogroup(b.groupBy(*keys)).applyInPandas(run, schema)
+    # groups of a bucket are one call: small graphs are many, and walk side by side
+    bucket = F.pmod(F.xxhash64(*keys), F.lit(4 * int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions")))).alias("bucket")
+    a = nodes.select(*keys, F.col("node").cast("string").alias("node"), F.col("s").cast("double").alias("s"), *extra, bucket)
+    b = edges.select(*keys, F.col("src").cast("string").alias("src"), F.col("dst").cast("string").alias("dst"), F.col("w").cast("double").alias("w"), bucket)
+    return a.groupBy("bucket").cogroup(b.groupBy("bucket")).applyInPandas(run, schema)
 
 
 def with_back_edges(edges: DataFrame, rho: float, keys=("scenario",)) -> DataFrame:

@@ -140,7 +140,7 @@ def build(spark: SparkSession, sf_dir: str, n_scenarios: int = SCENARIOS, noise:
     ramp, square = F.coalesce("ramp", F.lit(0.0)), F.coalesce("square", F.lit(0.0))
     rise = lambda t: F.when(t >= FROM_BIN, ramp * (1 + (t % 5) / 5) + square * (F.floor(t / 5) % 2)).otherwise(0.0)
     v = F.transform(F.sequence(F.lit(0), F.lit(BINS - 1)), lambda t: (1 + noise * F.get("u", t)) * (1 + rise(t)))
-    series = rows.withColumn("v", v)
+    series = checkpointed(rows.select("scenario", "src", "dst", "metric", v.alias("v")))  # of a fixed size, whatever the tables': read for nodes, for edges and by every variant
     nodes = series.where("dst is null").select("scenario", F.col("src").alias("node"), "metric", "v")
     edges = series.where("dst is not null").select("scenario", "src", "dst", "metric", "v")
     told = spark.createDataFrame(truth, "scenario int, grp string, fault string, root string")
