@@ -32,7 +32,7 @@ class Result:
 
 
 def flags(inputs: Inputs, beta: float = birch.BETA, scale: str = "l2", only: str = "all", grouping: str = "flagged") -> tuple[DataFrame, DataFrame]:
-    """Flagged node and edge series; only="latency" looks at edges alone, the habit of web applications.
+    """Flagged node and edge series, written once; only="latency" looks at edges alone, the habit of web applications.
 
     grouping="cocluster" keeps of each entity's flagged series the largest group of like shape: the other reading of an anomalous cluster.
     """
@@ -44,8 +44,13 @@ def flags(inputs: Inputs, beta: float = birch.BETA, scale: str = "l2", only: str
             out = birch.detect(df.withColumn("z", metrics.normalized(F.col("v"), scale)), beta, "z").where("is_anomalous").drop("z")
         return birch.cocluster(out, keys) if grouping == "cocluster" else out
 
-    nodes = on(inputs.nodes, ["scenario", "node"])
-    return (nodes.where(F.lit(False)) if only == "latency" else nodes), on(inputs.edges, ["scenario", "src", "dst"])
+    if inputs.series is None or grouping == "cocluster":
+        nodes, edges = checkpointed(on(inputs.nodes, ["scenario", "node"])), checkpointed(on(inputs.edges, ["scenario", "src", "dst"]))
+    else:  # one pass; few series are flagged
+        both = checkpointed(on(inputs.series, []))
+        own = lambda df: df.select(*(F.col(c).alias(c) for c in df.columns))  # noqa: E731  columns of their own: the two are joined later
+        nodes, edges = own(both.where("dst is null").drop("dst").withColumnRenamed("src", "node")), own(both.where("dst is not null"))
+    return (nodes.where(F.lit(False)) if only == "latency" else nodes), edges
 
 
 def triggers(node_flags: DataFrame, edge_flags: DataFrame, device_flags: DataFrame | None = None) -> DataFrame:
@@ -66,7 +71,7 @@ def device_flags(inputs: Inputs, beta: float = birch.BETA) -> DataFrame:
 
 def score(inputs: Inputs, beta: float = birch.BETA, pairs: str = "half", kind: str = "pearson", parts=("metric", "edge"), scoring_by: str = "metrics", only: str = "all", grouping: str = "flagged") -> Scores:
     """Scores of touched services and anomalous calls, checkpointed: every variant starts from them."""
-    node_flags, edge_flags = (checkpointed(x) for x in flags(inputs, beta, only=only, grouping=grouping))
+    node_flags, edge_flags = flags(inputs, beta, only=only, grouping=grouping)
     if scoring_by == "rt":
         front = edge_flags.where("metric = 'p90'").select("scenario", "src", "dst", "v", F.element_at("v", -1).alias("last"))
         front = front.groupBy("scenario").agg(F.max_by("v", F.struct("last", "src", "dst")).alias("rt"))

@@ -86,8 +86,10 @@ def solve_local(nodes: DataFrame, edges: DataFrame, keys=("scenario", "grp"), al
         a = a.sort_values([*keys, "node"], ignore_index=True)
         group = a.groupby(keys, sort=False, dropna=False).ngroup().to_numpy()
         place = a[[*keys, "node"]].assign(at=np.arange(len(a)))
+        if not len(b):  # without the types of its columns
+            b = place.head(0).rename(columns={"node": "src", "at": "w"}).assign(dst=place["node"].head(0))
         ends = b.merge(place.rename(columns={"node": "src"}), on=[*keys, "src"]).merge(place.rename(columns={"node": "dst"}), on=[*keys, "dst"], suffixes=("", "_dst"))
-        src, dst = ends["at"].to_numpy(), ends["at_dst"].to_numpy()
+        src, dst = ends["at"].to_numpy(dtype=int), ends["at_dst"].to_numpy(dtype=int)
         n_nodes, n_edges = np.bincount(group), np.bincount(group[src], minlength=group[-1] + 1)
         if n_edges.max() > MAX_LOCAL_EDGES:
             raise ValueError("a group is too large for one task; give max_edges, or use solve_relational")

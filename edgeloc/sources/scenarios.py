@@ -31,6 +31,7 @@ class Inputs:
     nodes: DataFrame  # scenario, node, metric, v
     edges: DataFrame  # scenario, src, dst, metric, v
     truth: DataFrame  # scenario, grp, fault, root
+    series: DataFrame | None = None  # scenario, src, dst, metric, v: nodes (dst is null) and edges together, for one pass over both
 
 
 def _thinned(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -125,7 +126,7 @@ def build(spark: SparkSession, sf_dir: str, n_scenarios: int = SCENARIOS, noise:
     services = load(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("string").alias("service"), F.col("n_nationkey").cast("long").alias("device"))
     calls = freq.select(F.col("src").cast("string").alias("src"), F.col("dst").cast("string").alias("dst"), "freq")
     first = clustering.initial(services)
-    w = clustering.weights(calls, services, first)
+    w = checkpointed(clustering.weights(calls, services, first))  # read for the threshold and for the merges
     cluster_map = clustering.merge_greedy(w, first, clustering.threshold(w, tau_rel))  # 25 devices
     graph = _graph(freq)
     truth, hit = _impacts(graph, n_scenarios, crossing_every)
@@ -140,8 +141,8 @@ def build(spark: SparkSession, sf_dir: str, n_scenarios: int = SCENARIOS, noise:
     ramp, square = F.coalesce("ramp", F.lit(0.0)), F.coalesce("square", F.lit(0.0))
     rise = lambda t: F.when(t >= FROM_BIN, ramp * (1 + (t % 5) / 5) + square * (F.floor(t / 5) % 2)).otherwise(0.0)
     v = F.transform(F.sequence(F.lit(0), F.lit(BINS - 1)), lambda t: (1 + noise * F.get("u", t)) * (1 + rise(t)))
-    series = checkpointed(rows.select("scenario", "src", "dst", "metric", v.alias("v")))  # of a fixed size, whatever the tables': read for nodes, for edges and by every variant
+    series = rows.select("scenario", "src", "dst", "metric", v.alias("v"))
     nodes = series.where("dst is null").select("scenario", F.col("src").alias("node"), "metric", "v")
     edges = series.where("dst is not null").select("scenario", "src", "dst", "metric", "v")
     told = spark.createDataFrame(truth, "scenario int, grp string, fault string, root string")
-    return Inputs(services, calls, cluster_map, nodes, edges, told)
+    return Inputs(services, calls, cluster_map, nodes, edges, told, series)
