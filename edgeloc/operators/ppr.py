@@ -106,8 +106,9 @@ def solve_local(nodes: DataFrame, edges: DataFrame, keys=("scenario", "grp"), al
     schema = ", ".join(f"{k} {kinds[k]}" for k in keys) + ", node string, r double, rank int, iterations int, residual double, n_nodes int, n_edges int"
     # groups of a bucket are one call: small graphs are many, and walk side by side
     bucket = F.pmod(F.xxhash64(*keys), F.lit(4 * int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions")))).alias("bucket")
-    a = nodes.select(*keys, F.col("node").cast("string").alias("node"), F.col("s").cast("double").alias("s"), *extra, bucket)
-    b = edges.select(*keys, F.col("src").cast("string").alias("src"), F.col("dst").cast("string").alias("dst"), F.col("w").cast("double").alias("w"), bucket)
+    own = [F.col(k).alias(k) for k in keys]  # columns of their own on both sides: edges and nodes may come of the same frame
+    a = nodes.select(*own, F.col("node").cast("string").alias("node"), F.col("s").cast("double").alias("s"), *extra, bucket)
+    b = edges.select(*own, F.col("src").cast("string").alias("src"), F.col("dst").cast("string").alias("dst"), F.col("w").cast("double").alias("w"), bucket)
     return a.groupBy("bucket").cogroup(b.groupBy("bucket")).applyInPandas(run, schema)
 
 
