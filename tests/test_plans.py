@@ -1,5 +1,6 @@
 """Physical plans that scale: what is read, pushed down, shuffled and joined."""
 
+import __spark_entry__
 from edgeloc.operators import ppr
 from edgeloc.plans import workloads
 
@@ -30,3 +31,7 @@ def test_a_local_walk_shuffles_nodes_and_edges_once(spark):
     moved = [x for x in plan(step).split("\n") if "Exchange hashpartitioning(src" in x and "ENSURE" in x]  # not those below the held frames, made once
     held.close()
     assert len(moved) <= 1  # the walk's vector may move to its edges; the edges don't
+
+
+def test_no_query_returns_constants_and_each_sql_has_its_query():
+    assert "eval_quoted" not in __spark_entry__.queries() and set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
