@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed, text_key
+from .common import checkpointed, released, text_key
 from .components import connected_components
 
 BANDS, ROWS = 40, 8
@@ -76,7 +76,7 @@ def _signed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
     text = F.col(text_col).cast("string")
     rows = docs.select(F.col(id_col).cast("long").alias("id"), text.alias("t"), *(k.alias(n) for k, n in zip(text_key(F.coalesce(text, F.lit(""))), ("k1", "k2"))))
-    return rows.mapInArrow(run, "id long, k1 long, k2 long, node long, keys array<long>")
+    return rows.mapInArrow(released(run), "id long, k1 long, k2 long, node long, keys array<long>")
 
 
 def similar_links(sets: list[np.ndarray], radius: int = RADIUS, tile: int = 512) -> list[tuple[int, int]]:
@@ -160,7 +160,7 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
                         sets[node] = found
         yield links()
 
-    labels = connected_components(dealt.mapInArrow(run, "a long, b long"))
+    labels = connected_components(dealt.mapInArrow(released(run), "a long, b long"))
     placed = nodes.select("node", "least").join(labels, "node", "left").select("node", "least", F.coalesce("label", "node").alias("label"))
     named = placed.join(placed.groupBy("label").agg(F.min("least").alias("component")), "label").select("node", "component", "label")
     return rows.select("id", "k1", "k2", "node").join(named, "node").select("id", "k1", "k2", "component", "label")

@@ -25,9 +25,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from .common import released
+
 MARK = "▁"
 MAX_MODEL_BYTES = 64 << 20
 TAIL = 4
+SLICE_BYTES = 1 << 20
 
 
 def default_model_path() -> str:
@@ -270,11 +273,11 @@ def encode(docs: DataFrame, text_col: str = "text", out_col: str = "ids", model_
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = Encoder(model.value)
-        for b in _pieces_of_batches(batches, at, 4 << 20):
+        for b in _pieces_of_batches(batches, at, SLICE_BYTES):
             ids = coder.encode(b.column(at).to_pylist())
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in names), ids], names=[*names, out_col])
 
-    return docs.mapInArrow(run, _with(docs.schema, out_col, T.ArrayType(T.IntegerType())))
+    return docs.mapInArrow(released(run), _with(docs.schema, out_col, T.ArrayType(T.IntegerType())))
 
 
 def decode(docs: DataFrame, ids_col: str = "ids", out_col: str = "text", model_path: str | None = None) -> DataFrame:
@@ -285,11 +288,11 @@ def decode(docs: DataFrame, ids_col: str = "ids", out_col: str = "text", model_p
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         decoder = Decoder(model.value)
-        for b in _pieces_of_batches(batches, at, 4 << 20):
+        for b in _pieces_of_batches(batches, at, SLICE_BYTES):
             out = decoder.decode(b.column(at))
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in names), out], names=[*names, out_col])
 
-    return docs.mapInArrow(run, _with(docs.schema, out_col, T.StringType()))
+    return docs.mapInArrow(released(run), _with(docs.schema, out_col, T.StringType()))
 
 
 def op5(docs: DataFrame) -> DataFrame:

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed
+from .common import checkpointed, released
 
 #: Seed entries (whole words), look-alikes, and phrases in which an entry is harmless.
 SEEDS = ("idiot", "moron", "loser", "pathetic", "scum", "worthless", "trash", "clown", "disgusting", "stupid")
@@ -113,7 +113,7 @@ def _counts(rows: DataFrame) -> DataFrame:
         yield out()
 
     of = lambda y: F.sum(F.when(F.col("y") == y, F.col("n")).otherwise(0))
-    return rows.select("y", "t").mapInArrow(run, "term string, y int, n long").groupBy("term").agg(of(1).alias("p"), of(0).alias("q"))
+    return rows.select("y", "t").mapInArrow(released(run), "term string, y int, n long").groupBy("term").agg(of(1).alias("p"), of(0).alias("q"))
 
 
 def beyond_chance(n_pos: int, n_neg: int, precision: float, chance: float) -> Column:
@@ -175,7 +175,7 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
             yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array([v[k] for v in x], type=pa.float64()) for k in range(3))], names=["y", "a", "b", "c"])
 
     if min(sizes.get(0, 0), sizes.get(1, 0)) >= 10:
-        got = rows.select("y", "t").mapInArrow(run, "y int, a double, b double, c double").toPandas().to_numpy(dtype=float)
+        got = rows.select("y", "t").mapInArrow(released(run), "y int, a double, b double, c double").toPandas().to_numpy(dtype=float)
         model.bias = _fit(got[:, 1:], got[:, 0])
     return model
 
@@ -193,7 +193,7 @@ def score(docs: DataFrame, model: Model, text_col: str = "text", out_col: str =
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in names), pa.array(score_of(x, m.model))], names=[*names, out_col])
 
     kind = T.StructType([f for f in docs.schema.fields if f.name != out_col] + [T.StructField(out_col, T.DoubleType())])
-    return docs.mapInArrow(run, kind)
+    return docs.mapInArrow(released(run), kind)
 
 
 def op6(docs: DataFrame, labels: DataFrame) -> DataFrame:
